@@ -38,6 +38,8 @@ TILE_ROWS, TILE_SETS, TILE_BYTES = 512, 128, 8 << 20
 _BLOCK = 1 << 18
 #: Links up to which one side of a component round is broadcast: 16 bytes each, 3 MB.
 BROADCAST_LINKS = 200_000
+#: Candidate members up to which they are sent to the texts: 20 bytes each, 10 MB.
+BROADCAST_MEMBERS = 500_000
 
 
 @functools.cache
@@ -256,7 +258,9 @@ def confirm(docs: DataFrame, members: DataFrame, percent: int, words: int, doc_i
             yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("component"), batch.column("parts"), pa.array(found, pa.binary())], ["rep", "component", "parts", "shingles"])
 
     texts = docs.select(F.col(doc_id).cast("long").alias("rep"), F.col(text).cast("string").alias("text"))
-    full = placed.join(texts, "rep").select("rep", "component", "parts", "text").mapInArrow(sets, "rep long, component long, parts int, shingles binary")
+    if members.count() <= BROADCAST_MEMBERS:  # few, as checked here: the texts needn't be dealt out anew
+        placed = F.broadcast(placed)
+    full = texts.join(placed, "rep").select("rep", "component", "parts", "text").mapInArrow(sets, "rep long, component long, parts int, shingles binary")
     tiles = _tile_pairs(full, "parts", "rep").groupBy("component", "lo", "hi").agg(F.collect_list(F.struct("rep", "shingles")).alias("rows"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
