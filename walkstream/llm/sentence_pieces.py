@@ -112,7 +112,7 @@ class Encoder:
         codes, rep = tk.distinct(tk.hash_spans(buf, start, length, tk.byte_values(False)))
         b, o = tk.gather_spans(buf, start[rep], length[rep])
         pieces, ends = [], [np.zeros(1, np.int64)]
-        for lo, hi in tk.word_blocks(o, 1 << 18):
+        for lo, hi in tk.word_blocks(o, 1 << 17):
             own = o[lo : hi + 1] - o[lo]
             got, end = self.trace(own, self.solve(b[o[lo] : o[hi]], own)[1])
             pieces.append(got)
@@ -154,6 +154,13 @@ class Encoder:
         ok = (entry[:, None] > NEVER) & (leave[None, :] > NEVER)
         return np.where(ok, entry[:, None] + middle + leave[None, :], NEVER)
 
+    def decodes_to(self, ids: np.ndarray, offsets: np.ndarray, buf: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """For each text, whether its ids decode to its bytes."""
+        back, at = self.decode_ids(ids, offsets)
+        if len(back) == len(buf) and (at == ends).all() and (back == buf).all():
+            return np.ones(len(ends) - 1, dtype=bool)
+        return np.array([back[at[i] : at[i + 1]].tobytes() == buf[ends[i] : ends[i + 1]].tobytes() for i in range(len(ends) - 1)])
+
     def decode_ids(self, ids: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         size = self.piece_size[ids]
         ends = np.concatenate([[0], np.cumsum(size)])
@@ -210,7 +217,7 @@ def _binary(data: np.ndarray, offsets: np.ndarray, width: int, null: np.ndarray
     return pd.Series(out, dtype=object)
 
 
-def _runs(size: pd.Series, most: int = 1 << 24):
+def _runs(size: pd.Series, most: int = 1 << 22):
     """Slices of rows with about `most` bytes each."""
     ends = np.cumsum(size.to_numpy(dtype=np.int64))
     at = 0
@@ -220,27 +227,35 @@ def _runs(size: pd.Series, most: int = 1 << 24):
         at = to
 
 
-def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None, chunk_bytes: int = 1 << 16) -> DataFrame:
-    """Add `piece_ids`: the ids as 32-bit little-endian numbers in one binary value (`ids_array` makes an array of it)."""
+def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None, chunk_bytes: int = 1 << 16, verify: bool = False) -> DataFrame:
+    """Add `piece_ids`: the ids as 32-bit little-endian numbers in one binary value (`ids_array` makes an array of it).
+
+    verify: also add `round_trip`, whether the ids decode to the text; made where the ids are, without another pass.
+    """
     spark = docs.sparkSession
     sent = spark.sparkContext.broadcast(vocab or load_pieces())
 
-    @F.pandas_udf("binary")
-    def whole(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    @F.pandas_udf("ids binary, ok boolean")
+    def whole(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         enc = encoder(sent.value)
         for texts in batches:
             parts = []
             for rows in _runs(texts.str.len().fillna(0)):
                 own = texts.iloc[rows]
-                ids, offsets = enc.encode_buffer(*_marked(own))
-                parts.append(_binary(ids.astype("<i4"), offsets, 4, own.isna().to_numpy()))
-            yield pd.concat(parts, ignore_index=True) if parts else pd.Series([], dtype=object)
+                buf, ends = _marked(own)
+                ids, offsets = enc.encode_buffer(buf, ends)
+                ok = enc.decodes_to(ids, offsets, buf, ends) if verify else np.ones(len(own), dtype=bool)
+                parts.append(pd.DataFrame({"ids": _binary(ids.astype("<i4"), offsets, 4, own.isna().to_numpy()), "ok": ok}))
+            yield pd.concat(parts, ignore_index=True) if parts else pd.DataFrame({"ids": pd.Series([], dtype=object), "ok": pd.Series([], dtype=bool)})
 
-    docs = docs.drop("piece_ids")
+    docs = docs.drop("piece_ids", *["round_trip"] * verify)
     giant = F.coalesce(F.octet_length(text) > chunk_bytes, F.lit(False))
-    small = docs.where(~giant).withColumn("piece_ids", whole(F.col(text)))
+    small = docs.where(~giant).withColumn("_e", whole(F.col(text))).withColumn("piece_ids", F.col("_e.ids"))
+    small = (small.withColumn("round_trip", F.col("_e.ok")) if verify else small).drop("_e")
     found = docs.where(giant).withColumn("_text_key", F.sha2(F.col(text), 256))
     solved = _encode_giants(found.select("_text_key", F.col(text).alias("_text")), sent, chunk_bytes)
+    if verify:
+        solved = decode(solved, vocab, to="_back").withColumn("_back", F.sha2("_back", 256)).withColumn("round_trip", F.col("_back") == F.col("_text_key")).drop("_back")
     large = found.join(solved, "_text_key").drop("_text_key")
     return small.unionByName(large.select(*small.columns))
 
