@@ -249,6 +249,7 @@ def identify(docs: DataFrame, model: LanguageModel, text: str = "text") -> DataF
     def udf(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         for texts in batches:
             name, score = predict_texts(sent.value, texts)
+            tk.give_back()
             yield pd.DataFrame({"lang_pred": name, "score": score})
 
     found = docs.withColumn("_found", udf(F.col(text).cast("string")))

@@ -112,7 +112,7 @@ class Encoder:
         codes, rep = tk.distinct(tk.hash_spans(buf, start, length, tk.byte_values(False)))
         b, o = tk.gather_spans(buf, start[rep], length[rep])
         pieces, ends = [], [np.zeros(1, np.int64)]
-        for lo, hi in tk.word_blocks(o, 1 << 17):
+        for lo, hi in tk.word_blocks(o, 1 << 16):
             own = o[lo : hi + 1] - o[lo]
             got, end = self.trace(own, self.solve(b[o[lo] : o[hi]], own)[1])
             pieces.append(got)
@@ -217,7 +217,7 @@ def _binary(data: np.ndarray, offsets: np.ndarray, width: int, null: np.ndarray
     return pd.Series(out, dtype=object)
 
 
-def _runs(size: pd.Series, most: int = 1 << 22):
+def _runs(size: pd.Series, most: int = 1 << 20):
     """Slices of rows with about `most` bytes each."""
     ends = np.cumsum(size.to_numpy(dtype=np.int64))
     at = 0
@@ -246,6 +246,7 @@ def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None,
                 ids, offsets = enc.encode_buffer(buf, ends)
                 ok = enc.decodes_to(ids, offsets, buf, ends) if verify else np.ones(len(own), dtype=bool)
                 parts.append(pd.DataFrame({"ids": _binary(ids.astype("<i4"), offsets, 4, own.isna().to_numpy()), "ok": ok}))
+            tk.give_back()
             yield pd.concat(parts, ignore_index=True) if parts else pd.DataFrame({"ids": pd.Series([], dtype=object), "ok": pd.Series([], dtype=bool)})
 
     docs = docs.drop("piece_ids", *["round_trip"] * verify)

@@ -188,3 +188,13 @@ def word_blocks(offsets: np.ndarray, most: int = 1 << 20):
         to = min(n, max(at + 1, int(np.searchsorted(offsets, offsets[at] + most, side="right")) - 1))
         yield at, to
         at = to
+
+
+def give_back() -> None:
+    """Return freed memory to the system, so that a reused worker doesn't keep its largest batch."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
