@@ -57,6 +57,7 @@ class MTree:
         if len(rows) <= self.page or node["radius"] == 0.0:
             order = np.argsort(dist, kind="stable")
             node["rows"], node["dist"] = rows[order], dist[order]
+            node["points"] = np.ascontiguousarray(self.points[node["rows"], :-1])
             return node
         seeds = [int(dist.argmax())]
         near = ((own - own[seeds[0]]) ** 2).sum(axis=1)
@@ -67,14 +68,16 @@ class MTree:
             owner[d < near] = len(seeds) - 1
             near = np.minimum(near, d)
         node["children"] = tuple(self._grow(rows[owner == s], centre) for s in range(len(seeds)) if (owner == s).any())
+        node["child_centre"] = np.stack([c["centre"] for c in node["children"]])
         node["child_parent"] = np.array([c["parent"] for c in node["children"]])
         node["child_radius"] = np.array([c["radius"] for c in node["children"]])
         return node
 
-    def _scores(self, rows: np.ndarray, query: np.ndarray) -> np.ndarray:
-        if self.exact and float(np.abs(query.astype(np.float64)).max(initial=0)) ** 2 * len(query) < 1 << 50:
-            return (self.points[rows, :-1] @ query.astype(np.float64)).astype(np.int64)
-        return np.array([int(sum(int(a) * int(b) for a, b in zip(v, query, strict=True))) for v in self.vectors[rows]], dtype=np.int64)
+    def _scores(self, page: dict, lo: int, hi: int, query: np.ndarray, fits: bool) -> np.ndarray:
+        if fits:
+            return (page["points"][lo:hi] @ query).astype(np.int64)
+        whole = [int(x) for x in query]
+        return np.array([sum(int(a) * b for a, b in zip(v, whole, strict=True)) for v in self.vectors[page["rows"][lo:hi]]], dtype=np.int64)
 
     def search(self, query: np.ndarray, k: int, ids: np.ndarray, skip: int | None) -> list[tuple[int, int]]:
         """The k best (score, id), ties to smaller ids; counts distance computations in `computed`."""
@@ -83,39 +86,40 @@ class MTree:
             return []
         q = np.append(query.astype(np.float64), 0.0)
         q2 = float((q * q).sum())
+        fits = self.exact and float(np.abs(q).max(initial=0)) ** 2 * len(query) < 1 << 50
+        asked = q[:-1] if fits else query
         best: list[tuple[int, int]] = []  # a heap of (score, -id): the worst one first
-
-        def reach() -> float:
-            return np.inf if len(best) < k else float(np.sqrt(max(0.0, q2 + self.top - 2.0 * best[0][0]))) + self.slack
-
+        far = np.inf  # distance beyond which nothing can enter `best`
         d = float(np.sqrt(((self.root["centre"] - q) ** 2).sum()))
         queue = [(max(0.0, d - self.root["radius"]), 0, d, self.root)]
         n = 0
         while queue:
             low, _, d, node = heapq.heappop(queue)
-            far = reach()
             if low > far:
                 break
             if node["rows"] is not None:
-                keep = np.abs(d - node["dist"]) <= far  # by the stored distance to the page's centre
-                rows = node["rows"][keep]
-                self.computed += len(rows)
-                for s, i in zip(self._scores(rows, query).tolist(), ids[rows].tolist(), strict=True):
+                # the page is sorted by the stored distance to its centre: what the triangle inequality leaves is one range
+                lo, hi = int(node["dist"].searchsorted(d - far)), int(node["dist"].searchsorted(d + far, side="right"))
+                self.computed += hi - lo
+                scores = self._scores(node, lo, hi, asked, fits)
+                hits = np.arange(hi - lo) if len(best) < k else np.flatnonzero(scores >= best[0][0])
+                for s, i in zip(scores[hits].tolist(), ids[node["rows"][lo + hits]].tolist(), strict=True):
                     if i == skip:
                         continue
                     if len(best) < k:
                         heapq.heappush(best, (s, -i))
                     elif (s, -i) > best[0]:
                         heapq.heapreplace(best, (s, -i))
+                if len(best) == k:
+                    far = max(0.0, q2 + self.top - 2.0 * best[0][0]) ** 0.5 + self.slack
                 continue
-            for c in np.flatnonzero(np.abs(d - node["child_parent"]) - node["child_radius"] <= far):
-                child = node["children"][c]
-                dc = float(np.sqrt(((child["centre"] - q) ** 2).sum()))
-                self.computed += 1
-                lower = max(0.0, dc - child["radius"])
+            near = np.flatnonzero(np.abs(d - node["child_parent"]) - node["child_radius"] <= far)
+            self.computed += len(near)
+            to_child = np.sqrt(((node["child_centre"][near] - q) ** 2).sum(axis=1))
+            for c, dc, lower in zip(near.tolist(), to_child.tolist(), (to_child - node["child_radius"][near]).tolist(), strict=True):
                 if lower <= far:
                     n += 1
-                    heapq.heappush(queue, (lower, n, dc, child))
+                    heapq.heappush(queue, (max(0.0, lower), n, dc, node["children"][c]))
         return sorted(((s, -i) for s, i in best), key=lambda x: (-x[0], x[1]))
 
 
