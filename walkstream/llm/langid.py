@@ -206,6 +206,7 @@ def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "tex
                 weight = np.zeros((len(o) - 1, len(langs)))
                 np.add.at(weight, (codes, which[doc]), 1.0)
                 total += expected_counts(trie, sent.value, b, o, weight)
+                tk.give_back()
             p, k = np.nonzero(total)
             yield pd.DataFrame({"p": p, "k": k, "v": total[p, k]})
 
@@ -216,8 +217,15 @@ def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "tex
     return LanguageModel(langs, vocab, log_probs)
 
 
-def predict_texts(model: LanguageModel, text: pd.Series, temper: float = 40.0) -> tuple[np.ndarray, np.ndarray]:
-    """(language or und, score) of each text."""
+def predict_texts(model: LanguageModel, text: pd.Series, temper: float = 40.0, slice_chars: int = 1 << 22) -> tuple[np.ndarray, np.ndarray]:
+    """(language or und, score) of each text; works through slices of about `slice_chars`, which bounds working memory."""
+    found = [_predict_slice(model, text.iloc[rows], temper) for rows in tk.slices(text.str.len().fillna(0), slice_chars)]
+    if not found:
+        return np.zeros(0, dtype=object), np.zeros(0)
+    return np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+
+
+def _predict_slice(model: LanguageModel, text: pd.Series, temper: float) -> tuple[np.ndarray, np.ndarray]:
     n = len(text)
     name, score = np.full(n, "und", dtype=object), np.zeros(n)
     if not model.langs or not n:

@@ -20,6 +20,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import textkernel as tk
+
 KINDS = ("email", "ip", "card", "phone")
 MAX_CHUNKS = 6
 
@@ -221,6 +223,7 @@ def find(docs: DataFrame, weights: Weights, text: str = "text") -> DataFrame:
                 more = added_spans(t, weights, base)
                 every = sorted(base + more, key=lambda x: (KINDS.index(x[0]), x[1])) if more else base
                 rows.append((named(base), named(every)))
+            tk.give_back()
             yield pd.DataFrame(rows, columns=["base", "every"])
 
     out = docs.withColumn("_p", udf(F.col(text).cast("string")))

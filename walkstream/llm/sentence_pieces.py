@@ -217,16 +217,6 @@ def _binary(data: np.ndarray, offsets: np.ndarray, width: int, null: np.ndarray
     return pd.Series(out, dtype=object)
 
 
-def _runs(size: pd.Series, most: int = 1 << 20):
-    """Slices of rows with about `most` bytes each."""
-    ends = np.cumsum(size.to_numpy(dtype=np.int64))
-    at = 0
-    while at < len(size):
-        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + most, side="right")))
-        yield slice(at, to)
-        at = to
-
-
 def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None, chunk_bytes: int = 1 << 16, verify: bool = False) -> DataFrame:
     """Add `piece_ids`: the ids as 32-bit little-endian numbers in one binary value (`ids_array` makes an array of it).
 
@@ -240,7 +230,7 @@ def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None,
         enc = encoder(sent.value)
         for texts in batches:
             parts = []
-            for rows in _runs(texts.str.len().fillna(0)):
+            for rows in tk.slices(texts.str.len().fillna(0)):
                 own = texts.iloc[rows]
                 buf, ends = _marked(own)
                 ids, offsets = enc.encode_buffer(buf, ends)

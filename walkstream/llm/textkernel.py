@@ -190,6 +190,16 @@ def word_blocks(offsets: np.ndarray, most: int = 1 << 20):
         at = to
 
 
+def slices(size: pd.Series, most: int = 1 << 20):
+    """Slices of rows with about `most` each, by their sizes."""
+    ends = np.cumsum(size.to_numpy(dtype=np.int64))
+    at = 0
+    while at < len(size):
+        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + most, side="right")))
+        yield slice(at, to)
+        at = to
+
+
 def give_back() -> None:
     """Return freed memory to the system, so that a reused worker doesn't keep its largest batch."""
     import ctypes
