@@ -17,8 +17,17 @@ def local_session(cores: str = "*", partitions: int = 8) -> SparkSession:
     return spark
 
 
+#: Arrow batches sent to Python end at so many bytes, since ten thousand rows of long texts would fill a worker.
+BATCH_KEY, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", "8m"
+
+
 def ship(spark: SparkSession) -> SparkSession:
-    """Send this package's modules to the executors, once for each application, so that UDFs can import them."""
+    """Send this package's modules to the executors, once for each application, so that UDFs can import them.
+
+    Bounds Arrow batches by bytes where the session doesn't say otherwise.
+    """
+    if spark.conf.get(BATCH_KEY, None) is None:
+        spark.conf.set(BATCH_KEY, BATCH_BYTES)
     sc = spark.sparkContext
     if getattr(sc, "_walkstream_shipped", False):
         return spark
