@@ -39,8 +39,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    found = pii.find(docs.select(*COLUMNS), pii.fit(docs.select("text")))
-    return pii.redact(found).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
+    return pii.mask(docs.select(*COLUMNS), pii.fit(docs.select("text"))).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -14,7 +14,6 @@ go to the smaller language name; repeated rows are predicted alike. Existing col
 
 from __future__ import annotations
 
-import functools
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -24,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .vocab import PieceVocab, load_pieces
+from .vocab import PieceVocab, load_pieces, piece_trie
 
 #: Probability of any single byte that no piece covers.
 BYTE_FLOOR = 1e-9
@@ -37,12 +36,6 @@ class LanguageModel:
     log_probs: np.ndarray  # pieces x languages
 
 
-@functools.lru_cache(maxsize=2)
-def _trie(vocab: PieceVocab) -> tk.Trie:
-    known = [(p, i) for i, (p, k) in enumerate(zip(vocab.pieces, vocab.kinds, strict=True)) if k == "piece"]
-    return tk.Trie([p for p, _ in known], [i for _, i in known])
-
-
 def _lattice(trie: tk.Trie, buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(start, end, piece or -1 for a lone byte, end within the word) of all arcs, by end within the word."""
     word = np.repeat(np.arange(len(offsets) - 1), np.diff(offsets))
@@ -198,7 +191,7 @@ def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "tex
         sent = sc.broadcast(log_probs)
 
         def partial(batches: Iterator[pd.DataFrame], sent=sent) -> Iterator[pd.DataFrame]:
-            trie = _trie(vocab_sent.value)
+            trie = piece_trie(vocab_sent.value)
             total = np.zeros((n_pieces, len(langs)))
             for pdf in batches:
                 b, o, codes, doc = _batch_words(pdf["_text"])
@@ -231,7 +224,7 @@ def _predict_slice(model: LanguageModel, text: pd.Series, temper: float) -> tupl
     if not model.langs or not n:
         return name, score
     b, o, codes, doc = _batch_words(text)
-    words = word_scores(_trie(model.vocab), model.log_probs, b, o)
+    words = word_scores(piece_trie(model.vocab), model.log_probs, b, o)
     total = np.stack([np.bincount(doc, weights=words[codes, k], minlength=n) for k in range(len(model.langs))], axis=1).astype(float)
     size = np.bincount(doc, weights=np.diff(o)[codes], minlength=n)
     total *= np.minimum(1.0, temper / np.maximum(size, 1))[:, None]

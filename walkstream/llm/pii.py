@@ -209,6 +209,22 @@ def added_spans(text: str | None, weights: Weights, base: list[Span]) -> list[Sp
 _SPANS = "array<struct<kind:string,start:int,end:int>>"
 
 
+def _all_spans(text: str, weights: Weights) -> tuple[list[Span], list[Span]]:
+    """(base spans, all spans by kind as in KINDS, then start)."""
+    base = base_spans(text)
+    more = added_spans(text, weights, base)
+    return base, sorted(base + more, key=lambda x: (KINDS.index(x[0]), x[1])) if more else base
+
+
+def _masked(text: str, spans: list[Span]) -> str:
+    parts, at = [], 0
+    for kind, start, end in sorted(spans, key=lambda s: (s[1], -s[2])):
+        if start >= at:
+            parts += [text[at:start], f"[{kind.upper()}]"]
+        at = max(at, end)
+    return "".join(parts) + text[at:]
+
+
 def find(docs: DataFrame, weights: Weights, text: str = "text") -> DataFrame:
     """Add base_spans and spans: arrays of (kind, start, end), by kind as in KINDS, then start."""
 
@@ -216,20 +232,27 @@ def find(docs: DataFrame, weights: Weights, text: str = "text") -> DataFrame:
     def udf(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         named = lambda spans: [dict(zip(("kind", "start", "end"), s, strict=True)) for s in spans]
         for batch in batches:
-            rows = []
-            for t in batch:
-                t = t if isinstance(t, str) else ""
-                base = base_spans(t)
-                more = added_spans(t, weights, base)
-                every = sorted(base + more, key=lambda x: (KINDS.index(x[0]), x[1])) if more else base
-                rows.append((named(base), named(every)))
+            found = [_all_spans(t if isinstance(t, str) else "", weights) for t in batch]
             tk.give_back()
-            yield pd.DataFrame(rows, columns=["base", "every"])
+            yield pd.DataFrame([(named(base), named(every)) for base, every in found], columns=["base", "every"])
 
     out = docs.withColumn("_p", udf(F.col(text).cast("string")))
     return out.withColumn("base_spans", F.col("_p.base")).withColumn("spans", F.col("_p.every")).drop("_p")
 
 
+def mask(docs: DataFrame, weights: Weights, text: str = "text") -> DataFrame:
+    """What `find` and `redact` give together, without spans and in one pass through one worker."""
+
+    @F.pandas_udf("string")
+    def udf(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for batch in batches:
+            out = [_masked(t, _all_spans(t, weights)[1]) if isinstance(t, str) else None for t in batch]
+            tk.give_back()
+            yield pd.Series(out, dtype=object)
+
+    return docs.withColumn(text, udf(F.col(text).cast("string")))
+
+
 def span_text(spans: Column) -> Column:
     """kind:start:end, joined by commas."""
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
@@ -242,15 +265,10 @@ def redact(docs: DataFrame, text: str = "text", spans: str = "spans") -> DataFra
     def udf(texts: pd.Series, found: pd.Series) -> pd.Series:
         out = []
         for t, own in zip(texts, found, strict=True):
-            if not isinstance(t, str) or own is None or not len(own):
-                out.append(t if isinstance(t, str) else None)
-                continue
-            parts, at = [], 0
-            for s in sorted(own, key=lambda s: (s["start"], -s["end"])):
-                if s["start"] >= at:
-                    parts += [t[at : s["start"]], f"[{s['kind'].upper()}]"]
-                at = max(at, s["end"])
-            out.append("".join(parts) + t[at:])
+            if not isinstance(t, str):
+                out.append(None)
+            else:
+                out.append(t if own is None else _masked(t, [(s["kind"], s["start"], s["end"]) for s in own]))
         return pd.Series(out, dtype=object)
 
     return docs.withColumn(text, udf(F.col(text), F.col(spans)))

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .vocab import PieceVocab, load_pieces
+from .vocab import PieceVocab, load_pieces, piece_trie
 
 BLANK = 0x20
 NEVER = -(1 << 50)
@@ -36,7 +36,7 @@ class Encoder:
         n = len(vocab.pieces)
         self.vocab = vocab
         known = [i for i, k in enumerate(vocab.kinds) if k == "piece"]
-        self.trie = tk.Trie([vocab.pieces[i] for i in known], known)
+        self.trie = piece_trie(vocab)
         self.score = np.maximum(np.array(vocab.scores, dtype=np.int64), -n)
         self.byte = np.array(vocab.byte_ids, dtype=np.int32)
         self.lone = -n - 10
@@ -194,7 +194,7 @@ def boundary_states(mats: list[np.ndarray]) -> tuple[list[int], int]:
     return states[::-1], int(ahead[-1][0, 0])
 
 
-@functools.lru_cache(maxsize=2)
+@functools.lru_cache(maxsize=1)
 def encoder(vocab: PieceVocab) -> Encoder:
     return Encoder(vocab)
 
@@ -271,6 +271,7 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
     def matrices(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc = encoder(sent.value)
         for pdf in batches:
+            tk.give_back()
             yield pd.DataFrame({"_text_key": pdf["_text_key"], "part": pdf["part"], "matrix": [enc.transfer(np.frombuffer(r, dtype=np.uint8), n).tobytes() for r, n in zip(pdf["raw"], pdf["size"], strict=True)]})
 
     def scan(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -289,6 +290,7 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
         for r, n, i, j in zip(raw, size, enter, leave, strict=True):
             own = np.frombuffer(r, dtype=np.uint8)[i : n + j]
             out.append(enc.encode_buffer(own, np.array([0, len(own)]))[0].astype("<i4").tobytes())
+        tk.give_back()
         return pd.Series(out, dtype=object)
 
     traced = chunks.join(states, ["_text_key", "part"]).select("_text_key", "part", F.hex(solve("raw", "size", "enter", "leave")).alias("ids"))

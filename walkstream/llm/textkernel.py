@@ -31,7 +31,7 @@ _cache: dict = {}
 def _tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     have = _cache.get("pow")
     if have is None or len(have[0]) < n:
-        n = max(n, 2 * _STEP)
+        n = max(n, _STEP + (1 << 16))
         _cache["pow"] = have = (_powers(_BASE, n), _powers(pow(_BASE, -1, 1 << 64), n))
     return have
 

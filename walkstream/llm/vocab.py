@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import functools
 import os
 from dataclasses import dataclass
 
+from . import textkernel as tk
+
 #: Where public tokenizer files lie unless a caller says otherwise.
 TOKENIZER_DIR = os.environ.get("WALKSTREAM_TOKENIZERS", "/opt/tokenizers")
 PIECE_MODEL = "piece_bpe_32k.model"
@@ -48,3 +51,10 @@ def load_pieces(path: str | None = None) -> PieceVocab:
             kinds.append("piece")
         scores.append(int(model.get_score(i)))
     return PieceVocab(f"{path}:{len(pieces)}", tuple(pieces), tuple(scores), tuple(kinds))
+
+
+@functools.lru_cache(maxsize=1)
+def piece_trie(vocab: PieceVocab) -> tk.Trie:
+    """One trie for all operators of a worker."""
+    known = [(p, i) for i, (p, k) in enumerate(zip(vocab.pieces, vocab.kinds, strict=True)) if k == "piece"]
+    return tk.Trie([p for p, _ in known], [i for _, i in known])
