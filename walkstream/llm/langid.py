@@ -23,7 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
-from .vocab import PieceVocab, load_pieces, piece_trie
+from .vocab import PieceVocab, load_pieces
+from .vocab import piece_trie as _trie
 
 #: Probability of any single byte that no piece covers.
 BYTE_FLOOR = 1e-9
@@ -191,7 +192,7 @@ def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "tex
         sent = sc.broadcast(log_probs)
 
         def partial(batches: Iterator[pd.DataFrame], sent=sent) -> Iterator[pd.DataFrame]:
-            trie = piece_trie(vocab_sent.value)
+            trie = _trie(vocab_sent.value)
             total = np.zeros((n_pieces, len(langs)))
             for pdf in batches:
                 b, o, codes, doc = _batch_words(pdf["_text"])
@@ -224,7 +225,7 @@ def _predict_slice(model: LanguageModel, text: pd.Series, temper: float) -> tupl
     if not model.langs or not n:
         return name, score
     b, o, codes, doc = _batch_words(text)
-    words = word_scores(piece_trie(model.vocab), model.log_probs, b, o)
+    words = word_scores(_trie(model.vocab), model.log_probs, b, o)
     total = np.stack([np.bincount(doc, weights=words[codes, k], minlength=n) for k in range(len(model.langs))], axis=1).astype(float)
     size = np.bincount(doc, weights=np.diff(o)[codes], minlength=n)
     total *= np.minimum(1.0, temper / np.maximum(size, 1))[:, None]

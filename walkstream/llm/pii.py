@@ -154,7 +154,12 @@ def _gold(text: str, chunks: list[tuple[int, int]], base: list[Span]) -> list[tu
 def fit(docs: DataFrame, text: str = "text", fit_documents: int = 300, fit_runs: int = 40, epochs: int = 4) -> Weights:
     """Averaged structured perceptron on a bounded sample."""
     rows = docs.select(F.col(text).alias("t")).where(F.col("t").rlike("[0-9@]")).select(F.xxhash64("t").alias("h"), F.substring("t", 1, 20_000).alias("t"))
-    return fit_texts([r["t"] for r in rows.orderBy("h", "t").limit(fit_documents).collect()], fit_runs, epochs)
+    # hashes first: only they travel from every task, texts just for the hashes chosen
+    least = [r["h"] for r in rows.select("h").orderBy("h").limit(fit_documents).collect()]
+    if not least:
+        return {}
+    texts = rows.where(F.col("h") <= least[-1]).distinct().orderBy("h", "t").limit(fit_documents)
+    return fit_texts([r["t"] for r in texts.collect()], fit_runs, epochs)
 
 
 def fit_texts(texts: list[str], fit_runs: int = 40, epochs: int = 4) -> Weights:
