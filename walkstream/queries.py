@@ -14,7 +14,8 @@ from .plans.iterate import Rounds
 from .sources import graphs
 from .streaming.updates import sliding_window_graph, update_rate
 
-BETA, ROUNDS, SOURCES = 0.2, 6, 4
+BETA, SOURCES = 0.2, 4
+ROUNDS = 6  # of the unrolled SQL only: the queries push until no node is over the threshold
 POWER_ROUNDS = 24
 
 
@@ -70,7 +71,7 @@ def power_ppr(spark, d):
 def _push(edges: DataFrame) -> DataFrame:
     p = _params(edges)
     _, m = graph.graph_size(edges)
-    return push.forward_push(edges, _sources(edges), p, p.r_max(m), max_rounds=ROUNDS)
+    return push.forward_push(edges, _sources(edges), p, p.r_max(m))
 
 
 def push_state(spark, d):
@@ -103,7 +104,8 @@ def power_push(spark, d):
 def backward_push(spark, d):
     edges = _basket(spark, d)
     t = _sources(edges, 2).select(F.col("source").alias("target"))
-    s = push.backward_push(edges, t, _params(edges), 1e-3, max_rounds=ROUNDS)
+    p, (n, m) = _params(edges), graph.graph_size(edges)
+    s = push.backward_push(edges, t, p, p.backward_r_max(m, n, False))
     return s.select("target", "node", F.round("reserve", 6).alias("reserve"), F.round("residue", 6).alias("residue"))
 
 
