@@ -4,8 +4,9 @@ Base spans (email, ip, card, phone) are found by linear scans and always stay. T
 chunks between blanks that hold a digit or an at sign. A segment is one to MAX_CHUNKS chunks with a kind, or one chunk of
 other text; features look at the whole segment (digits, groups, separators, Luhn sum, octets, shape at its ends). Dynamic
 programming over at most MAX_CHUNKS chunks per entity chooses boundaries and kinds together. Spans that touch no base span
-are added. Weights are fitted by an averaged structured perceptron on a bounded sample, labelled with base spans
-(`fit_documents` texts with the smallest hashes, at most `fit_runs` runs of each).
+are added. Weights are fitted by an averaged structured perceptron on a bounded sample, labelled with base spans: the
+`fit_documents` distinct texts with the smallest hashes; of each, read whole, the `fit_runs` distinct pieces of runs with the
+smallest hashes. A piece has `fit_chunks` chunks, more only where its end would cut a base span.
 
 Defined cases: a null or empty text has no spans; texts of any length are read whole; offsets are code points, the end
 exclusive; repeated rows are treated alike; an empty table fits no weights and adds nothing.
@@ -13,6 +14,10 @@ exclusive; repeated rows are treated alike; an empty table fits no weights and a
 
 from __future__ import annotations
 
+import bisect
+import hashlib
+import heapq
+import itertools
 import re
 from collections.abc import Iterator
 
@@ -151,31 +156,64 @@ def _gold(text: str, chunks: list[tuple[int, int]], base: list[Span]) -> list[tu
     return out
 
 
-def fit(docs: DataFrame, text: str = "text", fit_documents: int = 300, fit_runs: int = 40, epochs: int = 4) -> Weights:
+def fit(docs: DataFrame, text: str = "text", fit_documents: int = 300, fit_runs: int = 40, fit_chunks: int = 60, epochs: int = 4) -> Weights:
     """Averaged structured perceptron on a bounded sample."""
-    rows = docs.select(F.col(text).alias("t")).where(F.col("t").rlike("[0-9@]")).select(F.xxhash64("t").alias("h"), F.substring("t", 1, 20_000).alias("t"))
+    rows = docs.select(F.col(text).alias("t")).where(F.col("t").rlike("[0-9@]")).select(F.xxhash64("t").alias("h"), "t")
     # hashes first: only they travel from every task, texts just for the hashes chosen
-    least = [r["h"] for r in rows.select("h").orderBy("h").limit(fit_documents).collect()]
+    least = [r["h"] for r in rows.select("h").distinct().orderBy("h").limit(fit_documents).collect()]
     if not least:
         return {}
-    texts = rows.where(F.col("h") <= least[-1]).distinct().orderBy("h", "t").limit(fit_documents)
-    return fit_texts([r["t"] for r in texts.collect()], fit_runs, epochs)
 
+    def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for h, t in zip(batch["h"], batch["t"], strict=True):
+                cases = fit_cases(t, fit_runs, fit_chunks)
+                gold = [[dict(zip(("i", "j", "kind"), g, strict=True)) for g in gold] for _, gold in cases]
+                yield pd.DataFrame({"h": [h] * len(cases), "k": range(len(cases)), "piece": [piece for piece, _ in cases], "gold": gold})
 
-def fit_texts(texts: list[str], fit_runs: int = 40, epochs: int = 4) -> Weights:
-    cases = []
-    for t in sorted(set(texts)):
-        base = base_spans(t)
-        for k, chunks in enumerate(runs(t)):
-            if k == fit_runs:
-                break
-            cases.append((t, chunks[:60], base))
+    texts = rows.where(F.col("h") <= least[-1]).distinct()
+    found = texts.mapInPandas(cut, "h long, k long, piece string, gold array<struct<i:int,j:int,kind:string>>").collect()  # fit_documents x fit_runs pieces
+    found.sort(key=lambda r: (r["h"], r["k"], r["piece"]))
+    return fit_pieces([(r["piece"], [(g["i"], g["j"], g["kind"]) for g in r["gold"]]) for r in found], epochs)
+
+
+Case = tuple[str, list[tuple[int, int, str]]]
+
+
+def fit_cases(text: str, fit_runs: int = 40, fit_chunks: int = 60) -> list[Case]:
+    """(piece of a run, its base spans as segments): the fit_runs distinct pieces with the smallest hashes, of the whole text.
+
+    A run is cut after every fit_chunks chunks, or later where that would be inside a base span.
+    """
+    base = base_spans(text)
+    spans = sorted((s, e) for _, s, e in base)
+    starts, reach = [s for s, _ in spans], list(itertools.accumulate((e for _, e in spans), max))
+
+    def inside(at: int) -> bool:
+        n = bisect.bisect_left(starts, at)
+        return n > 0 and reach[n - 1] > at
+
+    pieces: dict[str, list[tuple[int, int]]] = {}
+    for chunks in runs(text):
+        i = 0
+        while i < len(chunks):
+            j = min(i + fit_chunks, len(chunks))
+            while j < len(chunks) and inside(chunks[j][0]):
+                j += 1
+            pieces.setdefault(text[chunks[i][0] : chunks[j - 1][1]], chunks[i:j])
+            i = j
+    chosen = heapq.nsmallest(fit_runs, pieces, key=lambda p: (hashlib.md5(p.encode("utf-8", "replace")).digest(), p))
+    return [(p, _gold(text, pieces[p], base)) for p in chosen]
+
+
+def fit_pieces(cases: list[Case], epochs: int = 4) -> Weights:
     weights: Weights = {}
     total: Weights = {}
     step = 1
     for _ in range(epochs):
-        for t, chunks, base in cases:
-            gold, got = _gold(t, chunks, base), decode_run(t, chunks, weights)
+        for t, gold in cases:
+            chunks = [c.span() for c in _CHUNK.finditer(t)]
+            got = decode_run(t, chunks, weights)
             if gold != got:
                 for segments, sign in ((gold, 1.0), (got, -1.0)):
                     for i, j, kind in segments:
