@@ -2,7 +2,7 @@
 
 from pyspark.sql import functions as F
 
-from walkstream.llm import pii
+from walkstream.llm import langid, pii
 
 
 def test_copies_do_not_fill_the_personal_data_fit(spark):
@@ -19,3 +19,18 @@ def test_the_end_of_a_long_text_teaches(spark):
     digits = "7 " * 100 + "a@b.de"
     assert any(k == "email" for _, gold in pii.fit_cases(digits) for _, _, k in gold)
     assert ("x1 y2 +49 30 123456", [(0, 1, "O"), (1, 2, "O"), (2, 5, "phone")]) in pii.fit_cases("x1 y2 +49 30 123456 z3", fit_chunks=3)
+
+
+def test_language_fit_takes_copies_once_and_all_of_a_rare_language(spark):
+    h = F.pmod(F.xxhash64("text"), F.lit(1 << 30))
+    own = spark.range(12_000).select(F.concat(F.lit("the house number "), F.col("id").cast("string")).alias("text"), F.lit("en").alias("lang"))
+    first = own.orderBy(h).first().text
+    copies = spark.range(4_000).select(F.lit(first).alias("text"), F.lit("en").alias("lang"))
+    last = spark.range(40).select(F.concat(F.lit("ein kleines haus "), F.col("id").cast("string")).alias("text"), F.lit("de").alias("lang")).orderBy(h.desc()).limit(1)
+    rows = own.unionByName(copies).unionByName(last).coalesce(4)
+    langs, sample = langid.fit_sample(rows)
+    got = sample.collect()
+    assert langs == ("de", "en") and len(got) == len({r._text for r in got})
+    assert sum(r._lang == "de" for r in got) == 1 and abs(len(got) - 4_000) < 5 * 4_000**0.5
+    model = langid.train(rows, rounds=1)
+    assert model.log_probs[:, 0].max() - model.log_probs[:, 0].min() > 1

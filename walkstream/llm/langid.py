@@ -5,8 +5,9 @@ of its segmentations into pieces, by a forward pass; words are independent, sinc
 probabilities are fitted by expectation-maximisation: each round sums expected piece counts over words of labelled
 texts in the executors; the driver gets a table of vocabulary x languages, never texts.
 
-The fit may use a bounded sample: `fit_documents` labelled rows (in the mean), taken by a hash of the text. Prediction covers
-every whole text. score is the posterior of the language predicted, with equal priors, tempered by `temper` characters.
+The fit may use a bounded sample of distinct labelled texts, taken by a hash of the text: of each language its part of
+`fit_documents`, or `fit_least` if that is more (both in the mean), and all if it has no more than `fit_least`. Prediction
+covers every whole text. score is the posterior of the language predicted, with equal priors, tempered by `temper` characters.
 
 Defined cases: a null text, or one without a letter, is `und` with score 0; without labelled rows every text is `und`; ties
 go to the smaller language name; repeated rows are predicted alike. Existing columns of the result names are replaced.
@@ -170,21 +171,30 @@ def _batch_words(text: pd.Series) -> tuple[np.ndarray, np.ndarray, np.ndarray, n
     return b, o, codes, doc
 
 
-def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "text", lang: str = "lang", rounds: int = 2, fit_documents: int = 4_000) -> LanguageModel:
+def fit_sample(labelled: DataFrame, text: str = "text", lang: str = "lang", fit_documents: int = 4_000, fit_least: int = 1_000) -> tuple[tuple[str, ...], DataFrame]:
+    """(languages, distinct labelled texts of the fit as _text, _lang)."""
+    rows = labelled.select(F.col(text).alias("_text"), F.col(lang).alias("_lang")).where("_lang is not null and _text is not null").withColumn("_h", F.xxhash64("_text"))
+    # hashes only: copies of a text count once, and texts stay where they are
+    counts = rows.select("_lang", "_h").distinct().groupBy("_lang").count().limit(1001).collect()
+    if len(counts) > 1000:
+        raise ValueError("more than 1,000 languages")
+    n = {r["_lang"]: r["count"] for r in counts}
+    every = sum(n.values())
+    share = {x: min(1.0, max(fit_documents / every, fit_least / c)) for x, c in n.items()}
+    limits = labelled.sparkSession.createDataFrame([(x, int(v * (1 << 30))) for x, v in share.items()], "_lang string, _limit long")  # a row for each language
+    chosen = rows.join(F.broadcast(limits), "_lang").where(F.pmod("_h", F.lit(1 << 30)) < F.col("_limit"))
+    parts = 2 * labelled.sparkSession.sparkContext.defaultParallelism
+    return tuple(sorted(n)), chosen.select("_text", "_lang").distinct().repartition(parts, F.xxhash64("_text"))
+
+
+def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "text", lang: str = "lang", rounds: int = 2, fit_documents: int = 4_000, fit_least: int = 1_000) -> LanguageModel:
     """Fit piece probabilities on rows with a non-null label. Languages: a bounded dimension (at most 1,000)."""
     vocab = vocab or load_pieces()
-    rows = labelled.select(F.col(text).alias("_text"), F.col(lang).alias("_lang")).where("_lang is not null and _text is not null")
-    counts = rows.groupBy("_lang").count().limit(1001).collect()
-    langs = tuple(sorted(r["_lang"] for r in counts))
-    if len(langs) > 1000:
-        raise ValueError("more than 1,000 languages")
-    n = sum(r["count"] for r in counts)
+    langs, sample = fit_sample(labelled, text, lang, fit_documents, fit_least)
     n_pieces = len(vocab.pieces)
     log_probs = np.full((n_pieces, max(1, len(langs))), -np.log(n_pieces))
-    if not n:
+    if not langs:
         return LanguageModel((), vocab, log_probs)
-    share = min(1.0, fit_documents / n)
-    sample = rows.where(F.pmod(F.xxhash64("_text"), F.lit(1 << 30)) < int(share * (1 << 30))) if share < 1 else rows
     index = {x: i for i, x in enumerate(langs)}
     sc = labelled.sparkSession.sparkContext
     vocab_sent = sc.broadcast(vocab)
