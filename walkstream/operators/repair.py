@@ -68,8 +68,8 @@ def _hits(records: DataFrame, touched: DataFrame, net: DataFrame, new_adj: DataF
     on_kept = r.where("not removed and k > 0")
     if sampler == "bernoulli":
         redirected = on_kept.where(u01(p.seed, f"hit{epoch}", F.col("walk_id"), F.col("step")) < F.col("k") / F.col("b"))
-    else:  # single insertions at a node: k = 1
-        redirected = sample_records(on_kept, touched.select("node", F.col("b").alias("d")), p.seed, epoch, sampler).join(F.broadcast(touched), "node")
+    else:
+        redirected = sample_records(on_kept, touched.select("node", F.col("b").alias("d"), "k"), p.seed, epoch, sampler).join(F.broadcast(touched), "node")
     u = u01(p.seed, f"newedge{epoch}", F.col("walk_id"), F.col("step"))
     fresh = net.where("op = '+'").select(F.col("src").alias("node"), F.col("dst").alias("to"), (F.row_number().over(Window.partitionBy("src").orderBy("dst")) - 1).cast("long").alias("pick"))
     every = new_adj.select(F.col("src").alias("node"), F.col("dst").alias("to"), F.col("slot").alias("pick"))

@@ -1,6 +1,6 @@
-"""Choosing which records of a node are redirected by an insertion: each with probability 1/d.
+"""Choosing which records of a node are redirected by an insertion: each with probability k/d.
 
-records: node, walk_id, step, next. deg: node, d. All draws are keyed by seed and epoch.
+records: node, walk_id, step, next. deg: node, d and k, the number of insertions at the node (1 where the column is missing). All draws are keyed by seed and epoch.
 
 bernoulli looks at each record; geometric jumps between hits; binomial draws the number of hits and then that many distinct
 records; edge_uniform draws the number and for each hit an active edge uniformly and a record on it (its spread over edges is
@@ -28,11 +28,11 @@ def generator(seed: int, *keys) -> np.random.Generator:
 
 
 def binomial_draw(seed: int, purpose: str, epoch: int):
-    """Arrow UDF (node, n, d) -> number of hits among n records."""
+    """Arrow UDF (node, n, d, k) -> number of hits among n records."""
 
     @F.pandas_udf("long")
-    def draw(node: pd.Series, n: pd.Series, d: pd.Series) -> pd.Series:
-        return pd.Series([int(generator(seed, purpose, epoch, v).binomial(c, 1.0 / x)) for v, c, x in zip(node, n, d, strict=True)], dtype="int64")
+    def draw(node: pd.Series, n: pd.Series, d: pd.Series, k: pd.Series) -> pd.Series:
+        return pd.Series([int(generator(seed, purpose, epoch, v).binomial(c, y / x)) for v, c, x, y in zip(node, n, d, k, strict=True)], dtype="int64")
 
     return draw
 
@@ -45,38 +45,38 @@ def _numbered(records: DataFrame, seed: int, epoch: int) -> DataFrame:
 
 def sample_records(records: DataFrame, deg: DataFrame, seed: int, epoch: int, how: str = "bernoulli") -> DataFrame:
     cols = ["node", "walk_id", "step", "next"]
-    own = records.select(*cols).join(deg.select("node", "d"), "node")
+    own = records.select(*cols).join(deg.select("node", "d", (F.col("k") if "k" in deg.columns else F.lit(1)).alias("k")), "node")
     if how == "bernoulli":
-        return own.where(u01(seed, f"hit{epoch}", F.col("walk_id"), F.col("step")) < 1.0 / F.col("d")).select(*cols)
+        return own.where(u01(seed, f"hit{epoch}", F.col("walk_id"), F.col("step")) < F.col("k") / F.col("d")).select(*cols)
     if how == "geometric":
 
         @F.pandas_udf("array<long>")
-        def jumps(node: pd.Series, n: pd.Series, d: pd.Series) -> pd.Series:
+        def jumps(node: pd.Series, n: pd.Series, d: pd.Series, k: pd.Series) -> pd.Series:
             out = []
-            for v, c, x in zip(node, n, d, strict=True):
+            for v, c, x, y in zip(node, n, d, k, strict=True):
                 g, at, hits = generator(seed, "gap", epoch, v), 0, []
                 while True:
-                    at += int(g.geometric(1.0 / x))
+                    at += int(g.geometric(y / x))
                     if at > c:
                         break
                     hits.append(at)
                 out.append(hits)
             return pd.Series(out)
 
-        counts = own.groupBy("node", "d").agg(F.count("*").alias("n"))
-        hits = counts.select("node", F.explode(jumps("node", "n", "d")).alias("_pos"))
+        counts = own.groupBy("node", "d", "k").agg(F.count("*").alias("n"))
+        hits = counts.select("node", F.explode(jumps("node", "n", "d", "k")).alias("_pos"))
         return _numbered(own, seed, epoch).join(hits, ["node", "_pos"]).select(*cols)
     if how == "binomial":
-        counts = own.groupBy("node", "d").agg(F.count("*").alias("n"))
-        hits = counts.select("node", binomial_draw(seed, "hits", epoch)("node", "n", "d").alias("_k"))
-        return _numbered(own, seed, epoch).join(hits, "node").where("_pos <= _k").select(*cols)
+        counts = own.groupBy("node", "d", "k").agg(F.count("*").alias("n"))
+        hits = counts.select("node", binomial_draw(seed, "hits", epoch)("node", "n", "d", "k").alias("_hits"))
+        return _numbered(own, seed, epoch).join(hits, "node").where("_pos <= _hits").select(*cols)
     if how not in ("edge_uniform", "edge_weighted"):
         raise ValueError(how)
 
     def pick(pdf: pd.DataFrame) -> pd.DataFrame:
         g = generator(seed, how, epoch, int(pdf["node"].iloc[0]))
         pdf = pdf.sort_values(["next", "walk_id", "step"], ignore_index=True)
-        k = int(g.binomial(len(pdf), 1.0 / pdf["d"].iloc[0]))
+        k = int(g.binomial(len(pdf), pdf["k"].iloc[0] / pdf["d"].iloc[0]))
         left = {e: list(i) for e, i in pdf.groupby("next").indices.items()}
         chosen = []
         for _ in range(k):
