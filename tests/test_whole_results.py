@@ -32,3 +32,9 @@ def test_pushes_end_below_the_threshold(spark, on_ring):
     assert state and all(r.residue < p.r_max(N) for r in state)
     for r in queries.backward_push(spark, "").collect():
         assert r.reserve - 1e-6 <= want[r.node, r.target] <= r.reserve + 1 / N + 1e-6 and r.residue < 1 / N
+
+
+def test_power_method_places_all_mass(spark, on_ring):
+    want = exact()
+    got = queries.power_ppr(spark, "").collect()
+    assert got and all(abs(r.score - want[r.source, r.node]) < 1e-6 for r in got)

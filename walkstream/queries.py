@@ -16,7 +16,7 @@ from .streaming.updates import sliding_window_graph, update_rate
 
 BETA, SOURCES = 0.2, 4
 ROUNDS = 6  # of the unrolled SQL only: the queries push until no node is over the threshold
-POWER_ROUNDS = 24
+POWER_ROUNDS = 24  # of the unrolled SQL only
 
 
 def _basket(spark: SparkSession, d: str) -> DataFrame:
@@ -65,7 +65,7 @@ def params_table(spark, d):
 
 def power_ppr(spark, d):
     edges = _basket(spark, d)
-    return _rounded(push.power_ppr(edges, _sources(edges), _params(edges), POWER_ROUNDS))
+    return _rounded(push.power_ppr(edges, _sources(edges), _params(edges)))
 
 
 def _push(edges: DataFrame) -> DataFrame:
@@ -311,7 +311,7 @@ def hub_updates(spark, d):
 def relative_error(spark, d):
     edges = _basket(spark, d)
     p = _params(edges)
-    exact = push.power_ppr(edges, _sources(edges), p, 48)
+    exact = push.power_ppr(edges, _sources(edges), p)
     e = metrics.relative_error(query.query_indexed(repair.build_state(edges, p), _sources(edges)), exact, p.delta)
     return e.select("source", "nodes", F.round("avg_error", 6).alias("avg_error"), F.round("max_error", 6).alias("max_error"))
 
@@ -319,7 +319,7 @@ def relative_error(spark, d):
 def topk_quality(spark, d):
     edges = _basket(spark, d)
     p = _params(edges)
-    exact = push.power_ppr(edges, _sources(edges), p, 48)
+    exact = push.power_ppr(edges, _sources(edges), p)
     return metrics.topk_quality(query.query_topk(repair.build_state(edges, p), _sources(edges), 50), exact, 50, p.epsilon, p.delta)
 
 
