@@ -1,5 +1,7 @@
 """Registered queries do the whole job: brute force on small fixtures, no fixed cut of rounds, rows or digits."""
 
+import json
+
 import numpy as np
 import pytest
 
@@ -38,3 +40,14 @@ def test_power_method_places_all_mass(spark, on_ring):
     want = exact()
     got = queries.power_ppr(spark, "").collect()
     assert got and all(abs(r.score - want[r.source, r.node]) < 1e-6 for r in got)
+
+
+def test_graph_as_of_reads_the_whole_log(spark):
+    last = {}
+    for r in spark.read.parquet("/root/testdata/sf0.01/events.parquet").orderBy("event_id").collect():
+        k = json.loads(r.props).get("k")
+        if k is not None:
+            last[r.user_id, int(k)] = r.event_id % 7 != 0
+    got = {(r.src, r.dst) for r in queries.graph_as_of(spark, "/root/testdata/sf0.01").collect()}
+    assert got == {e for e, there in last.items() if there}
+    print("rows", len(got))

@@ -275,7 +275,7 @@ def staleness(spark, d):
     state, ups = _batch(spark, d, 10)
     net = Rounds(spark, "net").keep(graph.normalize_updates(ups, state.edges))
     sigma = engines.staleness_step(spark.createDataFrame([], "node long, sigma double"), graph.apply_updates(state.edges, net), net, state.params)
-    return sigma.where("sigma > 0.01").select("node", F.round("sigma", 5).alias("sigma"))
+    return sigma.select("node", F.round("sigma", 9).alias("sigma"))
 
 
 def _lazy(optimistic: bool):
@@ -351,7 +351,8 @@ def _log(spark, d) -> DataFrame:
 
 
 def graph_as_of(spark, d):
-    return graph.graph_as_of(_log(spark, d), 500)
+    log = _log(spark, d)
+    return graph.graph_as_of(log, log.agg(F.max("tau")).first()[0])
 
 
 def window_update_rate(spark, d):
