@@ -51,3 +51,10 @@ def test_graph_as_of_reads_the_whole_log(spark):
     got = {(r.src, r.dst) for r in queries.graph_as_of(spark, "/root/testdata/sf0.01").collect()}
     assert got == {e for e, there in last.items() if there}
     print("rows", len(got))
+
+
+def test_scores_of_delta_stay_on_large_graphs(spark):
+    p = PprParams.for_graph(5_000_000)
+    rows = spark.createDataFrame([(1, 2, p.delta), (1, 3, p.delta / 1e6), (1, 4, 0.0)], "source long, node long, score double").coalesce(1)
+    got = {r.node: r.score for r in queries._rounded(rows, p).collect()}
+    assert set(got) == {2, 3} and abs(got[2] - p.delta) < p.delta / 1000

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -32,8 +33,9 @@ def _sources(edges: DataFrame, n: int = SOURCES) -> DataFrame:
     return workloads.pick_sources(edges, n)
 
 
-def _rounded(df: DataFrame) -> DataFrame:
-    return df.select("source", "node", F.round("score", 6).alias("score")).where("score > 0")
+def _rounded(df: DataFrame, p: PprParams) -> DataFrame:
+    """Every node with a score; at least three digits below the threshold delta."""
+    return df.where("score > 0").select("source", "node", F.round("score", max(6, math.ceil(-math.log10(p.delta)) + 3)).alias("score"))
 
 
 def _graph(name: str):
@@ -65,7 +67,7 @@ def params_table(spark, d):
 
 def power_ppr(spark, d):
     edges = _basket(spark, d)
-    return _rounded(push.power_ppr(edges, _sources(edges), _params(edges)))
+    return _rounded(push.power_ppr(edges, _sources(edges), _params(edges)), _params(edges))
 
 
 def _push(edges: DataFrame) -> DataFrame:
@@ -98,7 +100,7 @@ def power_push(spark, d):
     p = _params(edges)
     every = edges.select(F.col("src").alias("source")).distinct()
     s = push.power_push(edges, every, p, 1e-9, dense_fraction=0.05)
-    return _rounded(s.select("source", "node", F.col("reserve").alias("score"))).withColumn("score", F.round("score", 5))
+    return _rounded(s.select("source", "node", F.col("reserve").alias("score")), p).withColumn("score", F.round("score", 5))
 
 
 def backward_push(spark, d):
@@ -148,12 +150,12 @@ def node_counters(spark, d):
 
 def query_indexed(spark, d):
     edges = _basket(spark, d)
-    return _rounded(query.refine(_push(edges), walks.walk_ends(_index(edges)), _params(edges)))
+    return _rounded(query.refine(_push(edges), walks.walk_ends(_index(edges)), _params(edges)), _params(edges))
 
 
 def query_indexed_all(spark, d):
     edges = _basket(spark, d)
-    return _rounded(query.refine(_push(edges), walks.walk_ends(_index(edges)), _params(edges), budget="all"))
+    return _rounded(query.refine(_push(edges), walks.walk_ends(_index(edges)), _params(edges), budget="all"), _params(edges))
 
 
 def query_monte_carlo(spark, d):
@@ -163,17 +165,17 @@ def query_monte_carlo(spark, d):
 
 def query_online(spark, d):
     edges = Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
-    return _rounded(query.query_online(edges, _sources(edges), _params(edges, delta=0.01, p_f=0.01)))
+    return _rounded(query.query_online(edges, _sources(edges), _params(edges, delta=0.01, p_f=0.01)), _params(edges))
 
 
 def query_online_balanced(spark, d):
     edges = Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
-    return _rounded(query.query_online(edges, _sources(edges), _params(edges, delta=0.01, p_f=0.01), mode="balanced", blended=True))
+    return _rounded(query.query_online(edges, _sources(edges), _params(edges, delta=0.01, p_f=0.01), mode="balanced", blended=True), _params(edges))
 
 
 def query_by_visits(spark, d):
     edges = _basket(spark, d)
-    return _rounded(query.query_by_visits(repair.build_state(edges, _params(edges)), _sources(edges)))
+    return _rounded(query.query_by_visits(repair.build_state(edges, _params(edges)), _sources(edges)), _params(edges))
 
 
 def topk_full(spark, d):
@@ -190,7 +192,7 @@ def topk_iterative(spark, d):
 def pair(spark, d):
     edges = _basket(spark, d)
     s = query.refine(_push(edges), walks.walk_ends(_index(edges)), _params(edges))
-    return _rounded(s.where("node = 17"))
+    return _rounded(s.where("node = 17"), _params(edges))
 
 
 def _batch(spark, d, n: int = 200):
@@ -285,7 +287,7 @@ def _lazy(optimistic: bool):
         start = split.where("part = 'initial'").select("src", "dst")
         engine = engines.LazyEngine(start, _params(edges), optimistic=optimistic)
         engine.update(workloads.updates_from(split, 10))
-        return _rounded(engine.query(_sources(edges)))
+        return _rounded(engine.query(_sources(edges)), engine.p)
 
     return run
 
