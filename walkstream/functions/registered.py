@@ -21,9 +21,10 @@ class PprWalk:
 
 def register(spark: SparkSession, p: PprParams) -> None:
     spark.udtf.register("ppr_walk", PprWalk)
-    e = p.epsilon
-    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION ppr_omega(delta DOUBLE, p_f DOUBLE) RETURNS DOUBLE RETURN (2 * {e} / 3 + 2) * ln(2 / p_f) / ({e} * {e} * delta)")
-    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION ppr_walks(residue DOUBLE) RETURNS BIGINT RETURN ceil(residue * {p.omega!r})")
+    factor = (2 * p.epsilon / 3 + 2) / (p.epsilon * p.epsilon)
+    double = lambda v: f"DOUBLE('{v!r}')"  # noqa: E731  (a plain literal would be a decimal)
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION ppr_omega(delta DOUBLE, p_f DOUBLE) RETURNS DOUBLE RETURN {double(factor)} * ln(2 / p_f) / delta")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION ppr_walks(residue DOUBLE) RETURNS BIGINT RETURN ceil(residue * {double(p.omega)})")
 
 
 def views(state: IndexState, ppr: DataFrame | None = None) -> None:

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+import math
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-#: Hop counts are drawn by comparing with cumulative probabilities up to this length.
-LONGEST = 160
 _BITS52 = float(1 << 52)
 
 
@@ -24,12 +25,23 @@ def u01_sql(seed: int, purpose: str, *keys: str) -> str:
     return f"(CAST('0x' || substr(md5({text}), 1, 13) AS BIGINT) / {int(_BITS52)}.0)"
 
 
+def id_keys(df: DataFrame, name: str = "walk_id") -> list[Column]:
+    """The parts of an id column as keys of `u01`: its fields, or itself if it has none."""
+    kind = df.schema[name].dataType
+    return [F.col(f"{name}.{f}") for f in kind.names] if isinstance(kind, StructType) else [F.col(name)]
+
+
 def hop_thresholds(alpha: float) -> list[float]:
-    return [1 - (1 - alpha) ** k for k in range(1, LONGEST)]
+    """Cumulative probabilities of the hop counts, as far as a uniform of 52 bits can tell them from 1."""
+    longest = math.ceil(52 * math.log(2) / -math.log1p(-alpha))
+    return [1 - (1 - alpha) ** k for k in range(1, longest)]
 
 
-def geometric(u: Column, alpha: float, least: int = 1) -> Column:
-    """Hop count: least, and one more for each threshold that u reaches."""
+def geometric(u: Column, alpha: float, least: int = 1, fast: bool = False) -> Column:
+    """Hop count: least, and one more for each threshold that u reaches. Portable: by comparison with the thresholds, which
+    every engine does alike; fast: by logarithms."""
+    if fast:
+        return (F.floor(F.log1p(-u) / F.lit(math.log1p(-alpha))) + F.lit(least)).cast("int")
     steps = F.array(*[F.lit(t) for t in hop_thresholds(alpha)])
     return (F.size(F.filter(steps, lambda t: u >= t)) + F.lit(least)).cast("int")
 

@@ -2,34 +2,55 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.params import PprParams
 from ..plans.iterate import Rounds
+from ..plans.store import StateStore
 from .graph import adjacency, apply_updates, degrees, graph_size, normalize_updates
-from .push import backward_push, forward_push
-from .query import best_k, query_indexed, query_online, query_topk, refine
-from .repair import IndexState, apply_batch, build_state
-from .walks import advance, new_walks, walk_ends
+from .push import PushGraph, backward_push, forward_push
+from .query import query_indexed, query_online, query_topk, refine, topk_by_levels, topk_online
+from .repair import IndexState, apply_batch, build_state, touched_nodes
+from .walks import advance, build_walk_index, counted, new_walks, walk_ends
+
+UPDATE = "tau long, op string, src long, dst long"
+
+
+def _one_by_one(updates: DataFrame):
+    """The updates as frames of one row, in order: the paper's edge-at-a-time form. Use batches for long logs."""
+    for r in updates.orderBy("tau").collect():
+        yield updates.sparkSession.createDataFrame([(r["tau"], r["op"], r["src"], r["dst"])], UPDATE)
 
 
 class EagerEngine:
-    """Stored paths, repaired at each update (batch: all updates at once, else edge by edge)."""
+    """Stored paths, repaired at each update (batch: all updates at once, else edge by edge). store: keep the index on disk
+    with `parts` partitions and repair it by deltas."""
 
-    def __init__(self, edges: DataFrame, p: PprParams, sampler: str = "bernoulli", batch: bool = True):
-        self.state, self.sampler, self.batch = build_state(edges, p), sampler, batch
+    def __init__(self, edges: DataFrame, p: PprParams, sampler: str = "bernoulli", batch: bool = True, store: bool = False, parts: int = 64):
+        self.sampler, self.batch = sampler, batch
+        self.state = build_state(edges, p)
+        self.store = StateStore(edges.sparkSession, Rounds(edges.sparkSession, "store").base, parts) if store else None
+        if self.store:
+            self.store.save(self.state)
+
+    def _apply(self, updates: DataFrame) -> dict:
+        if self.store:
+            stats = self.store.apply(updates, self.sampler)
+            self.state = self.store.load()
+            return stats
+        self.state = apply_batch(self.state, updates, self.sampler)
+        return self.state.stats
 
     def update(self, updates: DataFrame) -> dict:
         if self.batch:
-            self.state = apply_batch(self.state, updates, self.sampler)
-            return self.state.stats
-        spark, sums = updates.sparkSession, {}
-        for r in updates.orderBy("tau").collect():  # the paper's edge-at-a-time form; use batches for long logs
-            one = spark.createDataFrame([(r["tau"], r["op"], r["src"], r["dst"])], "tau long, op string, src long, dst long")
-            self.state = apply_batch(self.state, one, self.sampler)
-            sums = {k: sums.get(k, 0) + v for k, v in self.state.stats.items()}
+            return self._apply(updates)
+        sums: dict = {}
+        for one in _one_by_one(updates):
+            sums = {k: sums.get(k, 0) + v for k, v in self._apply(one).items()}
         return sums
 
     def query(self, sources: DataFrame) -> DataFrame:
@@ -54,88 +75,119 @@ class OnlineEngine:
         return query_online(self.edges, sources, self.p, self.mode)
 
     def topk(self, sources: DataFrame, k: int) -> DataFrame:
-        return best_k(self.query(sources), k)
+        return topk_online(self.edges, sources, k, self.p, self.mode)
 
 
 class RebuildEngine(OnlineEngine):
-    """Endpoint index, built anew after each update."""
+    """Endpoint index, built anew after each update, with draws of its own (batch: after all updates at once)."""
 
-    def __init__(self, edges: DataFrame, p: PprParams):
+    def __init__(self, edges: DataFrame, p: PprParams, batch: bool = True):
         super().__init__(edges, p)
-        self.epoch = 0
+        self.batch, self.epoch = batch, 0
         self._build()
 
-    def _build(self) -> None:
-        s = build_state(self.edges, self.p)
-        self.state = IndexState(self.edges, s.walks, self.p, self.epoch)
+    def _build(self) -> int:
+        walks, n = self.rounds.keep_seen(build_walk_index(self.edges, self.p, epoch=self.epoch, store="ends"), F.count("*"))
+        self.state = IndexState(self.edges, walks, self.p, self.epoch)
+        return n
 
     def update(self, updates: DataFrame) -> dict:
-        super().update(updates)
-        self.epoch += 1
-        self._build()
-        return {"rebuilt": self.state.walks.count()}
+        built = 0
+        for part in [updates] if self.batch else _one_by_one(updates):
+            super().update(part)
+            self.epoch += 1
+            built += self._build()
+        return {"rebuilt": built}
 
     def query(self, sources: DataFrame) -> DataFrame:
         return query_indexed(self.state, sources)
 
+    def topk(self, sources: DataFrame, k: int) -> DataFrame:
+        return query_topk(self.state, sources, k)
+
 
-def staleness_step(sigma: DataFrame, edges: DataFrame, net: DataFrame, p: PprParams, undirected: bool = False) -> DataFrame:
-    """Add to the staleness of each node the expected share of its walks that the updates make stale.
+def staleness_step(edges: DataFrame, touched: DataFrame, p: PprParams, undirected: bool = False) -> tuple[DataFrame, float]:
+    """What a batch adds to the staleness of the nodes: (node, sigma) beyond a floor that every node gets, and the floor.
 
-    By backward push from each changed node u: a walk crosses u (1/alpha) * score times at most, each crossing goes stale with
-    probability 1/d. `edges`: the graph after the update; deletions count with the old degree.
+    An upper bound of the expected share of a node's walks that the updates make stale, by backward push from each changed
+    node u: a walk from w crosses u score(w, u) / alpha times in the mean (walks with a hop), the score is at most the reserve
+    plus the threshold, and a crossing goes stale if its edge is removed (gone of a) or redirected (k of b). Nodes that the
+    push didn't reach have reserve 0 but still the threshold, which is the floor. `edges`: the graph after the update.
     """
     n, m = graph_size(edges)
-    r_b = p.backward_r_max(m, n, undirected)
-    changes = net.groupBy(F.col("src").alias("target")).agg(F.count("*").alias("changes"), F.sum(F.when(F.col("op") == "-", 1).otherwise(0)).alias("gone"))
-    back = backward_push(edges, changes.select("target"), p, r_b, scale_by_degree=undirected)
-    d = degrees(edges).select(F.col("node").alias("target"), "out_deg")
-    bound = (F.col("reserve") + r_b) / p.alpha * F.col("changes") / F.greatest(F.coalesce("out_deg", F.lit(0)) + F.col("gone"), F.lit(1))
-    more = back.join(changes, "target").join(d, "target", "left").select("node", F.least(F.lit(1.0), bound).alias("sigma"))
-    return sigma.unionByName(more).groupBy("node").agg(F.sum("sigma").alias("sigma"))
+    stale = F.when(F.col("a") == 0, 1.0).otherwise((F.col("gone") + (F.col("a") - F.col("gone")) * F.when(F.col("b") > 0, F.col("k") / F.col("b")).otherwise(0.0)) / F.col("a"))
+    rate = touched.select(F.col("node").alias("target"), (stale / p.alpha).alias("rate"))
+    back = backward_push(edges, rate.select("target"), p, p.backward_r_max(m, n, undirected), scale_by_degree=undirected).join(rate, "target")
+    bound = lambda reserve: F.least(F.lit(1.0), (reserve + F.col("limit")) * F.col("rate"))
+    floor = back.groupBy("target").agg(F.first(bound(F.lit(0.0))).alias("f")).agg(F.sum("f")).first()[0] or 0.0
+    more = back.select("node", (bound(F.col("reserve")) - bound(F.lit(0.0))).alias("sigma"))
+    return more.groupBy("node").agg(F.sum("sigma").alias("sigma")), floor
+
 
+#: Errors are ranked by bands of 2 ** (1 / BANDS), then in DEALT groups of nodes.
+BANDS, DEALT = 64, 64
 
-def lazy_plan(sigma: DataFrame, push: DataFrame, allowed: float) -> DataFrame:
-    """Nodes whose walks must be rebuilt: the shortest prefix by staleness x residue that leaves at most `allowed`.
 
-    Prefix sums run over ranges of the error's magnitude first, then within the one range where the budget ends.
+def lazy_plan(sigma: DataFrame, push: DataFrame, allowed: float, floor: float = 0.0) -> DataFrame:
+    """Nodes whose walks must be rebuilt: those with the largest staleness x residue, until what is left is at most `allowed`.
+
+    Errors are ranked by bands of about 1 %, within a band by (node mod 64, error, node). Prefix sums run over the bands, then
+    over the groups of the band where the budget ends, then within one group, so no task holds all nodes, even where all
+    errors are equal. floor: staleness of every node beside its own.
     """
     load = push.groupBy("node").agg(F.max("residue").alias("residue"))
-    e = sigma.join(load, "node").select("node", (F.col("sigma") * F.col("residue")).alias("e")).where("e > 0").withColumn("range", F.floor(-F.log2("e") * 8).cast("int"))
-    ranges = e.groupBy("range").agg(F.sum("e").alias("sum"))
-    w = Window.orderBy(F.desc("range")).rowsBetween(Window.unboundedPreceding, -1)  # one row for each magnitude: a few thousand at most
-    below = ranges.select("range", F.coalesce(F.sum("sum").over(w), F.lit(0.0)).alias("below"), "sum")
-    j = e.join(F.broadcast(below), "range")
+    own = load.join(sigma, "node", "left").select("node", (F.greatest(F.lit(0.0), F.coalesce("sigma", F.lit(0.0)) + F.lit(float(floor))) * F.col("residue")).alias("e")).where("e > 0")
+    e = own.withColumn("band", F.floor(-F.log2("e") * BANDS).cast("int")).withColumn("grp", F.pmod("node", F.lit(DEALT)).cast("int"))
+    upto = lambda *by: Window.partitionBy(*by[:-1]).orderBy(by[-1]).rowsBetween(Window.unboundedPreceding, -1)
+    bands = e.groupBy("band").agg(F.sum("e").alias("sum"))  # tens of thousands at most: one for each hundredth of a magnitude
+    below = bands.select("band", F.coalesce(F.sum("sum").over(Window.orderBy(F.desc("band")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0)).alias("below"), "sum")
+    j = e.join(F.broadcast(below), "band")
     whole = j.where(F.col("below") >= allowed).select("node")
-    inner = Window.partitionBy("range").orderBy("e", "node").rowsBetween(Window.unboundedPreceding, 0)
-    edge = j.where((F.col("below") < allowed) & (F.col("below") + F.col("sum") > allowed)).withColumn("run", F.sum("e").over(inner) + F.col("below")).where(F.col("run") > allowed).select("node")
-    return whole.unionByName(edge)
+    edge = j.where((F.col("below") < allowed) & (F.col("below") + F.col("sum") > allowed))
+    groups = edge.groupBy("band", "grp").agg(F.sum("e").alias("gsum"), F.first("below").alias("below"))
+    gbelow = groups.select("band", "grp", (F.col("below") + F.coalesce(F.sum("gsum").over(upto("band", "grp")), F.lit(0.0))).alias("gbelow"))
+    run = F.sum("e").over(Window.partitionBy("band", "grp").orderBy("e", "node").rowsBetween(Window.unboundedPreceding, 0)) + F.col("gbelow")
+    return whole.unionByName(edge.join(F.broadcast(gbelow), ["band", "grp"]).withColumn("run", run).where(F.col("run") > allowed).select("node"))
 
 
 class LazyEngine:
     """Stored endpoints; updates only trace staleness, queries rebuild the worst nodes' walks. The error is split by theta;
-    optimistic: the push runs at the full error."""
+    optimistic: the push runs at the full error. Staleness is sigma (by node) plus a floor that all nodes share; a node whose
+    walks were rebuilt holds minus the floor of that time."""
 
-    def __init__(self, edges: DataFrame, p: PprParams, undirected: bool = False, optimistic: bool = False, skip_when_safe: bool = True):
+    def __init__(self, edges: DataFrame, p: PprParams, undirected: bool = False, optimistic: bool = False, skip_when_safe: bool = True, batch: bool = True):
         self.rounds = Rounds(edges.sparkSession, "lazy")
-        self.p, self.undirected, self.optimistic, self.skip = p, undirected, optimistic, skip_when_safe
-        self.state = build_state(edges, p)
+        self.p, self.undirected, self.optimistic, self.skip, self.batch = p, undirected, optimistic, skip_when_safe, batch
+        rounds = Rounds(edges.sparkSession, "state")
+        self.state = IndexState(rounds.keep(edges.select("src", "dst")), rounds.keep(build_walk_index(edges, p, store="ends")), p)
         self.sigma = edges.sparkSession.createDataFrame([], "node long, sigma double")
-        self.total_bound = 0.0
-        self.skipped = self.rebuilt = 0
+        self.floor = self.total_bound = 0.0
+        self.skipped = self.rebuilt = self.rebuilt_nodes = 0
+
+    def _bound(self) -> None:
+        self.total_bound = self.floor + max(0.0, self.sigma.agg(F.max("sigma")).first()[0] or 0.0)
 
     def update(self, updates: DataFrame) -> dict:
-        s = self.state
-        net = self.rounds.keep(normalize_updates(updates, s.edges))
-        edges = self.rounds.keep(apply_updates(s.edges, net))
-        self.sigma = self.rounds.keep(staleness_step(self.sigma, edges, net, self.p, self.undirected))
-        self.state = IndexState(edges, s.walks, self.p, s.epoch + 1)
-        self.total_bound = self.sigma.agg(F.max("sigma")).first()[0] or 0.0
+        for part in [updates] if self.batch else _one_by_one(updates):
+            s = self.state
+            net = self.rounds.keep(normalize_updates(part, s.edges))
+            touched = self.rounds.keep(touched_nodes(s.edges, net))
+            edges = self.rounds.keep(apply_updates(s.edges, net))
+            more, floor = staleness_step(edges, touched, self.p, self.undirected)
+            self.sigma = self.rounds.keep(self.sigma.unionByName(more).groupBy("node").agg(F.sum("sigma").alias("sigma")))
+            self.floor += floor
+            self.state = IndexState(edges, s.walks, self.p, s.epoch + 1)
+        self._bound()
         return {"stale": self.sigma.count()}
 
-    def _push(self, sources: DataFrame, delta: float, init: DataFrame | None = None) -> DataFrame:
+    def staleness(self) -> DataFrame:
+        """node, sigma of every node with an edge: at most 1 counts as all walks."""
+        own = degrees(self.state.edges).select("node").join(self.sigma, "node", "left")
+        return own.select("node", F.greatest(F.lit(0.0), F.coalesce("sigma", F.lit(0.0)) + F.lit(float(self.floor))).alias("sigma"))
+
+    def _push(self, sources: DataFrame, delta: float, init: DataFrame | None = None, graph: PushGraph | None = None) -> DataFrame:
         scale = 1.0 if self.optimistic else self.p.theta
-        return forward_push(self.state.edges, sources, self.p, scale * self.p.x / self.p.omega * delta / self.p.delta, init=init)
+        return forward_push(self.state.edges, sources, self.p, scale * self.p.x / replace(self.p, delta=delta).omega, init=init, graph=graph)
 
     def fix(self, push: DataFrame, delta: float) -> None:
         """Rebuild until the error left is within (1 - theta) * epsilon at the threshold."""
@@ -143,19 +195,20 @@ class LazyEngine:
         if self.skip and self.total_bound <= allowed:  # residues sum to 1 at most
             self.skipped += 1
             return
-        plan = self.rounds.keep(lazy_plan(self.sigma, push, allowed))
-        if not plan.limit(1).count():
+        plan, n = self.rounds.keep_seen(lazy_plan(self.sigma, push, allowed, self.floor), F.count("*"))
+        if not n:
             return
         s, p, epoch = self.state, self.p, self.state.epoch * 1000 + self.rebuilt + 1
         d = degrees(s.edges)
-        want = d.join(plan, "node", "left_semi").select(F.col("node").alias("source"), p.walks_stored(F.col("out_deg")).alias("want")).where("want > 0")
-        starts = want.select("source", F.explode(F.sequence(F.lit(0).cast("long"), F.col("want") - 1)).alias("slot"))
-        fresh = advance(new_walks(starts, p, epoch), adjacency(s.edges), d, p, epoch)
+        want = d.join(plan, "node", "left_semi").select(F.col("node").alias("source"), p.walks_stored(F.col("out_deg")).alias("want"))
+        starts = counted(want, F.lit(0), F.col("want")).select("source", "slot")
+        fresh = walk_ends(advance(new_walks(starts, p, epoch), adjacency(s.edges), d, p, epoch))
         rest = s.walks.join(plan.select(F.col("node").alias("source")), "source", "left_anti")
         self.state = IndexState(s.edges, self.rounds.keep(rest.unionByName(fresh)), p, s.epoch)
-        self.sigma = self.rounds.keep(self.sigma.join(plan, "node", "left_anti"))
-        self.total_bound = self.sigma.agg(F.max("sigma")).first()[0] or 0.0
+        self.sigma = self.rounds.keep(self.sigma.join(plan, "node", "left_anti").unionByName(plan.select("node", F.lit(-float(self.floor)).alias("sigma"))))
+        self._bound()
         self.rebuilt += 1
+        self.rebuilt_nodes += n
 
     def query(self, sources: DataFrame) -> DataFrame:
         push = self._push(sources, self.p.delta)
@@ -164,16 +217,13 @@ class LazyEngine:
 
     def topk(self, sources: DataFrame, k: int) -> DataFrame:
         """The check and fix step follows each coarse push, as the baseline has it."""
-        delta, push = 1.0 / k, None
-        while True:
-            delta = max(delta, self.p.delta)
-            push = self._push(sources, delta, push)
-            self.fix(push, delta)
-            top = self.rounds.keep(best_k(refine(push, walk_ends(self.state.walks), self.p), k))
-            low = top.groupBy("source").agg(F.count("*").alias("n"), F.min("score").alias("low")).agg(F.min("n"), F.min("low")).first()
-            if delta <= self.p.delta or (low[0] or 0) >= k and low[1] >= (1 + self.p.epsilon) * delta:
-                return top
-            delta /= 2
+        g = PushGraph(self.state.edges, "topk")
+
+        def refine_at(state: DataFrame, delta: float) -> DataFrame:
+            self.fix(state, delta)
+            return refine(state, walk_ends(self.state.walks), replace(self.p, delta=delta), self.state.zero_hop)
+
+        return topk_by_levels(sources, k, self.p, lambda left, delta, before: self._push(left, delta, before, g), refine_at, g.rounds)
 
 
 ENGINES = {

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+#: A key with more rows than this is numbered range by range.
+HUB, RANGES = 1_000_000, 256
+
 
 def degrees(edges: DataFrame) -> DataFrame:
     """Out-degree of every node with an edge; 0 for dead ends. One shuffle: both ends of an edge vote."""
@@ -17,9 +20,25 @@ def dead_ends(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("dst").alias("node")).distinct().join(edges.select(F.col("src").alias("node")).distinct(), "node", "left_anti")
 
 
-def adjacency(edges: DataFrame) -> DataFrame:
+def numbered(df: DataFrame, key: str, order: Column, ties: list[str], name: str, hub: int = HUB) -> DataFrame:
+    """Rows of each key numbered 0, 1, ... by (order, ties).
+
+    A key with more than `hub` rows is cut into equal ranges of its order values; rows are numbered within a range and the
+    counts of the ranges before are added, so no task holds a hub and the numbers don't depend on the cut. `order` is numeric.
+    """
+    df = df.withColumn("_o", order)
+    hubs = df.groupBy(key).agg(F.count("*").alias("_n"), F.min("_o").alias("_lo"), F.max("_o").alias("_hi")).where(F.col("_n") > hub).drop("_n")
+    share = F.least(F.lit(RANGES - 1), F.floor((F.col("_o") - F.col("_lo")).cast("double") / (F.col("_hi") - F.col("_lo")).cast("double") * RANGES))
+    cut = df.join(hubs, key, "left").withColumn("_range", F.when(F.col("_hi") > F.col("_lo"), share).cast("int"))
+    per = cut.where("_range is not null").groupBy(key, "_range").agg(F.count("*").alias("_n"))
+    before = per.select(key, "_range", F.coalesce(F.sum("_n").over(Window.partitionBy(key).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    inner = cut.withColumn("_k", F.row_number().over(Window.partitionBy(key, "_range").orderBy("_o", *ties)))
+    return inner.join(before, [key, "_range"], "left").withColumn(name, (F.col("_k") - 1 + F.coalesce("_before", F.lit(0))).cast("long")).drop("_o", "_lo", "_hi", "_range", "_k", "_before")
+
+
+def adjacency(edges: DataFrame, hub: int = HUB) -> DataFrame:
     """src, slot (0, 1, ... by dst), dst and the out-degree of dst: a walk joins one row, however large its node is."""
-    slots = edges.select("src", "dst", (F.row_number().over(Window.partitionBy("src").orderBy("dst")) - 1).cast("long").alias("slot"))
+    slots = numbered(edges.select("src", "dst"), "src", F.col("dst"), [], "slot", hub)
     out = edges.groupBy(F.col("src").alias("dst")).agg(F.count("*").alias("dst_deg"))
     return slots.join(out, "dst", "left").select("src", "slot", "dst", F.coalesce("dst_deg", F.lit(0)).cast("long").alias("dst_deg"))
 

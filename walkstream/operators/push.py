@@ -1,7 +1,8 @@
 """Power iteration, forward and backward push, for many sources in one job.
 
 Rounds are synchronous: all nodes over the threshold push together, which keeps the push invariant. State tables are
-sparse. `every` rounds are planned together and then written; the frontier's size is the only value the driver reads.
+sparse and carry the out-degree of their node, so that the frontier is known before the join: only its rows meet their edges.
+`every` rounds are planned together and then written; the size of the frontier is counted while they are written.
 """
 
 from __future__ import annotations
@@ -11,11 +12,11 @@ from pyspark.sql import functions as F
 
 from ..functions.params import PprParams
 from ..plans.iterate import Rounds
+from .graph import HUB
 from .graph import degrees as degrees_of
 
-
-def seed_state(sources: DataFrame) -> DataFrame:
-    return sources.select("source", F.col("source").alias("node"), F.lit(0.0).alias("reserve"), F.lit(1.0).alias("residue"))
+#: A frontier of at most so many rows is sent to the edges; a larger one is joined by a shuffle.
+BROADCAST_ROWS = 100_000
 
 
 def with_degree(edges: DataFrame, degrees: DataFrame | None = None) -> DataFrame:
@@ -24,111 +25,160 @@ def with_degree(edges: DataFrame, degrees: DataFrame | None = None) -> DataFrame
     return edges.select("src", "dst").join(d.select(F.col("node").alias("src"), "out_deg"), "src")
 
 
-def push_table(edges: DataFrame, degrees: DataFrame) -> DataFrame:
-    """src, dst, out_deg: every edge, and for every node a row without dst that carries what stays at the node."""
-    own = degrees.select(F.col("node").alias("src"), F.lit(None).cast("long").alias("dst"), "out_deg")
-    return own.unionByName(with_degree(edges, degrees).select("src", "dst", "out_deg"))
+def _parts(degree, hub: int):
+    """Parts that the edges of a node are dealt over: one for each `hub` edges."""
+    return F.ceil(degree / F.lit(hub)).cast("int")
 
 
-def push_round(state: DataFrame, table: DataFrame, alpha: float, r_max: float | None) -> DataFrame:
-    """One round: one join and one sum, so that rounds planned together stay linear in size.
+def push_table(edges: DataFrame, degrees: DataFrame, hub: int = HUB) -> DataFrame:
+    """src, dst, dst_deg, kind: the edges as a push needs them, those of a node in parts 1, 2, ... of some `hub` edges each."""
+    to = degrees.select(F.col("node").alias("dst"), F.col("out_deg").alias("dst_deg"))
+    kind = (F.pmod(F.xxhash64("dst"), _parts(F.col("out_deg"), hub)) + 1).cast("int")
+    return with_degree(edges, degrees).join(to, "dst").select("src", "dst", "dst_deg", kind.alias("kind"))
 
-    r_max None pushes everything (power iteration). Dead ends turn their residue into reserve.
-    """
-    deg = F.coalesce("out_deg", F.lit(0))
-    active = F.col("residue") > 0 if r_max is None else (F.col("residue") > 0) & (F.col("residue") >= deg * F.lit(r_max))
-    moved = F.when(active, F.col("residue")).otherwise(0.0)
-    j = state.join(table, F.col("node") == F.col("src"), "left").withColumn("moved", moved).where("dst is null or moved > 0")
-    stays = F.col("dst").isNull()
-    reserve = F.when(stays, F.col("reserve") + F.when(deg == 0, F.col("moved")).otherwise(F.col("moved") * alpha)).otherwise(0.0)
+
+def seed_state(sources: DataFrame, degrees: DataFrame) -> DataFrame:
+    """All residue at the source; a source without an edge is a dead end."""
+    d = degrees.select(F.col("node").alias("source"), "out_deg")
+    return sources.select("source").join(d, "source", "left").select("source", F.col("source").alias("node"), F.lit(0.0).alias("reserve"), F.lit(1.0).alias("residue"), F.coalesce("out_deg", F.lit(0)).cast("long").alias("out_deg"))
+
+
+def is_active(r_max: float | None):
+    """Frontier test; r_max None takes every residue."""
+    return F.col("residue") > 0 if r_max is None else (F.col("residue") > 0) & (F.col("residue") >= F.col("out_deg") * F.lit(r_max))
+
+
+def _summed(rows: DataFrame) -> DataFrame:
+    return rows.groupBy("source", "node").agg(F.sum("reserve").alias("reserve"), F.sum("residue").alias("residue"), F.max("out_deg").alias("out_deg"))
+
+
+def _stay(alpha: float, moved):
+    return F.col("reserve") + F.when(F.col("out_deg") == 0, moved).otherwise(moved * alpha)
+
+
+def push_round(state: DataFrame, table: DataFrame, alpha: float, r_max: float | None, hub: int = HUB) -> DataFrame:
+    """One round: a row stays at its node (kind 0) and, if it is in the frontier, goes to each part of its edges (kind 1, 2,
+    ...). One join and one sum, so that rounds planned together stay linear in size. Dead ends turn their residue into reserve."""
+    active = is_active(r_max)
+    kinds = F.when(active, F.sequence(F.lit(0), _parts(F.col("out_deg"), hub))).otherwise(F.array(F.lit(0)))
+    split = state.withColumn("moved", F.when(active, F.col("residue")).otherwise(0.0)).withColumn("kind", F.explode(kinds))
+    j = split.join(table.withColumnRenamed("src", "node"), ["node", "kind"], "left")
+    stays = F.col("kind") == 0
+    reserve = F.when(stays, _stay(alpha, F.col("moved"))).otherwise(0.0)
     residue = F.when(stays, F.col("residue") - F.col("moved")).otherwise(F.col("moved") * (1 - alpha) / F.col("out_deg"))
-    rows = j.select("source", F.coalesce("dst", "node").alias("node"), reserve.alias("reserve"), residue.alias("residue"))
-    return rows.groupBy("source", "node").agg(F.sum("reserve").alias("reserve"), F.sum("residue").alias("residue"))
+    out_deg = F.when(stays, F.col("out_deg")).otherwise(F.col("dst_deg"))
+    return _summed(j.select("source", F.when(stays, F.col("node")).otherwise(F.col("dst")).alias("node"), reserve.alias("reserve"), residue.alias("residue"), out_deg.alias("out_deg")))
 
 
-def frontier_size(state: DataFrame, degrees: DataFrame, r_max: float) -> int:
-    d = state.where("residue > 0").join(degrees, "node", "left")
-    return d.where(F.col("residue") >= F.coalesce("out_deg", F.lit(0)) * F.lit(r_max)).count()
+def sparse_round(state: DataFrame, table: DataFrame, alpha: float, r_max: float) -> DataFrame:
+    """The same round for a small frontier, which is broadcast to the edges: they aren't shuffled. Reads the state twice, so
+    it is written after each round."""
+    active = is_active(r_max)
+    moved = F.when(active, F.col("residue")).otherwise(0.0)
+    near = state.select("source", "node", _stay(alpha, moved).alias("reserve"), (F.col("residue") - moved).alias("residue"), "out_deg")
+    front = state.where(active & (F.col("out_deg") > 0)).select("source", F.col("node").alias("src"), (F.col("residue") * (1 - alpha) / F.col("out_deg")).alias("share"))
+    far = table.join(F.broadcast(front), "src").select("source", F.col("dst").alias("node"), F.lit(0.0).alias("reserve"), F.col("share").alias("residue"), F.col("dst_deg").alias("out_deg"))
+    return _summed(near.unionByName(far))
+
+
+class PushGraph:
+    """Degrees and edges of one graph, written once and used by every push on it."""
+
+    def __init__(self, edges: DataFrame, name: str = "push"):
+        self.rounds = Rounds(edges.sparkSession, name)
+        self.degrees = self.rounds.keep(degrees_of(edges))
+        self.table = self.rounds.keep(push_table(edges, self.degrees))
+        self.fixed = self.rounds.n
+
+    def keep(self, state: DataFrame, r_max: float | None) -> tuple[DataFrame, int]:
+        """The written state and its frontier's size."""
+        return self.rounds.keep_seen(state, F.sum(F.when(is_active(r_max), 1).otherwise(0)))
+
 
+def _columns(state: DataFrame) -> DataFrame:
+    return state.select("source", "node", "reserve", "residue", "out_deg")
 
-def forward_push(edges: DataFrame, sources: DataFrame, p: PprParams, r_max: float, init: DataFrame | None = None, max_rounds: int | None = None, every: int = 3, degrees: DataFrame | None = None) -> DataFrame:
-    """Push state (source, node, reserve, residue): until no frontier is left, or exactly max_rounds rounds."""
-    rounds = Rounds(edges.sparkSession, "push")
-    degrees = rounds.keep(degrees if degrees is not None else degrees_of(edges))
-    table = rounds.keep(push_table(edges, degrees))
-    state, done = init if init is not None else seed_state(sources), 0
+
+def forward_push(edges: DataFrame, sources: DataFrame, p: PprParams, r_max: float, init: DataFrame | None = None, max_rounds: int | None = None, every: int = 3, graph: PushGraph | None = None) -> DataFrame:
+    """Push state (source, node, reserve, residue, out_deg): until no frontier is left, or exactly max_rounds rounds.
+
+    init: an earlier state to go on from. graph: the graph's tables, if they are already there.
+    """
+    g = graph or PushGraph(edges)
+    state, done = _columns(init) if init is not None else seed_state(sources, g.degrees), 0
     while max_rounds is None or done < max_rounds:
         step = every if max_rounds is None else min(every, max_rounds - done)
         for _ in range(step):
-            state = push_round(state, table, p.alpha, r_max)
-        state, done = rounds.keep(state), done + step
-        if max_rounds is None and not frontier_size(state, degrees, r_max):
+            state = push_round(state, g.table, p.alpha, r_max)
+        (state, front), done = g.keep(state, r_max), done + step
+        if max_rounds is None and not front:
             break
     return state
 
 
 def power_ppr(edges: DataFrame, sources: DataFrame, p: PprParams, rounds: int = 160, every: int = 8) -> DataFrame:
     """Ground truth: all mass moves in each round; (source, node, score)."""
-    tables = Rounds(edges.sparkSession, "power")
-    degrees = tables.keep(degrees_of(edges))
-    table = tables.keep(push_table(edges, degrees))
-    state = seed_state(sources)
+    g = PushGraph(edges, "power")
+    state = seed_state(sources, g.degrees)
     for k in range(rounds):
-        state = push_round(state, table, p.alpha, None)
+        state = push_round(state, g.table, p.alpha, None)
         if k % every == every - 1:
-            state = tables.keep(state)
+            state = g.rounds.keep(state)
     return state.where("reserve > 0").select("source", "node", F.col("reserve").alias("score"))
 
 
 def power_push(edges: DataFrame, sources: DataFrame, p: PprParams, r_max: float, dense_fraction: float = 0.25, every: int = 3) -> DataFrame:
-    """Frontier rounds while the frontier is sparse; whole-graph sweeps once it holds `dense_fraction` of the nodes.
+    """Whole-graph sweeps by a shuffled join while the frontier holds `dense_fraction` of the nodes, else rounds of the
+    frontier alone, broadcast to the edges while it has at most BROADCAST_ROWS rows.
 
-    Sweeps push every residue of at least r_max in all, whatever its degree, until the threshold holds.
+    A sweep pushes every residue, whatever its degree, so it converges as power iteration does.
     """
-    tables = Rounds(edges.sparkSession, "blend")
-    degrees = tables.keep(degrees_of(edges))
-    n, n_sources = degrees.count(), max(1, sources.count())
-    table, state = tables.keep(push_table(edges, degrees)), seed_state(sources)
-    while True:
-        size = frontier_size(state, degrees, r_max)
-        if not size:
-            return state
-        dense = size >= dense_fraction * n * n_sources
-        for _ in range(every):
-            state = push_round(state, table, p.alpha, 0.0 if dense else r_max)
-        state = tables.keep(state)
+    g = PushGraph(edges, "blend")
+    n, n_sources = g.degrees.count(), max(1, sources.count())
+    state, front = g.keep(seed_state(sources, g.degrees), r_max)
+    while front:
+        if front >= dense_fraction * n * n_sources:
+            for _ in range(every):
+                state = push_round(state, g.table, p.alpha, None)
+        elif front <= BROADCAST_ROWS:
+            state = sparse_round(state, g.table, p.alpha, r_max)
+        else:
+            state = push_round(state, g.table, p.alpha, r_max)
+        state, front = g.keep(state, r_max)
+    return state
 
 
 def backward_push(edges: DataFrame, targets: DataFrame, p: PprParams, r_b: float, scale_by_degree: bool = False, every: int = 3, max_rounds: int | None = None) -> DataFrame:
-    """(target, node, reserve, residue): reserve <= score of the target from the node <= reserve + r_b.
+    """(target, node, reserve, residue, limit): reserve <= score of the target from the node <= reserve + limit, where a node
+    without a row has reserve 0.
 
-    scale_by_degree: the threshold of a target is r_b times its out-degree. A dead end keeps its mass as if it had a
-    self-loop: what stands there counts wholly.
+    limit: r_b, or with scale_by_degree r_b times the target's out-degree (1 at least). A dead end keeps its mass as if it had
+    a self-loop: what stands there counts wholly.
     """
     tables = Rounds(edges.sparkSession, "back")
     degrees = tables.keep(degrees_of(edges))
-    d = degrees.select(F.col("node"), "out_deg")
-    at = F.col("node").alias("at")
-    own = degrees.select(at, F.lit(None).cast("long").alias("src"), F.lit(0).cast("long").alias("src_deg"), F.col("out_deg").alias("at_deg"))
-    into = with_degree(edges, degrees).withColumnRenamed("out_deg", "src_deg").join(degrees.select(F.col("node").alias("dst"), F.col("out_deg").alias("at_deg")), "dst")
-    table = tables.keep(own.unionByName(into.select(F.col("dst").alias("at"), "src", "src_deg", "at_deg")))
-    limit = F.greatest(F.col("out_deg"), F.lit(1)) * r_b if scale_by_degree else F.lit(r_b)
-    state = targets.select(F.col("target"), F.col("target").alias("node"), F.lit(0.0).alias("reserve"), F.lit(1.0).alias("residue")).join(d, "node", "left").withColumn("limit", limit).drop("out_deg")
+    # the edges by their end, each with the degree of its start, and whether the start's own degree is known there
+    table = tables.keep(with_degree(edges, degrees).select(F.col("dst").alias("node"), "src", F.col("out_deg").alias("src_deg"), F.lit(1).alias("kind")))
+    d = degrees.select(F.col("node").alias("target"), "out_deg")
+    limit = F.greatest(F.col("out_deg"), F.lit(1)) * F.lit(float(r_b)) if scale_by_degree else F.lit(float(r_b))
+    state = targets.select("target").join(d, "target", "left").withColumn("out_deg", F.coalesce("out_deg", F.lit(0)).cast("long")).select("target", F.col("target").alias("node"), F.lit(0.0).alias("reserve"), F.lit(1.0).alias("residue"), "out_deg", limit.alias("limit"))
     done = 0
     while max_rounds is None or done < max_rounds:
         step = every if max_rounds is None else min(every, max_rounds - done)
         for _ in range(step):
-            j = state.join(table, F.col("node") == F.col("at"), "left").withColumn("moved", F.when(F.col("residue") >= F.col("limit"), F.col("residue")).otherwise(0.0)).where("src is null or moved > 0")
-            stays = F.col("src").isNull()
-            total = F.when(F.coalesce("at_deg", F.lit(0)) == 0, F.col("moved") / p.alpha).otherwise(F.col("moved"))  # a self-loop's geometric series
+            active = F.col("residue") >= F.col("limit")
+            split = state.withColumn("moved", F.when(active, F.col("residue")).otherwise(0.0)).withColumn("kind", F.explode(F.when(active, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))))
+            j = split.join(table, ["node", "kind"], "left").where("kind = 0 or src is not null")
+            stays = F.col("kind") == 0
+            total = F.when(F.col("out_deg") == 0, F.col("moved") / p.alpha).otherwise(F.col("moved"))  # a self-loop's geometric series
             reserve = F.when(stays, F.col("reserve") + total * p.alpha).otherwise(0.0)
             residue = F.when(stays, F.col("residue") - F.col("moved")).otherwise(total * (1 - p.alpha) / F.col("src_deg"))
-            rows = j.select("target", F.coalesce("src", "node").alias("node"), "limit", reserve.alias("reserve"), residue.alias("residue"))
-            state = rows.groupBy("target", "node", "limit").agg(F.sum("reserve").alias("reserve"), F.sum("residue").alias("residue"))
-        state, done = tables.keep(state), done + step
-        if max_rounds is None and not state.where("residue >= limit").limit(1).count():
+            rows = j.select("target", F.when(stays, F.col("node")).otherwise(F.col("src")).alias("node"), "limit", reserve.alias("reserve"), residue.alias("residue"), F.when(stays, F.col("out_deg")).otherwise(F.col("src_deg")).alias("out_deg"))
+            state = rows.groupBy("target", "node", "limit").agg(F.sum("reserve").alias("reserve"), F.sum("residue").alias("residue"), F.max("out_deg").alias("out_deg"))
+        (state, front), done = tables.keep_seen(state, F.sum(F.when(F.col("residue") >= F.col("limit"), 1).otherwise(0))), done + step
+        if max_rounds is None and not front:
             break
-    return state.select("target", "node", "reserve", "residue")
+    return state.select("target", "node", "reserve", "residue", "limit")
 
 
 def check_push_invariant(state: DataFrame, exact: DataFrame) -> DataFrame:

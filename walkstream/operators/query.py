@@ -12,9 +12,9 @@ from pyspark.sql.window import Window
 from ..functions.params import PprParams
 from ..plans.iterate import Rounds
 from .graph import graph_size
-from .push import forward_push, power_push
+from .push import PushGraph, forward_push, power_push
 from .repair import IndexState
-from .walks import crossings_of, end_counts, simulate_walks, walk_ends
+from .walks import counted, crossings_of, end_counts, simulate_walks, walk_ends
 
 
 def _reserve(state: DataFrame) -> DataFrame:
@@ -81,16 +81,39 @@ def query_online(edges: DataFrame, sources: DataFrame, p: PprParams, mode: str =
     push = power_push(edges, sources, p, r) if blended else forward_push(edges, sources, p, r, max_rounds=max_rounds)
     push = Rounds(edges.sparkSession, "online").keep(push)
     need = push.where("residue > 0").select("source", "node", "residue", p.walks_needed(F.col("residue")).alias("n"))
-    most = need.groupBy("node").agg(F.max("n").alias("n"))  # walks of a node serve all sources of the job
-    walks = simulate_walks(edges, most.select(F.col("node").alias("source"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)).alias("slot")), p, epoch, zero_hop=True)
-    e = walk_ends(walks).withColumnRenamed("source", "node")
+    most = need.groupBy(F.col("node").alias("source")).agg(F.max("n").alias("n"))  # walks of a node serve all sources of the job
+    walks = simulate_walks(edges, counted(most, F.lit(0), F.col("n")), p, epoch, zero_hop=True)
+    return fresh_shares(push, need, walk_ends(walks))
+
+
+def fresh_shares(push: DataFrame, need: DataFrame, ends: DataFrame) -> DataFrame:
+    """Scores from reserves and fresh walks (zero-hop walks kept). need: source, node, residue, n."""
+    e = ends.withColumnRenamed("source", "node")
     share = need.join(e, "node").where("slot < n").select("source", F.col("terminal").alias("node"), (F.col("residue") / F.col("n")).alias("score"))
     return total(_reserve(push), share)
 
 
+def topk_online(edges: DataFrame, sources: DataFrame, k: int, p: PprParams, mode: str = "linear", epoch: int = 0) -> DataFrame:
+    """Index-free top-k by the same levels: the walks of each level are drawn anew."""
+    _, m = graph_size(edges)
+    g = PushGraph(edges, "topk")
+
+    def push(left, delta, before):
+        q = replace(p, delta=delta)
+        return forward_push(edges, left, q, q.r_max(m, mode), init=before, graph=g)
+
+    def refine_at(state, delta):
+        q = replace(p, delta=delta)
+        need = g.rounds.keep(state.where("residue > 0").select("source", "node", "residue", q.walks_needed(F.col("residue")).alias("n")))
+        most = need.groupBy(F.col("node").alias("source")).agg(F.max("n").alias("n"))
+        return fresh_shares(state, need, walk_ends(simulate_walks(edges, counted(most, F.lit(0), F.col("n")), q, epoch, zero_hop=True)))
+
+    return topk_by_levels(sources, k, p, push, refine_at, g.rounds)
+
+
 def query_monte_carlo(edges: DataFrame, sources: DataFrame, p: PprParams, walks: int | None = None, epoch: int = 0) -> DataFrame:
     n = walks or math.ceil(p.omega)
-    starts = sources.select("source", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long"))).alias("slot"))
+    starts = counted(sources.select("source"), F.lit(0), F.lit(n))
     ends = walk_ends(simulate_walks(edges, starts, p, epoch, zero_hop=True))
     return ends.groupBy("source", F.col("terminal").alias("node")).agg((F.count("*") / F.lit(float(n))).alias("score"))
 
@@ -100,37 +123,54 @@ def best_k(scores: DataFrame, k: int) -> DataFrame:
     return scores.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def query_topk(state: IndexState, sources: DataFrame, k: int | None = None, p: PprParams | None = None, strategy: str = "iterative") -> DataFrame:
-    """source, node, score, rank. Iterative: thresholds from 1/k are halved; the push is resumed each time; a source is
-    done once its k-th estimate reaches (1 + epsilon) times the threshold, and leaves the working set."""
-    p = p or state.params
-    k = k or p.k
-    if strategy == "full":
-        return best_k(query_indexed(state, sources, p), k)
-    rounds = Rounds(state.edges.sparkSession, "topk")
-    ends = walk_ends(state.walks)
-    delta, left, push, done = 1.0 / k, rounds.keep(sources.select("source")), None, []
-    while True:
-        delta = max(delta, p.delta)
-        q = replace(p, delta=delta)
-        push = forward_push(state.edges, left, q, q.x / q.omega, init=push)
-        top = rounds.keep(best_k(refine(push, ends, q, state.zero_hop), k))
+def levels(k: int, p: PprParams) -> list[float]:
+    """Thresholds of the iterative top-k, down to delta. k scores sum to 1 at most, so none above 1 / (k (1 + epsilon)) can
+    pass the test; each further one is a quarter of the one before."""
+    out, delta = [], 1.0 / (k * (1 + p.epsilon))
+    while delta > p.delta:
+        out.append(delta)
+        delta /= 4
+    return [*out, p.delta]
+
+
+def topk_by_levels(sources: DataFrame, k: int, p: PprParams, push, refine_at, rounds: Rounds) -> DataFrame:
+    """The loop of every engine's top-k: coarse thresholds first, a source is done once its k-th estimate reaches (1 + epsilon)
+    times the threshold, and leaves the working set. push(left, threshold, state) goes on from a state; refine_at(state,
+    threshold) gives scores."""
+    left, state, done = rounds.keep(sources.select("source")), None, []
+    for delta in levels(k, p):
+        state = push(left, delta, state)
+        top = rounds.keep(best_k(refine_at(state, delta), k))
         if delta <= p.delta:
             done.append(top)
             break
         enough = top.groupBy("source").agg(F.count("*").alias("n"), F.min("score").alias("low")).where((F.col("n") >= k) & (F.col("low") >= (1 + p.epsilon) * delta)).select("source")
         done.append(top.join(enough, "source", "left_semi"))
-        left = rounds.keep(left.join(enough, "source", "left_anti"))
-        if not left.limit(1).count():
+        left, open_sources = rounds.keep_seen(left.join(enough, "source", "left_anti"), F.count("*"))
+        if not open_sources:
             break
-        push = rounds.keep(push.join(enough, "source", "left_anti"))
-        delta /= 2
+        state = state.join(left, "source", "left_semi")
     out = done[0]
     for part in done[1:]:
         out = out.unionByName(part)
     return out
 
 
+def query_topk(state: IndexState, sources: DataFrame, k: int | None = None, p: PprParams | None = None, strategy: str = "iterative") -> DataFrame:
+    """source, node, score, rank. Iterative: coarse thresholds first, the push is resumed each time; full: a full query."""
+    p = p or state.params
+    k = k or p.k
+    if strategy == "full":
+        return best_k(query_indexed(state, sources, p), k)
+    g, ends = PushGraph(state.edges, "topk"), walk_ends(state.walks)
+
+    def push(left, delta, before):
+        q = replace(p, delta=delta)
+        return forward_push(state.edges, left, q, q.x / q.omega, init=before, graph=g)
+
+    return topk_by_levels(sources, k, p, push, lambda s, delta: refine(s, ends, replace(p, delta=delta), state.zero_hop), g.rounds)
+
+
 def query_pair(state: IndexState, source: int, target: int, p: PprParams | None = None) -> DataFrame:
     sources = state.edges.sparkSession.createDataFrame([(source,)], "source long")
     return query_indexed(state, sources, p).where(F.col("node") == target)

@@ -5,7 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -19,6 +19,11 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
 class Rounds:
     """Numbered tables below one folder; `keep` writes a frame and reads it back without its lineage."""
 
@@ -30,3 +35,17 @@ class Rounds:
         path = f"{self.base}/{self.n}"
         df.write.mode("overwrite").parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
+
+    def keep_seen(self, df: DataFrame, seen: Column) -> tuple[DataFrame, int]:
+        """`keep`, and the value of an aggregate over the rows as they are written: no job of its own."""
+        watch = Observation()
+        kept = self.keep(df.observe(watch, seen.alias("seen")))
+        return kept, watch.get["seen"] or 0
+
+    def drop(self, upto: int) -> None:
+        """Delete the tables numbered up to `upto`; they must not be read any more."""
+        for k in range(1, upto + 1):
+            remove(self.spark, f"{self.base}/{k}")
+
+    def drop_all(self) -> None:
+        remove(self.spark, self.base)
