@@ -215,14 +215,17 @@ def test_stream_equals_batches(spark, tmp_path):
     log = spark.createDataFrame(later, graphs.UPDATES)
     p = PprParams.for_graph(12, beta=2.0)
     stream.to_files(log, str(tmp_path / "log"), 3)
-    live = stream.IndexStream(repair.build_state(frame(spark, e), p))
+    store = StateStore(spark, f"file://{tmp_path}/state", 4)
+    store.save(repair.build_state(frame(spark, e), p))
+    live = stream.IndexStream(store, compact_after=2)
     live.start(stream.stream_updates(spark, str(tmp_path / "log")), str(tmp_path / "cp")).awaitTermination()
-    assert live.state.epoch == len(live.log) > 1
-    assert sorted((r.src, r.dst) for r in live.state.edges.collect()) == sorted([*e, *[(a, b) for _, _, a, b, _ in later]])
-    assert metrics.check_adequate(live.state).count() == 0 and metrics.check_paths_valid(live.state).count() == 0
-    before = live.state.epoch
-    live.handle(log, live.done)  # a repeated batch
-    assert live.state.epoch == before
+    state = store.load()
+    assert len(live.log) > 1
+    assert sorted((r.src, r.dst) for r in state.edges.collect()) == sorted([*e, *[(a, b) for _, _, a, b, _ in later]])
+    assert metrics.check_adequate(state).count() == 0 and metrics.check_paths_valid(state).count() == 0
+    before = store.epochs()
+    stream.IndexStream(store).handle(log, live.log[-1]["batch"])  # a repeated batch, after a restart
+    assert store.epochs() == before
 
 
 def test_windows_and_expiry(spark):

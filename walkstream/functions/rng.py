@@ -43,7 +43,8 @@ def geometric(u: Column, alpha: float, least: int = 1, fast: bool = False) -> Co
     if fast:
         return (F.floor(F.log1p(-u) / F.lit(math.log1p(-alpha))) + F.lit(least)).cast("int")
     steps = F.array(*[F.lit(t) for t in hop_thresholds(alpha)])
-    return (F.size(F.filter(steps, lambda t: u >= t)) + F.lit(least)).cast("int")
+    # the uniform is bound once: inside the filter it would be drawn again for each threshold
+    return F.element_at(F.transform(F.array(u), lambda v: (F.size(F.filter(steps, lambda t: v >= t)) + F.lit(least)).cast("int")), 1)
 
 
 def pick_slot(u: Column, d: Column) -> Column:

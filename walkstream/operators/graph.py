@@ -28,8 +28,8 @@ def numbered(df: DataFrame, key: str, order: Column, ties: list[str], name: str,
     """
     df = df.withColumn("_o", order)
     hubs = df.groupBy(key).agg(F.count("*").alias("_n"), F.min("_o").alias("_lo"), F.max("_o").alias("_hi")).where(F.col("_n") > hub).drop("_n")
-    share = F.least(F.lit(RANGES - 1), F.floor((F.col("_o") - F.col("_lo")).cast("double") / (F.col("_hi") - F.col("_lo")).cast("double") * RANGES))
-    cut = df.join(hubs, key, "left").withColumn("_range", F.when(F.col("_hi") > F.col("_lo"), share).cast("int"))
+    share = F.least(F.lit(RANGES - 1), F.floor((F.col("_o").cast("double") - F.col("_lo").cast("double")) / (F.col("_hi").cast("double") - F.col("_lo").cast("double")) * RANGES))
+    cut = df.join(hubs, key, "left").withColumn("_range", F.when(F.col("_hi").cast("double") > F.col("_lo").cast("double"), share).cast("int"))
     per = cut.where("_range is not null").groupBy(key, "_range").agg(F.count("*").alias("_n"))
     before = per.select(key, "_range", F.coalesce(F.sum("_n").over(Window.partitionBy(key).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
     inner = cut.withColumn("_k", F.row_number().over(Window.partitionBy(key, "_range").orderBy("_o", *ties)))

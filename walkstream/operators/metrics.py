@@ -88,7 +88,7 @@ def repair_bound(p, zero_hop: bool = False) -> float:
 def size_report(state: IndexState) -> DataFrame:
     """Rows and raw bytes of each table of the index and of its parts."""
     c = crossings_of(state.walks)
-    tables = {"edges": (state.edges, F.lit(16)), "adjacency": (adjacency(state.edges), F.lit(32)), "walk_ends": (walk_ends(state.walks), F.lit(24)), "walk_paths": (state.walks, 28 + 8 * F.size("path")), "crossings": (c, F.lit(28))}
+    tables = {"edges": (state.edges, F.lit(16)), "adjacency": (adjacency(state.edges), F.lit(32)), "walk_ends": (walk_ends(state.walks), F.lit(24)), "walk_paths": (state.walks, 44 + 8 * F.size("path")), "crossings": (c, F.lit(44))}
     out = None
     for name, (df, width) in tables.items():
         row = df.select(width.cast("long").alias("w")).agg(F.count("*").alias("n_rows"), F.sum("w").alias("n_bytes")).select(F.lit(name).alias("table_name"), "n_rows", "n_bytes")

@@ -7,6 +7,8 @@ sparse and carry the out-degree of their node, so that the frontier is known bef
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -56,18 +58,20 @@ def _stay(alpha: float, moved):
     return F.col("reserve") + F.when(F.col("out_deg") == 0, moved).otherwise(moved * alpha)
 
 
-def push_round(state: DataFrame, table: DataFrame, alpha: float, r_max: float | None, hub: int = HUB) -> DataFrame:
-    """One round: a row stays at its node (kind 0) and, if it is in the frontier, goes to each part of its edges (kind 1, 2,
-    ...). One join and one sum, so that rounds planned together stay linear in size. Dead ends turn their residue into reserve."""
-    active = is_active(r_max)
+def rounds_of(table: DataFrame, alpha: float, r_max: float | None, hub: int = HUB) -> Callable[[DataFrame], DataFrame]:
+    """The function of one round: a row stays at its node (kind 0) and, if it is in the frontier, goes to each part of its edges
+    (kind 1, 2, ...). One join and one sum, so that rounds planned together stay linear in size. Dead ends turn their residue
+    into reserve."""
+    active, stays = is_active(r_max), F.col("kind") == 0
     kinds = F.when(active, F.sequence(F.lit(0), _parts(F.col("out_deg"), hub))).otherwise(F.array(F.lit(0)))
-    split = state.withColumn("moved", F.when(active, F.col("residue")).otherwise(0.0)).withColumn("kind", F.explode(kinds))
-    j = split.join(table.withColumnRenamed("src", "node"), ["node", "kind"], "left")
-    stays = F.col("kind") == 0
+    split = [F.col(c) for c in ("source", "node", "reserve", "residue", "out_deg")] + [F.when(active, F.col("residue")).otherwise(0.0).alias("moved"), F.explode(kinds).alias("kind")]
+    edges = table.withColumnRenamed("src", "node")
     reserve = F.when(stays, _stay(alpha, F.col("moved"))).otherwise(0.0)
     residue = F.when(stays, F.col("residue") - F.col("moved")).otherwise(F.col("moved") * (1 - alpha) / F.col("out_deg"))
     out_deg = F.when(stays, F.col("out_deg")).otherwise(F.col("dst_deg"))
-    return _summed(j.select("source", F.when(stays, F.col("node")).otherwise(F.col("dst")).alias("node"), reserve.alias("reserve"), residue.alias("residue"), out_deg.alias("out_deg")))
+    sent = [F.col("source"), F.when(stays, F.col("node")).otherwise(F.col("dst")).alias("node"), reserve.alias("reserve"), residue.alias("residue"), out_deg.alias("out_deg")]
+    sums = [F.sum("reserve").alias("reserve"), F.sum("residue").alias("residue"), F.max("out_deg").alias("out_deg")]
+    return lambda state: state.select(*split).join(edges, ["node", "kind"], "left").select(*sent).groupBy("source", "node").agg(*sums)
 
 
 def sparse_round(state: DataFrame, table: DataFrame, alpha: float, r_max: float) -> DataFrame:
@@ -106,10 +110,11 @@ def forward_push(edges: DataFrame, sources: DataFrame, p: PprParams, r_max: floa
     """
     g = graph or PushGraph(edges)
     state, done = _columns(init) if init is not None else seed_state(sources, g.degrees), 0
+    push_round = rounds_of(g.table, p.alpha, r_max)
     while max_rounds is None or done < max_rounds:
         step = every if max_rounds is None else min(every, max_rounds - done)
         for _ in range(step):
-            state = push_round(state, g.table, p.alpha, r_max)
+            state = push_round(state)
         (state, front), done = g.keep(state, r_max), done + step
         if max_rounds is None and not front:
             break
@@ -119,9 +124,9 @@ def forward_push(edges: DataFrame, sources: DataFrame, p: PprParams, r_max: floa
 def power_ppr(edges: DataFrame, sources: DataFrame, p: PprParams, rounds: int = 160, every: int = 8) -> DataFrame:
     """Ground truth: all mass moves in each round; (source, node, score)."""
     g = PushGraph(edges, "power")
-    state = seed_state(sources, g.degrees)
+    state, push_round = seed_state(sources, g.degrees), rounds_of(g.table, p.alpha, None)
     for k in range(rounds):
-        state = push_round(state, g.table, p.alpha, None)
+        state = push_round(state)
         if k % every == every - 1:
             state = g.rounds.keep(state)
     return state.where("reserve > 0").select("source", "node", F.col("reserve").alias("score"))
@@ -136,14 +141,15 @@ def power_push(edges: DataFrame, sources: DataFrame, p: PprParams, r_max: float,
     g = PushGraph(edges, "blend")
     n, n_sources = g.degrees.count(), max(1, sources.count())
     state, front = g.keep(seed_state(sources, g.degrees), r_max)
+    sweep, push_round = rounds_of(g.table, p.alpha, None), rounds_of(g.table, p.alpha, r_max)
     while front:
         if front >= dense_fraction * n * n_sources:
             for _ in range(every):
-                state = push_round(state, g.table, p.alpha, None)
+                state = sweep(state)
         elif front <= BROADCAST_ROWS:
             state = sparse_round(state, g.table, p.alpha, r_max)
         else:
-            state = push_round(state, g.table, p.alpha, r_max)
+            state = push_round(state)
         state, front = g.keep(state, r_max)
     return state
 

@@ -64,16 +64,19 @@ def advance(walks: DataFrame, adj: DataFrame, degree: DataFrame, p: PprParams, e
     steps = adj.select(F.col("src").alias("_src"), F.col("slot").alias("_slot"), "dst", "dst_deg")
     if n <= BROADCAST_ROWS:
         steps = F.broadcast(steps)
+    # the columns of a superstep are the same in all of them
+    going, to, deg = _going(), F.coalesce("dst", "_at"), F.coalesce("dst_deg", "_deg")
+    pick = F.when(going & (F.col("_deg") > 0), pick_slot(_draw(live, p, epoch), F.col("_deg"))).alias("_pick")
+    keyed = [F.col(c) for c in live.columns] + [pick]
+    meet = (F.col("_at") == F.col("_src")) & (F.col("_pick") == F.col("_slot"))
+    stepped = [F.col(c) for c in ("walk_id", "source", "slot", "hops")] + [F.when(going, F.concat("path", F.array(to))).otherwise(F.col("path")).alias("path"), F.when(going, to).otherwise(F.col("_at")).alias("_at"), F.when(going, deg).otherwise(F.col("_deg")).alias("_deg")]
+    open_walks = F.sum(F.when(going, 1).otherwise(0))
     while True:
         for _ in range(every):
-            going = _going()
-            keyed = live.withColumn("_pick", F.when(going & (F.col("_deg") > 0), pick_slot(_draw(live, p, epoch), F.col("_deg"))))
-            moved = keyed.join(steps, (F.col("_at") == F.col("_src")) & (F.col("_pick") == F.col("_slot")), "left")
-            to, deg = F.coalesce("dst", "_at"), F.coalesce("dst_deg", "_deg")
-            live = moved.select("walk_id", "source", "slot", "hops", F.when(going, F.concat("path", F.array(to))).otherwise(F.col("path")).alias("path"), F.when(going, to).otherwise(F.col("_at")).alias("_at"), F.when(going, deg).otherwise(F.col("_deg")).alias("_deg"))
-        kept, left = rounds.keep_seen(live, F.sum(F.when(_going(), 1).otherwise(0)))
-        finished.append(kept.where(~_going()))
-        live = kept.where(_going())
+            live = live.select(*keyed).join(steps, meet, "left").select(*stepped)
+        kept, left = rounds.keep_seen(live, open_walks)
+        finished.append(kept.where(~going))
+        live = kept.where(going)
         if not left:
             break
     return reduce(DataFrame.unionByName, finished).select("walk_id", "source", "slot", "hops", "path")

@@ -5,16 +5,19 @@ from __future__ import annotations
 import time
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.params import PprParams
 from ..functions.rng import u01
+from ..plans.iterate import Rounds
 from .engines import ENGINES, EagerEngine
-from .graph import graph_size
-from .metrics import relative_error, size_report
+from .graph import adjacency, apply_updates, graph_size, normalize_updates
+from .metrics import check_adequate, check_paths_valid, check_unbiased, edge_dispersion, relative_error, repair_bound, size_report
 from .push import power_ppr
 from .repair import apply_batch, build_state
+from .samplers import HOW
+from .walks import crossings_of, walk_ends
 
 
 def random_arrival_split(edges: DataFrame, initial: float = 0.9, seed: int = 7) -> DataFrame:
@@ -89,11 +92,12 @@ def mixed_workload(updates: DataFrame, sources: DataFrame, percent: int, total:
     return both.select(F.row_number().over(w).cast("int").alias("pos"), "kind", "op", "src", "dst", "source")
 
 
-def run_workload(engine, work: DataFrame, topk: int | None = None, batch: bool = True) -> dict:
-    """Seconds for each operation. Runs of neighbouring updates, and of queries, are taken as one batch if asked to."""
+def run_workload(engine, work: DataFrame, topk: int | None = None, batch: bool = False) -> dict:
+    """Seconds for each operation and the sums of what updates report. Edge by edge, query by query; batch: runs of neighbouring
+    updates, and of queries, are taken at once."""
     spark = work.sparkSession
     rows = work.orderBy("pos").collect()  # the workload's operations, some hundred
-    out = {"update_s": 0.0, "query_s": 0.0, "updates": 0, "queries": 0}
+    out = {"update_s": 0.0, "query_s": 0.0, "updates": 0, "queries": 0, "work": {}}
     at = 0
     while at < len(rows):
         to = at + 1
@@ -101,9 +105,10 @@ def run_workload(engine, work: DataFrame, topk: int | None = None, batch: bool =
             to += 1
         t = time.time()
         if rows[at]["kind"] == "update":
-            engine.update(spark.createDataFrame([(r["pos"], r["op"], r["src"], r["dst"]) for r in rows[at:to]], "tau long, op string, src long, dst long"))
+            stats = engine.update(spark.createDataFrame([(r["pos"], r["op"], r["src"], r["dst"]) for r in rows[at:to]], "tau long, op string, src long, dst long"))
             out["update_s"] += time.time() - t
             out["updates"] += to - at
+            out["work"] = {k: out["work"].get(k, 0) + v for k, v in stats.items()}
         else:
             s = spark.createDataFrame([(r["source"],) for r in rows[at:to]], "source long").distinct()
             (engine.topk(s, topk) if topk else engine.query(s)).write.format("noop").mode("overwrite").save()
@@ -113,91 +118,156 @@ def run_workload(engine, work: DataFrame, topk: int | None = None, batch: bool =
     return out
 
 
-def compare_engines(edges: DataFrame, p: PprParams, percent: int, total: int = 20, names: Sequence[str] = tuple(ENGINES), topk: int | None = None, temporal: bool = False, undirected: bool = False) -> list[dict]:
-    """One row for each engine on the same mixed workload: seconds per update and per query."""
+def _extra(name: str, undirected: bool) -> dict:
+    return {"undirected": undirected} if name.startswith("lazy") else {}
+
+
+def compare_engines(edges: DataFrame, p: PprParams, percent: int, total: int = 20, names: Sequence[str] = tuple(ENGINES), topk: int | None = None, temporal: bool = False, undirected: bool = False, batch: bool = False) -> list[dict]:
+    """One row for each engine on the same mixed workload: seconds per update, per query and per operation, and the work that
+    updates and the lazy repair did (counts, which reruns repeat)."""
     split = temporal_split(edges, 0.9) if temporal else random_arrival_split(edges, 0.9)
     ups = updates_from(split, total, by_time=temporal)
     start = split.where("part = 'initial'").select("src", "dst")
     work = mixed_workload(ups, pick_sources(start, total), percent, total)
     out = []
     for name in names:
-        extra = {"undirected": undirected} if name.startswith("lazy") else {}
-        r = run_workload(ENGINES[name](start, p, **extra), work, topk)
-        out.append({"engine": name, "percent": percent, **r, "avg_s": (r["update_s"] + r["query_s"]) / max(1, r["updates"] + r["queries"])})
+        engine = ENGINES[name](start, p, **_extra(name, undirected))
+        r = run_workload(engine, work, topk, batch)
+        out.append({"engine": name, "percent": percent, "topk": topk or 0, **r, "lazy_rebuilt": getattr(engine, "rebuilt_nodes", 0), "lazy_skipped": getattr(engine, "skipped", 0), "avg_s": (r["update_s"] + r["query_s"]) / max(1, r["updates"] + r["queries"])})
     return out
 
 
-def accuracy_after_updates(edges: DataFrame, p: PprParams, share: float = 0.05, n_sources: int = 4, names: Sequence[str] = tuple(ENGINES), rounds: int = 93, undirected: bool = False) -> DataFrame:
-    """Relative errors of every engine after the last `share` of the edges has been inserted."""
-    split = random_arrival_split(edges, 1 - share)
+def accuracy_after(split: DataFrame, ups: DataFrame, p: PprParams, sources: DataFrame, names: Sequence[str] = tuple(ENGINES), undirected: bool = False) -> DataFrame:
+    """Average and largest relative errors of every engine once `ups` were applied to the initial part of a split."""
     start = split.where("part = 'initial'").select("src", "dst")
-    ups = split.where("part = 'later'").select((F.col("u") * 1e12).cast("long").alias("tau"), F.lit("+").alias("op"), "src", "dst")
-    sources = pick_sources(edges, n_sources)
-    exact = power_ppr(edges, sources, p, rounds)
+    rounds = Rounds(split.sparkSession, "accuracy")
+    after = rounds.keep(apply_updates(start, normalize_updates(ups, start)))
+    exact = rounds.keep(power_ppr(after, sources, p))
     out = None
     for name in names:
-        extra = {"undirected": undirected} if name.startswith("lazy") else {}
-        engine = ENGINES[name](start, p, **extra)
+        engine = ENGINES[name](start, p, **_extra(name, undirected))
         engine.update(ups)
-        e = relative_error(engine.query(sources), exact, p.delta).withColumn("engine", F.lit(name))
+        e = rounds.keep(relative_error(engine.query(sources), exact, p.delta)).agg(F.sum("nodes").alias("nodes"), (F.sum(F.col("avg_error") * F.col("nodes")) / F.sum("nodes")).alias("avg_error"), F.max("max_error").alias("max_error"))
+        e = e.select(F.lit(name).alias("engine"), "nodes", "avg_error", "max_error")
         out = e if out is None else out.unionByName(e)
     return out
 
 
-def insert_vs_delete(edges: DataFrame, p: PprParams, n: int = 100) -> list[dict]:
-    """Repairs and seconds for n insertions and for n deletions."""
+def accuracy_after_growth(edges: DataFrame, p: PprParams, share: float = 0.05, n_sources: int = 4, names: Sequence[str] = tuple(ENGINES), undirected: bool = False) -> DataFrame:
+    """After the last `share` of the edges has been inserted."""
+    split = random_arrival_split(edges, 1 - share)
+    ups = split.where("part = 'later'").select((F.col("u") * 1e12).cast("long").alias("tau"), F.lit("+").alias("op"), "src", "dst")
+    return accuracy_after(split, ups, p, pick_sources(edges, n_sources), names, undirected)
+
+
+def accuracy_after_updates(edges: DataFrame, p: PprParams, n: int = 1000, n_sources: int = 4, names: Sequence[str] = tuple(ENGINES), undirected: bool = False) -> DataFrame:
+    """After n updates, half of them deletions."""
     split = random_arrival_split(edges, 0.9)
+    return accuracy_after(split, updates_from(split, n), p, pick_sources(edges, n_sources), names, undirected)
+
+
+def insert_vs_delete(edges: DataFrame, p: PprParams, n: int = 1000, names: Sequence[str] = ("eager", "lazy"), undirected: bool = False, initial: float = 0.9) -> list[dict]:
+    """Work and seconds for n insertions and for n deletions, each as one batch."""
+    split = random_arrival_split(edges, initial)
     start = split.where("part = 'initial'").select("src", "dst")
     out = []
-    for op, share in (("insert", 0.0), ("delete", 1.0)):
-        engine = EagerEngine(start, p)
-        ups = updates_from(split, n, share)
-        t = time.time()
-        stats = engine.update(ups)
-        out.append({"op": op, "seconds": (time.time() - t) / n, **stats})
+    for name in names:
+        for op, share in (("insert", 0.0), ("delete", 1.0)):
+            engine = ENGINES[name](start, p, **_extra(name, undirected))
+            ups = updates_from(split, n, share)
+            t = time.time()
+            stats = engine.update(ups)
+            out.append({"engine": name, "op": op, "seconds": (time.time() - t) / n, "stats": stats, "staleness": float(engine.staleness().agg(F.avg("sigma")).first()[0]) if name == "lazy" else 0.0})
     return out
 
 
-def arrival_gap(edges: DataFrame, p: PprParams, n: int = 100) -> list[dict]:
-    """The same insertions' number under temporal and random arrival."""
+def arrival_gap(edges: DataFrame, p: PprParams, n: int = 1000) -> list[dict]:
+    """The same number of insertions under temporal and random arrival."""
     out = []
     for order, split in (("temporal", temporal_split(edges, 0.9)), ("random", random_arrival_split(edges, 0.9))):
         engine = EagerEngine(split.where("part = 'initial'").select("src", "dst"), p)
         t = time.time()
         stats = engine.update(updates_from(split, n, 0.0, by_time=order == "temporal"))
-        out.append({"order": order, "seconds": (time.time() - t) / n, **stats})
+        out.append({"order": order, "seconds": (time.time() - t) / n, **stats, "bound": repair_bound(p)})
     return out
 
 
-def sampler_ablation(edges: DataFrame, p: PprParams, inserts: int = 20, how: Sequence[str] = ("bernoulli", "geometric", "binomial", "edge_uniform", "edge_weighted")) -> list[dict]:
-    """Repairs by sampler; insertions at different nodes go in one batch."""
+def sampler_ablation(edges: DataFrame, p: PprParams, inserts: int = 100, how: Sequence[str] = HOW, exact: bool = False) -> list[dict]:
+    """Repairs by sampler, the spread of records over edges and (exact) the endpoints' chi-square, after one batch."""
     split = random_arrival_split(edges, 0.9)
     start = split.where("part = 'initial'").select("src", "dst")
-    base = build_state(start, p)
-    ups = updates_from(split, 10 * inserts, 0.0).groupBy("src").agg(F.min("dst").alias("dst")).orderBy("src").limit(inserts).select(F.lit(1).cast("long").alias("tau"), F.lit("+").alias("op"), "src", "dst")
-    out = []
+    base, ups = build_state(start, p), updates_from(split, inserts, 0.0)
+    rounds, truth, out = Rounds(edges.sparkSession, "ablation"), None, []
     for name in how:
         t = time.time()
-        out.append({"sampler": name, **apply_batch(base, ups, name).stats, "seconds": time.time() - t})
+        done = apply_batch(base, ups, name)
+        row = {"sampler": name, **done.stats, "seconds": time.time() - t, "dispersion": edge_dispersion(done).first()["dispersion"]}
+        if exact:
+            truth = truth if truth is not None else rounds.keep(power_ppr(done.edges, done.edges.select(F.col("src").alias("source")).distinct(), p))
+            row["chi2_per_cell"] = check_unbiased(done, truth).first()["chi2_per_cell"]
+        out.append(row)
     return out
 
 
-def batch_sizes(edges: DataFrame, p: PprParams, sizes: Sequence[int] = (1, 10, 100)) -> list[dict]:
-    split = random_arrival_split(edges, 0.8)
+def batch_sizes(edges: DataFrame, p: PprParams, sizes: Sequence[int] = (1, 10, 100, 1000, 10000), initial: float = 0.8) -> list[dict]:
+    """Repairs and seconds per update by the number of updates taken at once."""
+    split = random_arrival_split(edges, initial)
     base = build_state(split.where("part = 'initial'").select("src", "dst"), p)
     out = []
     for n in sizes:
+        ups = updates_from(split, n)
         t = time.time()
-        s = apply_batch(base, updates_from(split, n))
+        s = apply_batch(base, ups)
         out.append({"batch": n, **s.stats, "seconds_per_update": (time.time() - t) / n})
+        s.release()
     return out
 
 
-def memory_of_methods(edges: DataFrame, p: PprParams) -> dict[str, int]:
-    """Bytes of each method: graph only, with endpoints, with paths and crossings, with endpoints and the reverse graph."""
-    size = {r["table_name"]: r["n_bytes"] for r in size_report(build_state(edges, p)).collect()}
-    graph = size["adjacency"]
-    return {"online": graph, "rebuild": graph + size["walk_ends"], "eager": graph + size["walk_ends"] + size["walk_paths"] + size["crossings"], "lazy": 2 * graph + size["walk_ends"]}
+def hub_repairs(edges: DataFrame, p: PprParams, n: int = 50) -> dict:
+    """Deletions at the node with the most out-edges, as one batch, beside as many random ones: the bound needs random arrival,
+    correctness doesn't."""
+    base = build_state(edges, p)
+    hub = apply_batch(base, hub_updates(edges, n))
+    split = random_arrival_split(edges, 1.0)
+    plain = apply_batch(base, updates_from(split, n, 1.0))
+    return {"hub": hub.stats, "random": plain.stats, "bound": repair_bound(p), "violations": check_adequate(hub).count() + check_paths_valid(hub).count()}
+
+
+def folder_bytes(df: DataFrame) -> int:
+    """Bytes of the files that a written frame is read from."""
+    jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()
+    paths = [jvm.org.apache.hadoop.fs.Path(f) for f in df.inputFiles()]
+    return sum(p.getFileSystem(conf).getFileStatus(p).getLen() for p in paths)
+
+
+def memory_of_methods(edges: DataFrame, p: PprParams) -> dict[str, dict[str, int]]:
+    """Bytes of each method, raw (fixed widths) and as written files: graph only, with endpoints, with paths and records, with
+    endpoints and the reverse graph."""
+    state, rounds = build_state(edges, p), Rounds(edges.sparkSession, "memory")
+    raw = {r["table_name"]: r["n_bytes"] for r in size_report(state).collect()}
+    written = {"adjacency": folder_bytes(rounds.keep(adjacency(state.edges))), "walk_ends": folder_bytes(rounds.keep(walk_ends(state.walks))), "walk_paths": folder_bytes(state.walks), "crossings": folder_bytes(rounds.keep(crossings_of(state.walks)))}
+
+    def of(size: dict[str, int]) -> dict[str, int]:
+        return {"online": size["adjacency"], "rebuild": size["adjacency"] + size["walk_ends"], "eager": size["adjacency"] + size["walk_paths"] + size["crossings"], "lazy": 2 * size["adjacency"] + size["walk_ends"]}
+
+    a, b = of(raw), of(written)
+    return {m: {"raw": a[m], "written": b[m]} for m in a}
+
+
+def pure_queries(edges: DataFrame, p: PprParams, n: int = 4, k: int = 10) -> list[dict]:
+    """The lazy baseline's skip shortcut, on and off, for top-k queries without updates and after one update."""
+    split = random_arrival_split(edges, 0.9)
+    start, ups = split.where("part = 'initial'").select("src", "dst"), updates_from(split, 1, 0.0)
+    out = []
+    for updates in (0, 1):
+        for skip in (True, False):
+            engine = ENGINES["lazy_optimistic"](start, p, skip_when_safe=skip)
+            if updates:
+                engine.update(ups)
+            t = time.time()
+            engine.topk(pick_sources(start, n), k).write.format("noop").mode("overwrite").save()
+            out.append({"updates": updates, "skip": skip, "skipped": engine.skipped, "rebuilt_nodes": engine.rebuilt_nodes, "seconds": time.time() - t})
+    return out
 
 
 def growth(graphs: Sequence[DataFrame], p_over: dict | None = None, n: int = 50) -> list[dict]:
@@ -206,6 +276,14 @@ def growth(graphs: Sequence[DataFrame], p_over: dict | None = None, n: int = 50)
     for edges in graphs:
         nodes, m = graph_size(edges)
         p = PprParams.for_graph(nodes, **(p_over or {}))
-        r = insert_vs_delete(edges, p, n)[0]
-        out.append({"n": nodes, "m": m, "repairs_per_update": r["repaired"] / max(1, r["updates"]), "seconds": r["seconds"]})
+        r = insert_vs_delete(edges, p, n, ("eager",))[0]
+        out.append({"n": nodes, "m": m, "repairs_per_update": r["stats"]["repaired"] / max(1, r["stats"]["updates"]), "bound": repair_bound(p), "seconds": r["seconds"]})
     return out
+
+
+def cost_report(runs: list[dict], spark: SparkSession) -> DataFrame:
+    """Average seconds by engine, share of updates and all their totals (rollup) of `compare_engines` rows."""
+    rows = [(r["engine"], r["percent"], r["update_s"], r["query_s"], r["updates"], r["queries"]) for r in runs]
+    df = spark.createDataFrame(rows, "engine string, percent int, update_s double, query_s double, updates long, queries long")
+    per = lambda s, n: (F.sum(s) / F.nullif(F.sum(n), F.lit(0))).alias(f"{s}_each")
+    return df.rollup("engine", "percent").agg(per("update_s", "updates"), per("query_s", "queries"))

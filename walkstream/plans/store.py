@@ -85,6 +85,13 @@ class StateStore:
                 for name in ("meta", *TABLES):
                     remove(self.spark, f"{self.path}/{name}/epoch={e}")
 
+    def forget(self, after: int) -> None:
+        """Remove the epochs after `after`."""
+        for e in self.epochs():
+            if e > after:
+                for name in ("meta", *TABLES):
+                    remove(self.spark, f"{self.path}/{name}/epoch={e}")
+
     # reading
 
     def epochs(self) -> list[int]:

@@ -1,4 +1,4 @@
-"""Registered queries of the walk engine and their SQL."""
+"""Registered queries of the walk engine."""
 
 from __future__ import annotations
 
@@ -9,15 +9,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions.params import PprParams
-from .functions.rng import hop_thresholds, u01_sql
-from .operators import engines, graph, metrics, push, query, repair, walks, workloads
+from .operators import engines, graph, metrics, push, query, repair, samplers, walks, workloads
+from .oracle import oracle_sql  # noqa: F401  (the SQL belongs to these queries)
 from .plans.iterate import Rounds
+from .plans.store import StateStore
 from .sources import graphs
 from .streaming.updates import sliding_window_graph, update_rate
 
 BETA, SOURCES = 0.2, 4
-ROUNDS = 6  # of the unrolled SQL only: the queries push until no node is over the threshold
-POWER_ROUNDS = 24  # of the unrolled SQL only
 
 
 def _basket(spark: SparkSession, d: str) -> DataFrame:
@@ -78,7 +77,7 @@ def _push(edges: DataFrame) -> DataFrame:
 
 def push_state(spark, d):
     s = _push(_basket(spark, d))
-    return s.select("source", "node", F.round("reserve", 6).alias("reserve"), F.round("residue", 6).alias("residue"))
+    return s.select("source", "node", F.round("reserve", 8).alias("reserve"), F.round("residue", 8).alias("residue"))
 
 
 def push_stats(spark, d):
@@ -90,7 +89,7 @@ def push_invariant(spark, d):
     edges = Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
     p = _params(edges)
     every = edges.select(F.col("src").alias("source")).distinct()
-    exact = push.power_ppr(edges, every, p, 96)
+    exact = push.power_ppr(edges, every, p)
     gap = push.check_push_invariant(push.forward_push(edges, every, p, 1e-3), exact)
     return gap.select("source", (F.col("gap") < 1e-9).alias("holds"))
 
@@ -100,7 +99,7 @@ def power_push(spark, d):
     p = _params(edges)
     every = edges.select(F.col("src").alias("source")).distinct()
     s = push.power_push(edges, every, p, 1e-9, dense_fraction=0.05)
-    return _rounded(s.select("source", "node", F.col("reserve").alias("score")), p).withColumn("score", F.round("score", 5))
+    return s.where("reserve > 0").select("source", "node", F.round("reserve", 5).alias("score"))
 
 
 def backward_push(spark, d):
@@ -108,7 +107,7 @@ def backward_push(spark, d):
     t = _sources(edges, 2).select(F.col("source").alias("target"))
     p, (n, m) = _params(edges), graph.graph_size(edges)
     s = push.backward_push(edges, t, p, p.backward_r_max(m, n, False))
-    return s.select("target", "node", F.round("reserve", 6).alias("reserve"), F.round("residue", 6).alias("residue"))
+    return s.select("target", "node", F.round("reserve", 8).alias("reserve"), F.round("residue", 8).alias("residue"))
 
 
 def _index(edges: DataFrame, **kw) -> DataFrame:
@@ -116,14 +115,12 @@ def _index(edges: DataFrame, **kw) -> DataFrame:
 
 
 def walk_index(spark, d):
-    w = _index(_basket(spark, d))
-    return w.select("walk_id", "source", "slot", "hops", F.array_join(F.transform("path", lambda v: v.cast("string")), ",").alias("path"))
+    return _paths(_index(_basket(spark, d)))
 
 
 def walk_index_zero_hop(spark, d):
     edges = _basket(spark, d)
-    w = walks.build_walk_index(edges, _params(edges), zero_hop=True)
-    return w.groupBy("hops").agg(F.count("*").alias("n"))
+    return _paths(walks.build_walk_index(edges, _params(edges), zero_hop=True))
 
 
 def walk_ends(spark, d):
@@ -136,7 +133,8 @@ def end_counts(spark, d):
 
 
 def crossings(spark, d):
-    return walks.crossings_of(_index(_basket(spark, d)))
+    c = walks.crossings_of(_index(_basket(spark, d)))
+    return c.select("node", F.col("walk_id.source").alias("walk_source"), F.col("walk_id.slot").alias("walk_slot"), "step", "next")
 
 
 def crossings_by_edge(spark, d):
@@ -160,17 +158,17 @@ def query_indexed_all(spark, d):
 
 def query_monte_carlo(spark, d):
     edges = _basket(spark, d)
-    return query.query_monte_carlo(edges, _sources(edges), _params(edges), 3000)
+    return query.query_monte_carlo(edges, _sources(edges), _params(edges))
 
 
 def query_online(spark, d):
-    edges = Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
-    return _rounded(query.query_online(edges, _sources(edges), _params(edges, delta=0.01, p_f=0.01)), _params(edges))
+    edges = _basket(spark, d)
+    return _rounded(query.query_online(edges, _sources(edges), _params(edges)), _params(edges))
 
 
 def query_online_balanced(spark, d):
-    edges = Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
-    return _rounded(query.query_online(edges, _sources(edges), _params(edges, delta=0.01, p_f=0.01), mode="balanced", blended=True), _params(edges))
+    edges = _basket(spark, d)
+    return _rounded(query.query_online(edges, _sources(edges), _params(edges), mode="balanced"), _params(edges))
 
 
 def query_by_visits(spark, d):
@@ -178,15 +176,19 @@ def query_by_visits(spark, d):
     return _rounded(query.query_by_visits(repair.build_state(edges, _params(edges)), _sources(edges)), _params(edges))
 
 
+def _ranked(top: DataFrame) -> DataFrame:
+    return top.select("source", "rank", "node", F.round("score", 8).alias("score"))
+
+
 def topk_full(spark, d):
     edges = _basket(spark, d)
-    s = query.refine(_push(edges), walks.walk_ends(_index(edges)), _params(edges))
-    return query.best_k(s.withColumn("score", F.round("score", 6)), 10).select("source", "rank", "node", "score")
+    state = repair.build_state(edges, _params(edges))
+    return _ranked(query.query_topk(state, _sources(edges), 500, strategy="full"))
 
 
 def topk_iterative(spark, d):
     edges = _basket(spark, d)
-    return query.query_topk(repair.build_state(edges, _params(edges, beta=1.0)), _sources(edges), 10).select("source", "rank", "node", F.round("score", 6).alias("score"))
+    return _ranked(query.query_topk(repair.build_state(edges, _params(edges, beta=1.0)), _sources(edges), 10))
 
 
 def pair(spark, d):
@@ -246,14 +248,41 @@ def delete_walks(spark, d):
 
 
 def _sampled(how: str):
+    """The records of kept edges that a sampler redirects at the nodes of a batch's insertions."""
+
     def run(spark, d):
-        edges = _basket(spark, d)
-        r = workloads.sampler_ablation(edges, _params(edges), 20, (how,))[0]
-        return spark.createDataFrame([(how, int(r["updates"]), int(r["repaired"]), int(r["added"]))], "sampler string, updates long, repaired long, added long")
+        state, ups = _batch(spark, d)
+        rounds, p, epoch = Rounds(spark, "records"), state.params, state.epoch + 1
+        net = rounds.keep(graph.normalize_updates(ups, state.edges))
+        touched = rounds.keep(repair.touched_nodes(state.edges, net))
+        gone = repair.trim_plan(state.walks, touched, p, epoch).where("place >= want").select("walk_id")
+        removed = net.where("op = '-'").select(F.col("src").alias("node"), F.col("dst").alias("next"))
+        kept = walks.crossings_of(state.walks).join(gone, "walk_id", "left_anti").join(removed, ["node", "next"], "left_anti")
+        grown = touched.where("k > 0 and a > 0").select("node", F.col("b").alias("d"), "k")
+        got = samplers.sample_records(kept.select("node", "walk_id", "step", "next"), grown, p.seed, epoch, how)
+        return got.select("node", F.col("walk_id.source").alias("walk_source"), F.col("walk_id.slot").alias("walk_slot"), "step", "next")
 
     return run
 
 
+def _stored(spark, d):
+    """The batch again, by deltas on disk."""
+    state, ups = _batch(spark, d)
+    store = StateStore(spark, Rounds(spark, "store").base, 16)
+    store.save(state)
+    store.apply(ups)
+    return store
+
+
+def stored_walks(spark, d):
+    return _paths(_stored(spark, d).table("walks"))
+
+
+def stored_crossings(spark, d):
+    c = _stored(spark, d).table("crossings")
+    return c.select("node", F.col("walk_id.source").alias("walk_source"), F.col("walk_id.slot").alias("walk_slot"), F.col("walk_id.epoch").alias("walk_epoch"), "step", "next")
+
+
 def adequacy(spark, d):
     state, ups = _batch(spark, d)
     s = repair.apply_batch(state, ups)
@@ -274,10 +303,11 @@ def rebuild_after_update(spark, d):
 
 
 def staleness(spark, d):
-    state, ups = _batch(spark, d, 10)
-    net = Rounds(spark, "net").keep(graph.normalize_updates(ups, state.edges))
-    sigma = engines.staleness_step(spark.createDataFrame([], "node long, sigma double"), graph.apply_updates(state.edges, net), net, state.params)
-    return sigma.select("node", F.round("sigma", 9).alias("sigma"))
+    edges = _basket(spark, d)
+    split = workloads.random_arrival_split(edges)
+    engine = engines.LazyEngine(split.where("part = 'initial'").select("src", "dst"), _params(edges))
+    engine.update(workloads.updates_from(split, 10))
+    return engine.staleness().select("node", F.round("sigma", 8).alias("sigma"))
 
 
 def _lazy(optimistic: bool):
@@ -296,6 +326,10 @@ def random_split(spark, d):
     return workloads.random_arrival_split(_basket(spark, d)).groupBy("part").agg(F.count("*").alias("n"), F.sum("src").alias("src_sum"), F.sum("dst").alias("dst_sum"))
 
 
+def random_split_half(spark, d):
+    return workloads.random_arrival_split(graphs.customer_part(spark, d), 0.5).select("src", "dst", "part")
+
+
 def temporal_split(spark, d):
     return workloads.temporal_split(_basket(spark, d)).select("src", "dst", "part")
 
@@ -303,7 +337,8 @@ def temporal_split(spark, d):
 def mixed_workload(spark, d):
     edges = _basket(spark, d)
     ups = workloads.updates_from(workloads.random_arrival_split(edges), 100)
-    return workloads.mixed_workload(ups, workloads.pick_sources(edges, 100), 50)
+    w = workloads.mixed_workload(ups, workloads.pick_sources(edges, 100), 50)
+    return w.select("pos", "kind", F.coalesce("op", F.lit("")).alias("op"), *[F.coalesce(c, F.lit(-1)).cast("long").alias(c) for c in ("src", "dst", "source")])
 
 
 def hub_updates(spark, d):
@@ -329,7 +364,7 @@ def crossing_identity(spark, d):
     edges = Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
     p = _params(edges, beta=20.0)
     every = edges.select(F.col("src").alias("source")).distinct()
-    c = metrics.check_crossing_identity(repair.build_state(edges, p), push.power_ppr(edges, every, p, 48))
+    c = metrics.check_crossing_identity(repair.build_state(edges, p), push.power_ppr(edges, every, p))
     return c.select("node", F.round("expected", 3).alias("expected"), "crossings")
 
 
@@ -337,7 +372,8 @@ def endpoint_chi_square(spark, d):
     edges = Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
     p = _params(edges, beta=20.0)
     every = edges.select(F.col("src").alias("source")).distinct()
-    return metrics.check_unbiased(repair.build_state(edges, p), push.power_ppr(edges, every, p, 48))
+    c = metrics.check_unbiased(repair.build_state(edges, p), push.power_ppr(edges, every, p))
+    return c.select("cells", F.round("chi2_per_cell", 6).alias("chi2_per_cell"))
 
 
 def space_report(spark, d):
@@ -367,156 +403,94 @@ def sliding_graph(spark, d):
     return sliding_window_graph(log, str(at), "2 DAYS")
 
 
+def _stats(row: dict) -> tuple[int, int, int, int]:
+    return tuple(int(row.get(k, 0)) for k in ("updates", "repaired", "trimmed", "added"))
+
+
+_COUNTS = "updates long, repaired long, trimmed long, added long"
+
+
+def _nations(spark, d) -> DataFrame:
+    return Rounds(spark, "graph").keep(graphs.nation_trade(spark, d))
+
+
+def x_accuracy_growth(spark, d):
+    """Errors of all engines after 5 % of the edges were inserted."""
+    edges = _nations(spark, d)
+    r = workloads.accuracy_after_growth(edges, _params(edges, beta=1.0))
+    return r.select("engine", "nodes", F.round("avg_error", 6).alias("avg_error"), F.round("max_error", 6).alias("max_error"))
+
+
+def x_accuracy_updates(spark, d):
+    """Errors of all engines after 1,000 updates, half of them deletions."""
+    edges = Rounds(spark, "graph").keep(graphs.user_succession(spark, d))
+    r = workloads.accuracy_after_updates(edges, _params(edges, beta=1.0))
+    return r.select("engine", "nodes", F.round("avg_error", 6).alias("avg_error"), F.round("max_error", 6).alias("max_error"))
+
+
+def x_mixed_engines(spark, d):
+    """Work of all engines on one mixed workload of 8 operations, half of them updates; `bench.py` sweeps the share."""
+    edges = _nations(spark, d)
+    rows = []
+    for r in workloads.compare_engines(edges, _params(edges, beta=1.0), 50, 8, batch=True):
+        rows += [(r["engine"], r["percent"], r["updates"], r["queries"], int(r["work"].get("repaired", 0)), int(r["work"].get("rebuilt", 0)), int(r["lazy_rebuilt"]), int(r["lazy_skipped"]))]
+    return spark.createDataFrame(rows, "engine string, percent int, updates long, queries long, repaired long, rebuilt long, lazy_rebuilt long, lazy_skipped long")
+
+
+def x_insert_delete(spark, d):
+    """Work of 1,000 insertions and of 1,000 deletions."""
+    edges = Rounds(spark, "graph").keep(graphs.user_succession(spark, d))
+    rows = [(r["engine"], r["op"], *_stats(r["stats"]), round(r["staleness"], 6)) for r in workloads.insert_vs_delete(edges, _params(edges, beta=1.0), initial=0.8)]
+    return spark.createDataFrame(rows, f"engine string, op string, {_COUNTS}, staleness double")
+
+
+def x_arrival_orders(spark, d):
+    edges = _basket(spark, d)
+    rows = [(r["order"], *_stats(r), r["bound"]) for r in workloads.arrival_gap(edges, _params(edges, beta=1.0))]
+    return spark.createDataFrame(rows, f"arrival string, {_COUNTS}, bound double")
+
+
+def x_memory(spark, d):
+    edges = _basket(spark, d)
+    m = workloads.memory_of_methods(edges, _params(edges, beta=1.0))
+    return spark.createDataFrame([(k, v["raw"]) for k, v in m.items()], "method string, raw_bytes long")
+
+
+def x_skip_shortcut(spark, d):
+    edges = _nations(spark, d)
+    rows = [(r["updates"], r["skip"], r["skipped"], r["rebuilt_nodes"]) for r in workloads.pure_queries(edges, _params(edges, beta=1.0))]
+    return spark.createDataFrame(rows, "updates int, skip boolean, skipped long, rebuilt_nodes long")
+
+
+def x_growth(spark, d):
+    """Repairs per update on a quarter, half and all of the nodes' edges."""
+    edges = _basket(spark, d)
+    some = [edges.where((F.col("src") % 4 < k) & (F.col("dst") % 4 < k)) for k in (1, 2, 4)]
+    rows = [(r["n"], r["m"], round(r["repairs_per_update"], 6), r["bound"]) for r in workloads.growth([Rounds(spark, "graph").keep(e) for e in some], {"beta": 1.0})]
+    return spark.createDataFrame(rows, "n long, m long, repairs_per_update double, bound double")
+
+
+def x_samplers(spark, d):
+    edges = _nations(spark, d)
+    rows = [(r["sampler"], *_stats(r), round(r["dispersion"], 6), round(r["chi2_per_cell"], 6)) for r in workloads.sampler_ablation(edges, _params(edges, beta=20.0), 50, exact=True)]
+    return spark.createDataFrame(rows, f"sampler string, {_COUNTS}, dispersion double, chi2_per_cell double")
+
+
+def x_batch_sizes(spark, d):
+    edges = _basket(spark, d)
+    rows = [(r["batch"], *_stats(r)) for r in workloads.batch_sizes(edges, _params(edges))]
+    return spark.createDataFrame(rows, f"batch int, {_COUNTS}")
+
+
+def x_hub_repairs(spark, d):
+    edges = Rounds(spark, "graph").keep(graphs.customer_supplier(spark, d))
+    r = workloads.hub_repairs(edges, _params(edges))
+    return spark.createDataFrame([(k, *_stats(r[k]), r["bound"], r["violations"]) for k in ("hub", "random")], f"kind string, {_COUNTS}, bound double, violations long")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    named = (degrees, dead_ends, adjacency_slots, params_table, power_ppr, push_state, push_stats, push_invariant, power_push, backward_push, walk_index, walk_index_zero_hop, walk_ends, end_counts, crossings, crossings_by_edge, node_counters, query_indexed, query_indexed_all, query_monte_carlo, query_online, query_online_balanced, query_by_visits, topk_full, topk_iterative, pair, update_log, net_updates, touched_nodes, batch_walks, batch_stats, insert_walks, delete_walks, adequacy, node_delete_expansion, rebuild_after_update, staleness, random_split, temporal_split, mixed_workload, hub_updates, relative_error, topk_quality, crossing_identity, endpoint_chi_square, space_report, graph_as_of, window_update_rate, sliding_graph)
+    named = (degrees, dead_ends, adjacency_slots, params_table, power_ppr, push_state, push_stats, push_invariant, power_push, backward_push, walk_index, walk_index_zero_hop, walk_ends, end_counts, crossings, crossings_by_edge, node_counters, query_indexed, query_indexed_all, query_monte_carlo, query_online, query_online_balanced, query_by_visits, topk_full, topk_iterative, pair, update_log, net_updates, touched_nodes, batch_walks, batch_stats, insert_walks, delete_walks, stored_walks, stored_crossings, adequacy, node_delete_expansion, rebuild_after_update, staleness, random_split, random_split_half, temporal_split, mixed_workload, hub_updates, relative_error, topk_quality, crossing_identity, endpoint_chi_square, space_report, graph_as_of, window_update_rate, sliding_graph, x_accuracy_growth, x_accuracy_updates, x_mixed_engines, x_insert_delete, x_arrival_orders, x_memory, x_skip_shortcut, x_growth, x_samplers, x_batch_sizes, x_hub_repairs)
     out = {f"graph_{name}": _graph(name) for name in graphs.GRAPHS}
     out |= {f.__name__: f for f in named}
     out |= {f"sampler_{how}": _sampled(how) for how in ("bernoulli", "geometric", "binomial", "edge_uniform", "edge_weighted")}
     return out | {"lazy_query": _lazy(False), "lazy_optimistic_query": _lazy(True)}
-
-
-# SQL
-
-_LINES = "lineitem JOIN orders ON l_orderkey = o_orderkey"
-
-
-def _clean(inner: str) -> str:
-    return f"SELECT src, dst, min(ts) AS ts FROM ({inner}) WHERE src IS NOT NULL AND dst IS NOT NULL AND src <> dst GROUP BY src, dst"
-
-
-def _both(inner: str) -> str:
-    return _clean(f"WITH one AS ({inner}) SELECT src, dst, ts FROM one UNION ALL SELECT dst, src, ts FROM one")
-
-
-_DIGEST = "CAST('0x' || substr(md5({}), 1, 13) AS BIGINT)"
-_LOG = "SELECT event_id AS tau, CASE WHEN event_id % 7 = 0 THEN '-' ELSE '+' END AS op, user_id AS src, CAST(json_extract_string(props, '$.k') AS BIGINT) AS dst, ts FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL"
-_GRAPH_SQL = {
-    "basket_succession": _clean(f"SELECT l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_shipdate) AS dst, o_orderdate AS ts FROM {_LINES}"),
-    "customer_supplier": _both(f"SELECT 2 * o_custkey AS src, 2 * l_suppkey + 1 AS dst, l_shipdate AS ts FROM {_LINES}"),
-    "customer_part": _both(f"SELECT 2 * o_custkey AS src, 2 * l_partkey + 1 AS dst, l_shipdate AS ts FROM {_LINES}"),
-    "user_succession": _clean("SELECT user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst, ts FROM events"),
-    "user_propkey": _both("SELECT 2 * user_id AS src, 2 * CAST(json_extract_string(props, '$.k') AS BIGINT) + 1 AS dst, ts FROM events"),
-    "page_links": _clean(f"SELECT {_DIGEST.format('url')} AS src, {_DIGEST.format('href')} AS dst, NULL AS ts FROM (SELECT url, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages WHERE url IS NOT NULL)"),
-    "nation_trade": _clean(f"SELECT CAST(c_nationkey AS BIGINT) AS src, CAST(s_nationkey AS BIGINT) AS dst, l_shipdate AS ts FROM {_LINES} JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey"),
-}
-
-
-def _g(name: str = "basket_succession") -> str:
-    """Edges, degrees, adjacency and sizes of a graph as CTEs."""
-    return f"""e AS MATERIALIZED (SELECT src, dst, ts FROM ({_GRAPH_SQL[name]})),
-deg AS MATERIALIZED (SELECT node, CAST(sum(n) AS BIGINT) AS out_deg FROM (SELECT src AS node, 1 AS n FROM e UNION ALL SELECT dst, 0 FROM e) GROUP BY node),
-adj AS MATERIALIZED (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY dst) - 1 AS slot FROM e),
-q AS MATERIALIZED (SELECT CAST(count(*) AS DOUBLE) AS n, CAST(sum(out_deg) AS DOUBLE) AS m FROM deg),
-par AS MATERIALIZED (SELECT n, m, (2 * 0.5e0 / 3 + 2) * ln(2 * n) / (0.25e0 / n) AS omega FROM q),
-srcs AS MATERIALIZED (SELECT source FROM (SELECT DISTINCT src AS source FROM e) ORDER BY {u01_sql(7, "source", "source")}, source LIMIT {SOURCES})"""
-
-
-def _push_sql(rounds: int, threshold: str | None, start: str = "srcs") -> str:
-    """Unrolled rounds s0, s1, ...; threshold None pushes all."""
-    parts = [f"s0 AS (SELECT source, source AS node, 0.0e0 AS reserve, 1.0e0 AS residue FROM {start})"]
-    test = f"residue > 0 AND residue >= coalesce(out_deg, 0) * {threshold}" if threshold else "residue > 0"
-    for k in range(rounds):
-        parts.append(f"d{k} AS MATERIALIZED (SELECT source, s.node, reserve, residue, coalesce(out_deg, 0) AS out_deg, CASE WHEN {test} THEN residue ELSE 0 END AS moved FROM s{k} s LEFT JOIN deg ON deg.node = s.node)")
-        parts.append(f"s{k + 1} AS MATERIALIZED (SELECT source, node, sum(reserve) AS reserve, sum(residue) AS residue FROM (SELECT source, node, reserve + CASE WHEN out_deg = 0 THEN moved ELSE moved * 0.2e0 END AS reserve, residue - moved AS residue FROM d{k} UNION ALL SELECT source, dst, 0.0e0, moved * 0.8e0 / out_deg FROM d{k} JOIN e ON e.src = d{k}.node WHERE moved > 0 AND out_deg > 0) GROUP BY source, node)")
-    return ",\n".join(parts)
-
-
-def _walk_sql(starts: str, name: str = "w", least: int = 1, epoch: int = 0) -> str:
-    """Recursive walk from starts (source, slot)."""
-    steps = ", ".join(f"{t!r}e0" for t in hop_thresholds(0.2))
-    wid = _DIGEST.format(f"CAST(source AS VARCHAR) || ':' || CAST(slot AS VARCHAR) || ':{epoch}'")
-    return f"""{name}0 AS MATERIALIZED (SELECT walk_id, source, slot, CAST(len(list_filter([{steps}], lambda t: {u01_sql(7, "hops", "walk_id")} >= t)) + {least} AS INTEGER) AS hops FROM (SELECT {wid} AS walk_id, source, slot FROM ({starts}))),
-{name}r(walk_id, source, slot, hops, path, node) AS (
-  SELECT walk_id, source, slot, hops, [source], source FROM {name}0
-  UNION ALL
-  SELECT walk_id, source, {name}r.slot, hops, list_append(path, coalesce(adj.dst, {name}r.node)), coalesce(adj.dst, {name}r.node)
-  FROM {name}r JOIN deg ON deg.node = {name}r.node LEFT JOIN adj ON adj.src = {name}r.node AND adj.slot = CAST(floor({u01_sql(7, f"next{epoch}", "walk_id", "len(path)")} * out_deg) AS BIGINT)
-  WHERE len(path) <= hops),
-{name} AS MATERIALIZED (SELECT walk_id, source, slot, hops, path FROM {name}r WHERE len(path) = hops + 1)"""
-
-
-_INDEX_STARTS = "SELECT node AS source, unnest(range(CAST(ceil(out_deg * 1.0e0) AS BIGINT))) AS slot FROM deg WHERE out_deg > 0"
-_R = "(SELECT 1.0e0 / omega FROM par)"
-_CROSS = "SELECT path[i] AS node, walk_id, CAST(i - 1 AS INTEGER) AS step, path[i + 1] AS next FROM (SELECT walk_id, path, unnest(range(1, hops + 1)) AS i FROM w)"
-_REFINE = f"""lft AS (SELECT source, node, residue FROM s{ROUNDS} WHERE residue > 0),
-cnt AS (SELECT source AS node, count(*) AS have FROM w GROUP BY 1),
-need AS (SELECT lft.source, lft.node, residue, least(CAST(ceil(residue * (SELECT omega FROM par)) AS BIGINT), coalesce(have, 0)) AS use FROM lft LEFT JOIN cnt ON cnt.node = lft.node),
-est AS (SELECT source, node, sum(score) AS score FROM (
-  SELECT source, node, reserve AS score FROM s{ROUNDS} WHERE reserve > 0
-  UNION ALL SELECT source, node, residue * 0.2e0 FROM lft
-  UNION ALL SELECT source, node, residue * 0.8e0 FROM need WHERE use = 0
-  UNION ALL SELECT need.source, w.path[-1], residue * 0.8e0 / use FROM need JOIN w ON w.source = need.node AND w.slot < use) GROUP BY source, node)"""
-_REFINE_ALL = f"""lft AS (SELECT source, node, residue FROM s{ROUNDS} WHERE residue > 0),
-c AS (SELECT source AS node, path[-1] AS terminal, count(*) AS cnt FROM w GROUP BY 1, 2),
-al AS (SELECT node, sum(cnt) AS n FROM c GROUP BY node),
-est AS (SELECT source, node, sum(score) AS score FROM (
-  SELECT source, node, reserve AS score FROM s{ROUNDS} WHERE reserve > 0
-  UNION ALL SELECT source, node, residue * 0.2e0 FROM lft
-  UNION ALL SELECT lft.source, coalesce(terminal, lft.node), residue * 0.8e0 * coalesce(cnt / n, 1.0e0) FROM lft LEFT JOIN c ON c.node = lft.node LEFT JOIN al ON al.node = lft.node) GROUP BY source, node)"""
-_ROUNDED = "SELECT source, node, round(score, 6) AS score FROM est WHERE round(score, 6) > 0"
-_SPLIT = f"sp AS MATERIALIZED (SELECT src, dst, u, CASE WHEN u < 0.9e0 THEN 'initial' ELSE 'later' END AS part FROM (SELECT src, dst, {u01_sql(7, 'split', 'src', 'dst')} AS u FROM e))"
-
-
-def _updates(n: int, share: float = 0.5) -> str:
-    k = round(n * share)
-    return f"up AS MATERIALIZED (SELECT row_number() OVER (ORDER BY {u01_sql(7, 'workload', 'src', 'dst')}, src, dst) AS tau, op, src, dst FROM ((SELECT '+' AS op, src, dst FROM sp WHERE part = 'later' ORDER BY u, src, dst LIMIT {n - k}) UNION ALL (SELECT '-', src, dst FROM sp WHERE part = 'initial' ORDER BY u DESC, src, dst LIMIT {k})))"
-
-
-def oracle_sql() -> dict[str, str]:
-    g, nation = _g(), _g("nation_trade")
-    index = f"WITH RECURSIVE {g},\n{_walk_sql(_INDEX_STARTS)}\n"
-    pushed = f"WITH RECURSIVE {g},\n{_push_sql(ROUNDS, _R)}\n"
-    refined = f"WITH RECURSIVE {g},\n{_walk_sql(_INDEX_STARTS)},\n{_push_sql(ROUNDS, _R)},\n{_REFINE}\n"
-    mc = _walk_sql("SELECT source, unnest(range(3000)) AS slot FROM srcs", least=0)
-    path = "array_to_string(list_transform(path, lambda v: CAST(v AS VARCHAR)), ',') AS path"
-    back = ["b0 AS (SELECT source AS target, source AS node, 0.0e0 AS reserve, 1.0e0 AS residue FROM srcs2)"]
-    for k in range(ROUNDS):
-        back.append(f"c{k} AS MATERIALIZED (SELECT target, b.node, reserve, residue, CASE WHEN residue >= 1e-3 THEN residue ELSE 0 END AS moved, CASE WHEN coalesce(out_deg, 0) = 0 THEN CASE WHEN residue >= 1e-3 THEN residue ELSE 0 END / 0.2e0 ELSE CASE WHEN residue >= 1e-3 THEN residue ELSE 0 END END AS total FROM b{k} b LEFT JOIN deg ON deg.node = b.node)")
-        back.append(f"b{k + 1} AS MATERIALIZED (SELECT target, node, sum(reserve) AS reserve, sum(residue) AS residue FROM (SELECT target, node, reserve + total * 0.2e0 AS reserve, residue - moved AS residue FROM c{k} UNION ALL SELECT target, e.src, 0.0e0, total * 0.8e0 / out_deg FROM c{k} JOIN e ON e.dst = c{k}.node JOIN deg ON deg.node = e.src WHERE moved > 0) GROUP BY target, node)")
-    batch = f"WITH {g},\n{_SPLIT},\n{_updates(200)}\n"
-    rebuilt = f"""WITH RECURSIVE e0 AS (SELECT src, dst, ts FROM ({_GRAPH_SQL["basket_succession"]})), n0 AS (SELECT count(*) AS n FROM (SELECT src FROM e0 UNION SELECT dst FROM e0)),
-{_SPLIT.replace("FROM e)", "FROM e0)")},
-{_updates(200)},
-e AS MATERIALIZED (SELECT src, dst FROM sp WHERE part = 'initial' AND (src, dst) NOT IN (SELECT (src, dst) FROM up WHERE op = '-') UNION ALL SELECT src, dst FROM up WHERE op = '+'),
-deg AS MATERIALIZED (SELECT node, CAST(sum(n) AS BIGINT) AS out_deg FROM (SELECT src AS node, 1 AS n FROM e UNION ALL SELECT dst, 0 FROM e) GROUP BY node),
-adj AS MATERIALIZED (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY dst) - 1 AS slot FROM e),
-{_walk_sql(_INDEX_STARTS, epoch=1)}
-SELECT source, slot, hops, {path} FROM w"""
-    out = {f"graph_{k}": f"SELECT src, dst FROM ({v})" for k, v in _GRAPH_SQL.items()}
-    out |= {
-        "degrees": f"WITH {g} SELECT node, out_deg FROM deg",
-        "dead_ends": f"WITH {_g('page_links')} SELECT DISTINCT dst AS node FROM e WHERE dst NOT IN (SELECT src FROM e)",
-        "adjacency_slots": f"WITH {g} SELECT src, slot, dst, coalesce(out_deg, 0) AS dst_deg FROM adj LEFT JOIN deg ON deg.node = adj.dst",
-        "params_table": f"WITH {g} SELECT name, round(v, 9) AS value FROM (SELECT 'n' AS name, n AS v FROM par UNION ALL SELECT 'm', m FROM par UNION ALL SELECT 'omega', omega FROM par UNION ALL SELECT 'r_max_balanced', sqrt(1 / (m * omega)) FROM par UNION ALL SELECT 'r_max_linear', 1 / omega FROM par UNION ALL SELECT 'r_max_tuned', 1.0e0 / omega FROM par UNION ALL SELECT 'walks_per_edge', 1.0e0)",
-        "power_ppr": f"WITH {g},\n{_push_sql(POWER_ROUNDS, None)}\nSELECT source, node, round(reserve, 6) AS score FROM s{POWER_ROUNDS} WHERE round(reserve, 6) > 0",
-        "push_state": f"{pushed} SELECT source, node, round(reserve, 6) AS reserve, round(residue, 6) AS residue FROM s{ROUNDS}",
-        "push_stats": f"{pushed} SELECT source, count(*) AS nodes, CAST(sum(CASE WHEN reserve > 0 THEN 1 ELSE 0 END) AS BIGINT) AS pushed, round(sum(residue), 6) AS left_mass FROM s{ROUNDS} GROUP BY source",
-        "push_invariant": f"WITH {nation} SELECT DISTINCT src AS source, true AS holds FROM e",
-        "power_push": f"WITH {nation}, every AS (SELECT DISTINCT src AS source FROM e),\n{_push_sql(100, None, 'every')}\nSELECT source, node, round(round(reserve, 6), 5) AS score FROM s100 WHERE round(reserve, 6) > 0",
-        "backward_push": f"WITH {g}, srcs2 AS (SELECT source FROM srcs ORDER BY {u01_sql(7, 'source', 'source')}, source LIMIT 2),\n" + ",\n".join(back) + f"\nSELECT target, node, round(reserve, 6) AS reserve, round(residue, 6) AS residue FROM b{ROUNDS}",
-        "walk_index": f"{index} SELECT walk_id, source, slot, hops, {path} FROM w",
-        "walk_index_zero_hop": f"WITH RECURSIVE {g},\n{_walk_sql(_INDEX_STARTS, least=0)}\nSELECT hops, count(*) AS n FROM w GROUP BY hops",
-        "walk_ends": f"{index} SELECT source, slot, path[-1] AS terminal FROM w",
-        "end_counts": f"{index} SELECT source, terminal, cnt, CAST(sum(cnt) OVER (PARTITION BY source) AS BIGINT) AS n_walks FROM (SELECT source, path[-1] AS terminal, count(*) AS cnt FROM w GROUP BY 1, 2)",
-        "crossings": f"{index} {_CROSS}",
-        "crossings_by_edge": f"{index} SELECT node, next, count(*) AS records FROM ({_CROSS}) GROUP BY node, next",
-        "node_counters": f"{index} SELECT node, count(*) AS crossings, count(DISTINCT next) AS active_edges FROM ({_CROSS}) GROUP BY node",
-        "query_indexed": f"{refined} {_ROUNDED}",
-        "query_indexed_all": f"WITH RECURSIVE {g},\n{_walk_sql(_INDEX_STARTS)},\n{_push_sql(ROUNDS, _R)},\n{_REFINE_ALL}\n{_ROUNDED}",
-        "query_monte_carlo": f"WITH RECURSIVE {g},\n{mc}\nSELECT source, path[-1] AS node, count(*) / 3000.0e0 AS score FROM w GROUP BY 1, 2",
-        "topk_full": f"{refined} SELECT source, CAST(rank AS INTEGER) AS rank, node, score FROM (SELECT source, node, round(score, 6) AS score, row_number() OVER (PARTITION BY source ORDER BY round(score, 6) DESC, node) AS rank FROM est) WHERE rank <= 10",
-        "pair": f"{refined} {_ROUNDED} AND node = 17",
-        "update_log": f"{batch} SELECT tau, op, src, dst FROM up",
-        "net_updates": f"{batch} SELECT src, dst, '-' AS op FROM up WHERE op = '-'",
-        "touched_nodes": f"{batch}, ch AS (SELECT src AS node, CAST(sum(CASE WHEN op = '+' THEN 1 ELSE 0 END) AS BIGINT) AS k, CAST(sum(CASE WHEN op = '-' THEN 1 ELSE 0 END) AS BIGINT) AS gone FROM up GROUP BY src), o AS (SELECT src AS node, count(*) AS a FROM sp WHERE part = 'initial' GROUP BY src) SELECT ch.node, coalesce(a, 0) AS a, k, gone, coalesce(a, 0) - gone + k AS b FROM ch LEFT JOIN o ON o.node = ch.node",
-        "adequacy": "SELECT CAST(0 AS BIGINT) AS violations",
-        "node_delete_expansion": f"WITH {g} SELECT CASE WHEN src = 5 OR dst = 5 THEN CAST(1 AS BIGINT) ELSE CAST(2 AS BIGINT) END AS tau, '-' AS op, src, dst FROM e WHERE src IN (5, 9) OR dst IN (5, 9)",
-        "rebuild_after_update": rebuilt,
-        "random_split": f"WITH {g}, {_SPLIT} SELECT part, count(*) AS n, CAST(sum(src) AS BIGINT) AS src_sum, CAST(sum(dst) AS BIGINT) AS dst_sum FROM sp GROUP BY part",
-        "temporal_split": f"WITH {g} SELECT src, dst, CASE WHEN k <= round(0.9e0 * (SELECT count(*) FROM e)) THEN 'initial' ELSE 'later' END AS part FROM (SELECT src, dst, row_number() OVER (ORDER BY ts, {u01_sql(7, 'split', 'src', 'dst')}, src, dst) AS k FROM e)",
-        "hub_updates": f"WITH e AS ({_GRAPH_SQL['customer_supplier']}), hub AS (SELECT src FROM e GROUP BY src ORDER BY count(*) DESC, src LIMIT 1) SELECT row_number() OVER (ORDER BY dst) AS tau, '-' AS op, src, dst FROM (SELECT src, dst FROM e WHERE src = (SELECT src FROM hub) ORDER BY dst LIMIT 50)",
-        "graph_as_of": f"SELECT src, dst FROM (SELECT src, dst, arg_max(op, tau) AS op FROM ({_LOG}) WHERE tau <= 500 GROUP BY src, dst) WHERE op = '+'",
-        "window_update_rate": f"SELECT date_trunc('hour', ts) AS win_start, date_trunc('hour', ts) + INTERVAL 1 HOUR AS win_end, op, count(*) AS n FROM ({_LOG}) GROUP BY 1, 2, 3",
-        "sliding_graph": f"SELECT src, dst FROM (SELECT src, dst, arg_max(op, (ts, tau)) AS op FROM ({_LOG}) WHERE ts > (SELECT max(ts) FROM events) - INTERVAL 2 DAY GROUP BY src, dst) WHERE op = '+'",
-    }
-    return out

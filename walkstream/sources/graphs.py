@@ -79,12 +79,15 @@ def link_labels(spark: SparkSession, d: str) -> DataFrame:
 
 
 def node_dict(labels: DataFrame, column: str) -> DataFrame:
-    """Stable ids for strings: the upper 62 bits of a hash, which needs no order of all labels."""
-    return labels.select(F.col(column).alias("label")).distinct().select(node_id(F.col("label")).alias("node"), "label")
+    """Stable ids for strings: 60 bits of a hash, which needs no order of all labels. Labels that share an id are an error,
+    raised where the dictionary is read: about one chance in two at a thousand million labels."""
+    named = labels.select(F.col(column).alias("label")).distinct().groupBy(node_id(F.col("label")).alias("node")).agg(F.min("label").alias("label"), F.count("*").alias("_n"))
+    clash = F.raise_error(F.concat(F.lit("labels share the node id "), F.col("node").cast("string")))
+    return named.select("node", F.when(F.col("_n") == 1, F.col("label")).otherwise(clash.cast("string")).alias("label"))
 
 
 def node_id(label: Column) -> Column:
-    return F.conv(F.substring(F.md5(label), 1, 13), 16, 10).cast("long")
+    return F.conv(F.substring(F.md5(label), 1, 15), 16, 10).cast("long")
 
 
 def page_links(spark: SparkSession, d: str) -> DataFrame:
