@@ -198,10 +198,11 @@ def test_encoding_is_optimal_and_chunks_agree(vocab):
         assert score(whole) == _viterbi(vocab, raw)
         size = 61
         chunks = [(buf[k : k + size + enc.states - 1], min(size, len(buf) - k)) for k in range(0, len(buf), size)]
-        states, total = sentence_pieces.boundary_states([enc.transfer(*c) for c in chunks])
+        states, total = sentence_pieces.boundary_states(enc, chunks)
         parts = [enc.encode_buffer(b[i : n + j], np.array([0, n + j - i]))[0] for (b, n), i, j in zip(chunks, states, states[1:])]
         joined = np.concatenate(parts)
         assert total == score(joined) == score(whole)
+        assert joined.tolist() == whole.tolist()  # ties too
         assert b"".join(vocab.pieces[i] for i in joined) == raw
 
 
@@ -220,6 +221,18 @@ def test_encode_and_decode_texts(odd):
         assert r.decoded == r.text and (r.ids is None) == (r.text is None)
 
 
+def test_any_chunk_size_gives_the_same_ids(spark, monkeypatch):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where("length(text) > 1500").select("doc_id", "text")
+    extra = spark.createDataFrame([(-1, "ab" * 2000), (-2, "x" * 700 + " tion" * 300), (-3, "日本" * 400)], "doc_id long, text string")
+    docs = docs.unionByName(extra).coalesce(2)
+    monkeypatch.setattr(sentence_pieces, "SCAN_BLOCK", 3)
+    want = {r.doc_id: bytes(r.piece_ids) for r in sentence_pieces.encode(docs, chunk_bytes=1 << 24).collect()}
+    assert len(want) > 100
+    for size in (64, 500, 1200):
+        got = sentence_pieces.encode(docs, chunk_bytes=size, verify=True).collect()
+        assert len(got) == len(want) and all(r.round_trip and bytes(r.piece_ids) == want[r.doc_id] for r in got)
+
+
 # 5. PII
 
 

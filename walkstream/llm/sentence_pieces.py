@@ -4,13 +4,15 @@ A text is encoded into the pieces of the best total score (unigram Viterbi over
 a blank after another character, so a text falls apart before each run of blanks; parts are solved once per distinct part
 of a batch. Texts of more than `chunk_bytes` bytes are cut into chunks at fixed byte positions. The state at a cut is the
 overhang: how many bytes the piece across the cut reaches past it. Each chunk yields its matrix of best scores from entry
-to exit overhang; matrices are combined associatively by a prefix scan, which fixes the overhang at every cut, and each
-chunk is then traced back by itself. All scores are integers, so chunked and unchunked encodings have the same score.
+to exit overhang; matrices are combined associatively by a prefix scan in blocks of chunks, which gives the best score of
+every overhang at every cut. From these each chunk maps its exit overhangs to the entry overhangs of the encoding with the
+rule for ties below; the maps, composed from the end, fix the overhang at every cut, and each chunk is then traced back by
+itself. All scores are integers, and the rule for ties is one of the whole text, so any `chunk_bytes` gives the same ids.
 
 Scores below -(vocabulary size) are raised to it; a byte without a piece costs -(vocabulary size) - 10 and becomes its byte
-piece, so every text can be encoded and `decode` returns it exactly. Ties: the longest last piece; at a cut the smallest
-overhang. A null text encodes to null, an empty one to no pieces. Repeated rows are encoded alike. Columns named like the
-results are replaced.
+piece, so every text can be encoded and `decode` returns it exactly. Ties: from the end, the longest last piece. A null text
+encodes to null, an empty one to no pieces; an empty table gives an empty result. Repeated rows are encoded alike. Columns
+named like the results are replaced.
 """
 
 from __future__ import annotations
@@ -25,10 +27,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as tk
+from .common import Workspace
 from .vocab import PieceVocab, load_pieces, piece_trie
 
 BLANK = 0x20
 NEVER = -(1 << 50)
+CROSSING = -2
+#: Matrices are combined by blocks of so many chunks, so that a task holds no more of a text.
+SCAN_BLOCK = 256
 
 
 class Encoder:
@@ -41,6 +47,8 @@ class Encoder:
         self.byte = np.array(vocab.byte_ids, dtype=np.int32)
         self.lone = -n - 10
         self.states = max(self.trie.depth, 1)
+        if self.states > 62:
+            raise ValueError("pieces of more than 62 bytes don't fit the keys of `solve`")
         if (self.byte < 0).any() or any(b" " in vocab.pieces[i].lstrip(b" ") for i in known):
             raise ValueError("the vocabulary needs byte pieces, and blanks only at the start of pieces")
         size = np.array([len(p) for p in vocab.pieces], dtype=np.int64)
@@ -48,8 +56,12 @@ class Encoder:
         self.piece_start = np.concatenate([[0], np.cumsum(size)[:-1]])
         self.piece_size = size
 
-    def solve(self, buf: np.ndarray, offsets: np.ndarray, stop: int | None = None) -> tuple[np.ndarray, np.ndarray]:
-        """(best score, last piece) at each node: byte position + index of the part. Arcs start before `stop` in a part."""
+    def solve(self, buf: np.ndarray, offsets: np.ndarray, stop: int | None = None, entry: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """(best score, last piece) at each node: byte position + index of the part. Arcs start before `stop` in a part.
+
+        entry (one part only): best scores of the first nodes by a piece from before the part, which is longer than any
+        from within it; its last piece is CROSSING.
+        """
         n = len(offsets) - 1
         part = np.repeat(np.arange(n), np.diff(offsets))
         pos, length, piece = self.trie.matches(buf, offsets[1:][part])
@@ -67,6 +79,10 @@ class Encoder:
         last = np.full(len(best), -1, dtype=np.int32)
         best[offsets[:-1] + np.arange(n)] = 0
         key = np.full(len(best), NEVER * 64, dtype=np.int64)
+        if entry is not None:
+            best[: len(entry)] = entry
+            key[: len(entry)] = np.where(entry > NEVER, entry * 64 + 63, NEVER * 64)
+            last[: len(entry)] = np.where(entry > NEVER, CROSSING, -1)
         bounds = np.searchsorted(rank, np.arange(1, (int(rank[-1]) if len(rank) else 0) + 2))
         for lo, hi in zip(bounds[:-1], bounds[1:], strict=True):
             d = dst[lo:hi]
@@ -74,7 +90,7 @@ class Encoder:
             np.maximum.at(key, d, got)
             won = got == key[d]
             last[d[won]] = piece[lo:hi][won]
-            best[d] = key[d] >> 6
+            best[d] = key[d] >> 6  # a score below NEVER / 2 is unreachable
         best[best < NEVER // 2] = NEVER
         return best, last
 
@@ -154,6 +170,23 @@ class Encoder:
         ok = (entry[:, None] > NEVER) & (leave[None, :] > NEVER)
         return np.where(ok, entry[:, None] + middle + leave[None, :], NEVER)
 
+    def entry_of(self, buf: np.ndarray, size: int, entry: np.ndarray) -> np.ndarray:
+        """For each exit overhang the entry overhang of the best way to it, ties as for the whole text; -1 if there is none.
+        buf: the chunk of `size` bytes and what may follow it; entry: best scores of the entry overhangs."""
+        s = self.states
+        inner = np.flatnonzero((buf[1:size] == BLANK) & (buf[: size - 1] != BLANK)) + 1
+        if len(inner):  # every way passes the first inner part's start
+            a = int(inner[0])
+            last = self.solve(buf[:a], np.array([0, a]), entry=entry[: a + 1])[1]
+            return np.full(s, self._entry(last, a), dtype=np.int64)
+        last = self.solve(buf, np.array([0, len(buf)]), stop=size, entry=entry[: len(buf) + 1])[1]
+        return np.array([self._entry(last, size + j) if size + j <= len(buf) else -1 for j in range(s)], dtype=np.int64)
+
+    def _entry(self, last: np.ndarray, node: int) -> int:
+        while last[node] >= 0:
+            node -= int(self.piece_size[last[node]])
+        return node if last[node] == CROSSING else -1
+
     def decodes_to(self, ids: np.ndarray, offsets: np.ndarray, buf: np.ndarray, ends: np.ndarray) -> np.ndarray:
         """For each text, whether its ids decode to its bytes."""
         back, at = self.decode_ids(ids, offsets)
@@ -184,14 +217,31 @@ def prefix_scan(mats: list[np.ndarray]) -> list[np.ndarray]:
     return out
 
 
-def boundary_states(mats: list[np.ndarray]) -> tuple[list[int], int]:
-    """(overhang at the start of each chunk and at the end, best total score)."""
-    ahead = prefix_scan(mats)
+def entries(mats: list[np.ndarray], start: np.ndarray) -> list[np.ndarray]:
+    """Best scores of the overhangs at the start of each chunk, from those at the first one's: prefix products, applied to it."""
+    ahead = prefix_scan(mats[:-1])
+    return [start, *[np.maximum((start[:, None] + m).max(axis=0), NEVER) for m in ahead]]
+
+
+def first_entry(states: int) -> np.ndarray:
+    """A text starts without an overhang."""
+    return np.where(np.arange(states) == 0, 0, NEVER)
+
+
+def boundary_states(enc: Encoder, chunks: list[tuple[np.ndarray, int]]) -> tuple[list[int], int]:
+    """(overhang at the start of each chunk and at the end, best total score) of a text's chunks, all in one place."""
+    mats = [enc.transfer(*c) for c in chunks]
+    scores = entries(mats, first_entry(enc.states))
+    maps = [enc.entry_of(b, n, e) for (b, n), e in zip(chunks, scores, strict=True)]
+    return follow(maps), int((scores[-1] + mats[-1][:, 0]).max())
+
+
+def follow(maps: list[np.ndarray]) -> list[int]:
+    """Overhangs at all cuts, from the end, where there is none."""
     states = [0]
-    for k in range(len(mats) - 1, 0, -1):
-        states.append(int(np.argmax(ahead[k - 1][0] + mats[k][:, states[-1]])))
-    states.append(0)
-    return states[::-1], int(ahead[-1][0, 0])
+    for m in reversed(maps):
+        states.append(int(m[states[-1]]))
+    return states[::-1]
 
 
 @functools.lru_cache(maxsize=1)
@@ -222,8 +272,9 @@ def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None,
 
     verify: also add `round_trip`, whether the ids decode to the text; made where the ids are, without another pass.
     """
-    spark = docs.sparkSession
-    sent = spark.sparkContext.broadcast(vocab or load_pieces())
+    spark, vocab = docs.sparkSession, vocab or load_pieces()
+    sent = spark.sparkContext.broadcast(vocab)
+    chunk_bytes = max(chunk_bytes, max(map(len, vocab.pieces)))  # no piece spans a chunk
 
     @F.pandas_udf("ids binary, ok boolean")
     def whole(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
@@ -268,20 +319,48 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
     cut_schema = pa.schema([("_text_key", pa.string()), ("part", pa.int64()), ("size", pa.int64()), ("raw", pa.binary())])
     chunks = texts.mapInArrow(cut, "_text_key string, part long, size long, raw binary").repartition("_text_key", "part")
 
+    kept = Workspace(found.sparkSession, "pieces")
+
     def matrices(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc = encoder(sent.value)
         for pdf in batches:
             tk.give_back()
-            yield pd.DataFrame({"_text_key": pdf["_text_key"], "part": pdf["part"], "matrix": [enc.transfer(np.frombuffer(r, dtype=np.uint8), n).tobytes() for r, n in zip(pdf["raw"], pdf["size"], strict=True)]})
+            yield pd.DataFrame({"_text_key": pdf["_text_key"], "part": pdf["part"], "block": pdf["part"] // SCAN_BLOCK, "matrix": [enc.transfer(np.frombuffer(r, dtype=np.uint8), n).tobytes() for r, n in zip(pdf["raw"], pdf["size"], strict=True)]})
 
-    def scan(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("part")
+    def unpack(pdf: pd.DataFrame) -> list[np.ndarray]:
         s = encoder(sent.value).states
-        states, _ = boundary_states([np.frombuffer(m, dtype=np.int64).reshape(s, s) for m in pdf["matrix"]])
+        return [np.frombuffer(m, dtype=np.int64).reshape(s, s) for m in pdf["matrix"]]
+
+    def product(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("part")
+        return pd.DataFrame({"_text_key": pdf["_text_key"].iloc[:1], "block": pdf["block"].iloc[:1], "matrix": [functools.reduce(combine, unpack(pdf)).tobytes()]})
+
+    def heads(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("block")
+        enter = entries(unpack(pdf), first_entry(encoder(sent.value).states))
+        return pd.DataFrame({"_text_key": pdf["_text_key"], "block": pdf["block"], "head": [e.tobytes() for e in enter]})
+
+    def inside(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("part")
+        enter = entries(unpack(pdf), np.frombuffer(pdf["head"].iloc[0], dtype=np.int64))
+        return pd.DataFrame({"_text_key": pdf["_text_key"], "part": pdf["part"], "entry": [e.tobytes() for e in enter]})
+
+    @F.pandas_udf("array<long>")
+    def maps(raw: pd.Series, size: pd.Series, entry: pd.Series) -> pd.Series:
+        enc = encoder(sent.value)
+        return pd.Series([enc.entry_of(np.frombuffer(r, dtype=np.uint8), n, np.frombuffer(e, dtype=np.int64)) for r, n, e in zip(raw, size, entry, strict=True)], dtype=object)
+
+    def chain(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("part")
+        states = follow(list(pdf["map"]))
         return pd.DataFrame({"_text_key": pdf["_text_key"].to_numpy(), "part": pdf["part"].to_numpy(), "enter": states[:-1], "leave": states[1:]})
 
-    # one group: a few KB for each 64 KB of a text, which is a single cell itself
-    states = chunks.mapInPandas(matrices, "_text_key string, part long, matrix binary").groupBy("_text_key").applyInPandas(scan, "_text_key string, part long, enter long, leave long")
+    # a task holds the matrices of SCAN_BLOCK chunks, or one for each block, or a few numbers for each chunk of a text
+    mats = kept.write(chunks.mapInPandas(matrices, "_text_key string, part long, block long, matrix binary"), "matrices")
+    starts = mats.groupBy("_text_key", "block").applyInPandas(product, "_text_key string, block long, matrix binary").groupBy("_text_key").applyInPandas(heads, "_text_key string, block long, head binary")
+    scores = mats.join(starts, ["_text_key", "block"]).groupBy("_text_key", "block").applyInPandas(inside, "_text_key string, part long, entry binary")
+    mapped = chunks.join(scores, ["_text_key", "part"]).select("_text_key", "part", maps("raw", "size", "entry").alias("map"))
+    states = mapped.groupBy("_text_key").applyInPandas(chain, "_text_key string, part long, enter long, leave long")
 
     @F.pandas_udf("binary")
     def solve(raw: pd.Series, size: pd.Series, enter: pd.Series, leave: pd.Series) -> pd.Series:
