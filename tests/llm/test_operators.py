@@ -320,6 +320,35 @@ def test_mix_meets_targets(spark, odd):
     assert mixing.mix(odd.where("false"), Workspace(spark, "m")).count() == 0
 
 
+def test_mix_takes_the_first_documents_of_the_key_order(spark):
+    """Which documents are taken, by brute force: keys in order, whole epochs first, the budget's end in one document."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got = mixing.mix(docs, Workspace(spark, "m"), carry=("doc_id", "text")).collect()
+    key = {r.doc_id: r.k for r in docs.withColumn("n", mixing.word_count(F.col("text"))).select("doc_id", (-F.ln(mixing.uniform(0, F.col("doc_id"), F.col("text"))) / mixing.quality_weight(F.col("text"), F.col("n"))).alias("k")).collect()}
+    by = {}
+    for r in got:
+        assert r.row.doc_id == r.doc_id
+        by.setdefault(r.source, []).append(r)
+    for rows in by.values():
+        n, target = rows[0].source_size, rows[0].target
+        epochs = int(target // n)
+        left = round(target - epochs * n)
+        for r in sorted(rows, key=lambda r: (key[r.doc_id], r.doc_id)):
+            extra = min(r.size, left)
+            left -= extra
+            assert r.taken == epochs * r.size + extra
+
+
+def test_mix_keeps_repeated_rows_apart(spark):
+    rows = [(None, "a b c d e f g h i j", "x")] * 250 + [(7, "one two three", "y")] * 50 + [(None, None, "y")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").coalesce(3)
+    got = mixing.mix(docs, Workspace(spark, "m"), carry=("text",)).collect()
+    goal = mixing.targets([("x", 2500), ("y", 150)])
+    assert len(got) == len(rows)
+    for s in ("x", "y"):
+        assert abs(sum(r.taken for r in got if r.source == s) - goal[s]) <= 1
+
+
 # 7. Vector search
 
 
@@ -390,6 +419,18 @@ def test_warc_round_trip(spark):
     assert warc.read_archives(warc.write_archives(pages.where("false"), Workspace(spark, "w"))).count() == 0
 
 
+def test_warc_keeps_pages_that_share_ids(spark, tmp_path):
+    rows = [(1, "http://a/", f"<p>{k}</p>" * 50) for k in range(40)] + [(None, None, "x"), (None, "u", None)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(4)
+    archives = warc.write_archives(pages, Workspace(spark, "w"), archive_bytes=700)
+    names = [r.name for r in archives.select("name").collect()]
+    assert len(names) == len(set(names)) > 10
+    assert warc.export(archives, str(tmp_path)).count() == len(names)
+    for read in (warc.read_files(spark, f"file://{tmp_path}"), warc.read_mounted(spark, str(tmp_path))):
+        assert sorted(bytes(r.payload) for r in read.collect()) == sorted((h or "").encode() for _, _, h in rows)
+        assert warc.unmatched_revisits(read).count() == 0
+
+
 def test_warc_files_and_damage(spark, tmp_path):
     pages = spark.createDataFrame([(1, "u", "a"), (2, "v", "b")], "page_id long, url string, html string")
     archives = warc.write_archives(pages, Workspace(spark, "w"))

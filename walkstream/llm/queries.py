@@ -107,6 +107,47 @@ SELECT p.page_id, host, path, rule, coalesce(action, 'allow') AS verdict
 FROM parts p LEFT JOIN (SELECT * FROM fits WHERE k = 1) f ON p.page_id = f.page_id
 """
 
+#: Water filling in closed form: sources are cut at their cap in the order of size / weight.
+OP6_SQL = r"""
+WITH d AS (
+  SELECT doc_id, source, text, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size FROM documents
+), s AS (
+  SELECT source, CAST(sum(size) AS BIGINT) AS n, (ARRAY[3.0e0, 1.0e0, 2.0e0])[(row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1] AS w FROM d GROUP BY source
+), o AS (
+  SELECT *, 2.0e0 * n AS top, 1.5e0 * sum(n) OVER () AS budget, row_number() OVER (ORDER BY n / w, source NULLS LAST) AS k FROM s
+), c AS (
+  SELECT *, budget - coalesce(sum(top) OVER (ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0e0) AS room, sum(w) OVER (ORDER BY k ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS free FROM o
+), cut AS (
+  SELECT min(k) AS k FROM c WHERE NOT room * w / free > top
+), t AS (
+  SELECT c.source, n, CASE WHEN c.k < coalesce(cut.k, 1 << 40) THEN top ELSE (SELECT room FROM c x WHERE x.k = cut.k) * w / (SELECT free FROM c x WHERE x.k = cut.k) END AS target FROM c CROSS JOIN cut
+), e AS (
+  SELECT source, n, target, CASE WHEN n > 0 THEN CAST(floor(target / n) AS BIGINT) ELSE 0 END AS epochs FROM t
+), r AS (
+  SELECT *, CASE WHEN n > 0 THEN CAST(round_even(target - epochs * n, 0) AS BIGINT) ELSE 0 END AS rest FROM e
+), keyed AS (
+  SELECT doc_id, source, size, -ln((CAST('0x' || substr(md5(concat_ws(':', '0', CAST(doc_id AS VARCHAR), text)), 1, 13) AS BIGINT) + 0.5e0) / 4503599627370496.0e0)
+    / greatest(0.25e0, least(2.0e0, coalesce(length(text) / nullif(size, 0) / 6.0e0, 1.0e0))) AS es_key FROM d
+), run AS (
+  SELECT *, coalesce(sum(size) OVER (PARTITION BY source ORDER BY es_key, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM keyed
+)
+SELECT doc_id, size, n AS source_size, target, CAST(epochs * size + greatest(0, least(size, rest - before)) AS BIGINT) AS taken
+FROM run JOIN r ON run.source IS NOT DISTINCT FROM r.source
+"""
+
+#: SHA-1 in base 32: five hexadecimal digits make four characters.
+OP9_SQL = """
+WITH h AS (
+  SELECT page_id, coalesce(html, '') AS body, sha1(coalesce(html, '')) AS hex FROM pages
+), d AS (
+  SELECT page_id, CAST(strlen(body) AS BIGINT) AS payload_bytes, array_to_string(list_transform(range(0, 32),
+    lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', CAST((CAST('0x' || substr(hex, CAST(5 * (i // 4) + 1 AS INTEGER), 5) AS BIGINT) >> CAST(15 - 5 * (i % 4) AS INTEGER)) & 31 AS INTEGER) + 1, 1)), '') AS payload_digest FROM h
+), l AS (
+  SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS least_id FROM d
+)
+SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id = least_id THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> least_id THEN least_id END AS refers_to FROM l
+"""
+
 OP7_SQL = """
 WITH q AS (
   SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(256 * CAST(x AS DOUBLE)) AS BIGINT)) AS v FROM embeddings WHERE embedding IS NOT NULL
@@ -142,4 +183,4 @@ SELECT n.doc_id, CAST(n.k AS BIGINT) AS n_shingles, comp.root AS component_id, n
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_url_filters": OP1_SQL, "op7_topk_search": OP7_SQL, "op10_near_dup": OP10_SQL}
+    return {"op1_url_filters": OP1_SQL, "op6_mixing": OP6_SQL, "op9_warc": OP9_SQL, "op7_topk_search": OP7_SQL, "op10_near_dup": OP10_SQL}

@@ -1,16 +1,18 @@
 """WARC 1.1 archives: one gzip member per record, written per page, and a sequential reader.
 
 Archives are bounded byte strings (about `archive_bytes` of payload each) kept as rows of a table in the shared folder, which
-any store of Spark can hold; `export` writes them as files, `read_files` reads files of any source. The reader works through
-an archive in order: it inflates members piece by piece, frames blocks by Content-Length and checks block and payload
-digests, holding one record at a time.
+any store of Spark can hold, each with a name of its own (partition and number); `export` writes them as files, `read_files`
+reads files of any store, each as one cell, and `read_mounted` streams files of any size from a mounted folder. The reader
+works through an archive in order: it inflates members piece by piece, frames blocks by Content-Length and checks block and
+payload digests, holding one record at a time. `unmatched_revisits` lists revisits whose response isn't there.
 
 Duplicates: of records with equal payloads of at least `min_bytes` bytes, that with the smallest page id is the response; the
 others are revisits without payload that name it. Equal payloads are found by their SHA-1; a group may be any size, since
 digests are reduced to a minimum first and those of large groups are dealt out by salt.
 
 Defined cases: a null payload is empty; rows with a null page id are responses; rows that share the smallest id of a group
-are all responses; an empty table writes no archive; a damaged record raises ValueError.
+are all responses; an empty table writes no archive; other columns of the input are ignored; a damaged record raises
+ValueError.
 """
 
 from __future__ import annotations
@@ -18,9 +20,11 @@ from __future__ import annotations
 import base64
 import hashlib
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from urllib.parse import unquote, urlparse
 
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -50,27 +54,38 @@ def record(page_id: str, url: str, payload: bytes, refers_to: str | None, digest
     return z.compress(raw) + z.flush()
 
 
-def members(archive: bytes) -> Iterator[bytes]:
-    """The inflated gzip members, in order; input is fed piece by piece."""
-    at = 0
-    while at < len(archive):
+def pieces_of(archive: bytes) -> Callable[[], bytes]:
+    """Reads an archive held in memory piece by piece."""
+    view, at = memoryview(archive), 0
+
+    def read() -> bytes:
+        nonlocal at
+        at += PIECE
+        return bytes(view[at - PIECE : at])
+
+    return read
+
+
+def members(read: Callable[[], bytes]) -> Iterator[bytes]:
+    """The inflated gzip members, in order. read gives the next piece of the archive, empty at its end."""
+    rest = read()
+    while rest:
         z, out = zlib.decompressobj(31), []
         while not z.eof:
-            if at >= len(archive):
+            if not rest:
                 raise ValueError("the archive ends within a member")
-            piece = archive[at : at + PIECE]
             try:
-                out.append(z.decompress(piece))
+                out.append(z.decompress(rest))
             except zlib.error as e:
                 raise ValueError(f"bad member: {e}") from e
-            at += len(piece)
-        at -= len(z.unused_data)
+            rest = z.unused_data if z.eof else read()
         yield b"".join(out)
+        rest = rest or read()
 
 
-def read_archive(archive: bytes) -> Iterator[dict]:
+def read_archive(archive: bytes | Callable[[], bytes]) -> Iterator[dict]:
     """Header fields (lower-case names), payload, payload length and digest of every record; digests are checked."""
-    for raw in members(archive):
+    for raw in members(archive if callable(archive) else pieces_of(archive)):
         cut = raw.find(CRLF + CRLF)
         lines = raw[: max(cut, 0)].split(CRLF)
         if cut < 0 or not lines[0].startswith(b"WARC/"):
@@ -111,44 +126,82 @@ def write_archives(pages: DataFrame, workspace: Workspace, page_id: str = "page_
     marked = mark_duplicates(own, "page_id", F.sha1("payload"), F.octet_length("payload"), min_bytes)
 
     def write(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        parts, size, first = [], 0, None
+        part, number, records, size = TaskContext.get().partitionId(), 0, [], 0
+
+        def archive() -> pd.DataFrame:
+            return pd.DataFrame({"name": [f"pages-{part:06d}-{number:06d}.warc.gz"], "body": [b"".join(records)]})
+
         for pdf in batches:
             refers = pdf["refers_to"].astype("Int64")
             for i, u, p, r in zip(pdf["page_id"].astype("Int64"), pdf["url"], pdf["payload"], refers, strict=True):
-                name = "null" if pd.isna(i) else str(i)
-                first = first or name
                 p = bytes(p)
-                parts.append(record(name, u, p, None if pd.isna(r) else str(r), base32_sha1(p)))
+                records.append(record("null" if pd.isna(i) else str(i), u, p, None if pd.isna(r) else str(r), base32_sha1(p)))
                 size += len(p) + 512
                 if size >= archive_bytes:
-                    yield pd.DataFrame({"name": [f"pages-{first}.warc.gz"], "body": [b"".join(parts)]})
-                    parts, size, first = [], 0, None
-        if parts:
-            yield pd.DataFrame({"name": [f"pages-{first}.warc.gz"], "body": [b"".join(parts)]})
+                    yield archive()
+                    number, records, size = number + 1, [], 0
+        if records:
+            yield archive()
 
     return workspace.write(marked.mapInPandas(write, "name string, body binary"), "archives")
 
 
+def _number(urn: str | None) -> int | None:
+    tail = (urn or "").strip("<>").rpartition(":")[2]
+    return int(tail) if tail.lstrip("-").isdigit() else None
+
+
+def _schema(with_payload: bool) -> str:
+    return "page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string" + ", payload binary" * with_payload
+
+
+def _rows(records: Iterator[dict], with_payload: bool, most_bytes: int = 8 << 20) -> Iterator[pd.DataFrame]:
+    """Frames of records, of about most_bytes payload each."""
+    names, rows, size = [x.split()[0] for x in _schema(with_payload).split(", ")], [], 0
+
+    def frame() -> pd.DataFrame:
+        return pd.DataFrame(rows, columns=names).astype({"page_id": "Int64", "refers_to": "Int64", "payload_bytes": "Int64"})
+
+    for r in records:
+        row = (_number(r.get("warc-record-id")), r.get("warc-target-uri"), r.get("warc-type"), _number(r.get("warc-refers-to")), r["payload_length"], r.get("warc-payload-digest", "").partition(":")[2])
+        rows.append((*row, r["payload"]) if with_payload else row)
+        size += (len(r["payload"]) if with_payload else 0) + 256
+        if size >= most_bytes:
+            yield frame()
+            rows, size = [], 0
+    if rows:
+        yield frame()
+
+
 def read_archives(archives: DataFrame, body: str = "body", with_payload: bool = False) -> DataFrame:
     """One row for each record: page_id, url, record_type, refers_to, payload_bytes, payload_digest (and payload)."""
-    schema = "page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string" + ", payload binary" * with_payload
-    names = [x.split()[0] for x in schema.split(", ")]
-
-    def number(urn: str | None) -> int | None:
-        tail = (urn or "").strip("<>").rpartition(":")[2]
-        return int(tail) if tail.lstrip("-").isdigit() else None
 
     def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             for archive in pdf.iloc[:, 0]:
-                rows = []
-                for r in read_archive(bytes(archive)):
-                    row = (number(r.get("warc-record-id")), r.get("warc-target-uri"), r.get("warc-type"), number(r.get("warc-refers-to")), r["payload_length"], r.get("warc-payload-digest", "").partition(":")[2])
-                    rows.append((*row, r["payload"]) if with_payload else row)
-                out = pd.DataFrame(rows, columns=names)
-                yield out.astype({"page_id": "Int64", "refers_to": "Int64", "payload_bytes": "Int64"})
-
-    return archives.select(body).mapInPandas(read, schema)
+                yield from _rows(read_archive(bytes(archive)), with_payload)
+
+    return archives.select(body).mapInPandas(read, _schema(with_payload))
+
+
+def unmatched_revisits(read: DataFrame) -> DataFrame:
+    """Revisits that name no response of the same digest and length."""
+    gone = read.where("record_type = 'revisit'")
+    have = read.where("record_type = 'response'").select(F.col("page_id").alias("refers_to"), "payload_digest", "payload_bytes").distinct()
+    return gone.join(have, ["refers_to", "payload_digest", "payload_bytes"], "left_anti")
+
+
+def read_mounted(spark: SparkSession, folder: str, with_payload: bool = True) -> DataFrame:
+    """Records of the .warc.gz files of a folder mounted at all executors, streamed: a file is never held as a whole."""
+    names = spark.read.format("binaryFile").option("pathGlobFilter", "*.warc.gz").load(f"file://{folder}").select("path")
+
+    def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            for path in pdf["path"]:
+                with open(unquote(urlparse(path).path), "rb") as f:
+                    yield from _rows(read_archive(lambda f=f: f.read(PIECE)), with_payload)
+
+    return names.mapInPandas(read, _schema(with_payload))
 
 
 def read_files(spark: SparkSession, path: str, with_payload: bool = True) -> DataFrame:
