@@ -7,6 +7,10 @@ Language ID drops texts without a language (null, or no letter) and those whose
 MIN_SCORE. Of each near-duplicate group the smallest id stays; rows without words stay. Personal data are replaced by
 their kind in brackets. The mix repeats and cuts documents to the words taken: whole copies first, then the first words of
 one more. n_chars follows the text wherever it changes.
+
+Defined cases, in every stage: rows are taken one by one, so repeated rows and null ids stay apart (near_duplicates alone
+works by id: a row without an id, or without words, stays, and rows that share an id stay or go together); columns beyond
+those of `documents` are left out; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -43,13 +47,12 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    own = docs.select(*COLUMNS)
-    mixed = mixing.mix(own, Workspace(spark, "mixing")).where("taken > 0").groupBy("doc_id", "source", "size").agg(F.max("taken").alias("taken"))
-    size = mixing.word_count(F.col("text"))
-    both = own.withColumn("_n", size).join(mixed.select(F.col("doc_id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size"), "taken"), F.col("doc_id").eqNullSafe(F.col("_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.col("_n") == F.col("_size")))
-    copies = F.concat(F.array_repeat(F.lit(-1).cast("long"), F.floor(F.col("taken") / F.col("_n")).cast("int")), F.when(F.col("taken") % F.col("_n") > 0, F.array((F.col("taken") % F.col("_n")).cast("long"))).otherwise(F.array().cast("array<bigint>")))
+    mixed = mixing.mix(docs.select(*COLUMNS), Workspace(spark, "mixing"), carry=COLUMNS).where("taken > 0")
+    n, more = F.col("size"), F.col("taken") % F.col("size")
+    copies = F.concat(F.array_repeat(F.lit(-1).cast("long"), F.floor(F.col("taken") / n).cast("int")), F.when(more > 0, F.array(more.cast("long"))).otherwise(F.array().cast("array<bigint>")))
+    out = mixed.select("row.*", F.explode(copies).alias("_words"))
     words = F.array_join(F.slice(F.split(F.regexp_replace("text", r"^[\x20\x09-\x0D]+", ""), r"[\x20\x09-\x0D]+"), F.lit(1), F.col("_words").cast("int")), " ")
-    out = both.withColumn("_words", F.explode(copies)).withColumn("text", F.when(F.col("_words") < 0, F.col("text")).otherwise(words))
+    out = out.withColumn("text", F.when(F.col("_words") < 0, F.col("text")).otherwise(words))
     return out.withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
