@@ -2,7 +2,7 @@
 
 from pyspark.sql import functions as F
 
-from walkstream.llm import langid, pii
+from walkstream.llm import langid, mixing, pii
 
 
 def test_copies_do_not_fill_the_personal_data_fit(spark):
@@ -34,3 +34,15 @@ def test_language_fit_takes_copies_once_and_all_of_a_rare_language(spark):
     assert sum(r._lang == "de" for r in got) == 1 and abs(len(got) - 4_000) < 5 * 4_000**0.5
     model = langid.train(rows, rounds=1)
     assert model.log_probs[:, 0].max() - model.log_probs[:, 0].min() > 1
+
+
+def test_source_mix_meets_targets_with_repeated_rows(spark):
+    import corpus_pipeline as cp
+
+    rows = [(None, "a b c d e f g h i j", "en", "x", 19)] * 200 + [(3, "one two", "en", "y", 7)] * 100
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").coalesce(3)
+    goal = mixing.targets([("x", 2000), ("y", 200)])
+    got = {}
+    for r in cp.source_mix(spark, docs, "").collect():
+        got[r.source] = got.get(r.source, 0) + len(r.text.split())
+    assert all(abs(got[s] - goal[s]) <= 1 for s in goal)
