@@ -223,7 +223,7 @@ class LazyEngine:
             self.fix(state, delta)
             return refine(state, walk_ends(self.state.walks), replace(self.p, delta=delta), self.state.zero_hop)
 
-        return topk_by_levels(sources, k, self.p, lambda left, delta, before: self._push(left, delta, before, g), refine_at, g.rounds)
+        return topk_by_levels(sources, k, self.p, lambda left, delta, before: self._push(left, delta, before, g), refine_at, Rounds(self.state.edges.sparkSession, "topk"))
 
 
 ENGINES = {

@@ -92,7 +92,8 @@ class PushGraph:
         self.rounds = Rounds(edges.sparkSession, name)
         self.degrees = self.rounds.keep(degrees_of(edges))
         self.table = self.rounds.keep(push_table(edges, self.degrees))
-        self.fixed = self.rounds.n
+        r = self.degrees.agg(F.count("*").alias("n"), F.sum("out_deg").alias("m")).first()
+        self.n, self.m = r["n"], r["m"] or 0
 
     def keep(self, state: DataFrame, r_max: float | None) -> tuple[DataFrame, int]:
         """The written state and its frontier's size."""

@@ -51,17 +51,15 @@ def refine(push: DataFrame, ends: DataFrame, p: PprParams, zero_hop: bool = Fals
 
 
 def query_indexed(state: IndexState, sources: DataFrame, p: PprParams | None = None, budget: str = "needed", mode: str = "tuned", max_rounds: int | None = None) -> DataFrame:
-    p = p or state.params
-    _, m = graph_size(state.edges)
-    push = forward_push(state.edges, sources, p, p.r_max(m, mode), max_rounds=max_rounds)
+    p, g = p or state.params, state.push_graph
+    push = forward_push(state.edges, sources, p, p.r_max(g.m, mode), max_rounds=max_rounds, graph=g)
     return refine(push, walk_ends(state.walks), p, state.zero_hop, budget)
 
 
 def query_by_visits(state: IndexState, sources: DataFrame, p: PprParams | None = None) -> DataFrame:
     """Estimator that counts every visit of a stored path, start included: a score is alpha times expected visits."""
-    p = p or state.params
-    _, m = graph_size(state.edges)
-    push = forward_push(state.edges, sources, p, p.r_max(m))
+    p, g = p or state.params, state.push_graph
+    push = forward_push(state.edges, sources, p, p.r_max(g.m), graph=g)
     left = push.where("residue > 0").select("source", F.col("node").alias("via"), "residue")
     per = state.walks.groupBy(F.col("source").alias("via")).agg(F.count("*").alias("all"))
     visits = state.walks.select(F.col("source").alias("via"), F.explode("path").alias("node")).groupBy("via", "node").agg(F.count("*").alias("c")).join(per, "via")
@@ -123,33 +121,38 @@ def best_k(scores: DataFrame, k: int) -> DataFrame:
     return scores.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def levels(k: int, p: PprParams) -> list[float]:
-    """Thresholds of the iterative top-k, down to delta. k scores sum to 1 at most, so none above 1 / (k (1 + epsilon)) can
-    pass the test; each further one is a quarter of the one before."""
-    out, delta = [], 1.0 / (k * (1 + p.epsilon))
-    while delta > p.delta:
-        out.append(delta)
-        delta /= 4
-    return [*out, p.delta]
+#: The first threshold is this part of the largest that could pass; a further one at most this part of the one before.
+COARSER = 4
+#: Below the threshold at which the present k-th estimate would just pass.
+MARGIN = 1.25
 
 
 def topk_by_levels(sources: DataFrame, k: int, p: PprParams, push, refine_at, rounds: Rounds) -> DataFrame:
-    """The loop of every engine's top-k: coarse thresholds first, a source is done once its k-th estimate reaches (1 + epsilon)
+    """The loop of every engine's top-k: a coarse threshold first; a source is done once its k-th estimate reaches (1 + epsilon)
     times the threshold, and leaves the working set. push(left, threshold, state) goes on from a state; refine_at(state,
-    threshold) gives scores."""
-    left, state, done = rounds.keep(sources.select("source")), None, []
-    for delta in levels(k, p):
+    threshold) gives scores.
+
+    k scores sum to 1 at most, so no threshold above 1 / (k (1 + epsilon)) can pass; the first is a quarter of that. The next
+    one is where the least k-th estimate of the open sources would pass with a margin, or a quarter if that is less.
+    """
+    left, state, done, delta = rounds.keep(sources.select("source")), None, [], 1.0 / (k * (1 + p.epsilon)) / COARSER
+    while True:
+        delta = max(delta, p.delta)
         state = push(left, delta, state)
         top = rounds.keep(best_k(refine_at(state, delta), k))
         if delta <= p.delta:
             done.append(top)
             break
-        enough = top.groupBy("source").agg(F.count("*").alias("n"), F.min("score").alias("low")).where((F.col("n") >= k) & (F.col("low") >= (1 + p.epsilon) * delta)).select("source")
-        done.append(top.join(enough, "source", "left_semi"))
-        left, open_sources = rounds.keep_seen(left.join(enough, "source", "left_anti"), F.count("*"))
-        if not open_sources:
+        lows = rounds.keep(top.groupBy("source").agg(F.count("*").alias("n"), F.min("score").alias("low")).withColumn("enough", (F.col("n") >= k) & (F.col("low") >= (1 + p.epsilon) * delta)))
+        r = lows.agg(F.sum(F.when(F.col("enough"), 0).otherwise(1)).alias("open"), F.min(F.when(~F.col("enough") & (F.col("n") >= k), F.col("low"))).alias("low")).first()
+        if not r["open"]:
+            done.append(top)
             break
+        enough = lows.where("enough").select("source")
+        done.append(top.join(enough, "source", "left_semi"))
+        left = rounds.keep(left.join(enough, "source", "left_anti"))
         state = state.join(left, "source", "left_semi")
+        delta = delta / COARSER if r["low"] is None else min(delta / COARSER, r["low"] / (1 + p.epsilon) / MARGIN)
     out = done[0]
     for part in done[1:]:
         out = out.unionByName(part)
@@ -162,13 +165,13 @@ def query_topk(state: IndexState, sources: DataFrame, k: int | None = None, p: P
     k = k or p.k
     if strategy == "full":
         return best_k(query_indexed(state, sources, p), k)
-    g, ends = PushGraph(state.edges, "topk"), walk_ends(state.walks)
+    g, ends = state.push_graph, walk_ends(state.walks)
 
     def push(left, delta, before):
         q = replace(p, delta=delta)
         return forward_push(state.edges, left, q, q.x / q.omega, init=before, graph=g)
 
-    return topk_by_levels(sources, k, p, push, lambda s, delta: refine(s, ends, replace(p, delta=delta), state.zero_hop), g.rounds)
+    return topk_by_levels(sources, k, p, push, lambda s, delta: refine(s, ends, replace(p, delta=delta), state.zero_hop), Rounds(state.edges.sparkSession, "topk"))
 
 
 def query_pair(state: IndexState, source: int, target: int, p: PprParams | None = None) -> DataFrame:

@@ -14,6 +14,7 @@ whole frames (`FrameView`); `plans.store.StateStore.apply` reads only touched pa
 from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
+from functools import cached_property
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -22,6 +23,7 @@ from ..functions.params import PprParams
 from ..functions.rng import id_keys, pick_slot, u01
 from ..plans.iterate import Rounds
 from .graph import adjacency, apply_updates, degrees, expand_node_updates, normalize_updates, numbered
+from .push import PushGraph
 from .samplers import sample_records
 from .walks import advance, build_walk_index, counted, crossings_of, new_walks
 
@@ -45,6 +47,11 @@ class IndexState:
     def x(self) -> float:
         return self.params.x
 
+    @cached_property
+    def push_graph(self) -> PushGraph:
+        """The graph's tables for pushes, made by the first query on this state."""
+        return PushGraph(self.edges)
+
     def release(self) -> None:
         """Delete this state's tables; neither it nor frames made of it must be read any more."""
         for f in self.folders:

@@ -235,24 +235,25 @@ est AS MATERIALIZED (SELECT source, node, sum(score) AS score FROM (SELECT sourc
   UNION ALL SELECT need.source, terminal, residue / n FROM need JOIN ({ends()}) t ON t.source = need.node AND t.slot < n) GROUP BY source, node)"""
 
 
-def iterative(k: int, x: float, levels: int = 6) -> str:
-    """Coarse thresholds first; each source takes the first level that passes."""
-    parts, picks = [], []
+def iterative(k: int, x: float, levels: int = 5) -> str:
+    """A coarse threshold first, then where the least open k-th estimate passes; each source takes the first level it passes."""
+    parts = [f"dl0 AS MATERIALIZED (SELECT greatest(1.0e0 / ({k} * 1.5e0) / 4, 1 / n) AS d FROM par)"]
     for i in range(levels):
-        delta = f"(SELECT greatest(1.0e0 / ({k} * 1.5e0) / {4**i}, 1 / n) FROM par)"
-        omega = f"(SELECT per_delta / greatest(1.0e0 / ({k} * 1.5e0) / {4**i}, 1 / n) FROM par)"
-        seed = _SEED if i == 0 else f"SELECT source, node, reserve, residue FROM p{i - 1}"
-        parts.append(push(f"p{i}", f"({x!r}e0 / {omega})", seed))
+        delta, omega = f"(SELECT d FROM dl{i})", f"(SELECT per_delta / d FROM par CROSS JOIN dl{i})"
+        parts.append(push(f"p{i}", f"({x!r}e0 / {omega})", _SEED if i == 0 else f"SELECT source, node, reserve, residue FROM p{i - 1}"))
         parts.append(refine(f"x{i}", f"p{i}", omega=omega))
         parts.append(f"top{i} AS MATERIALIZED (SELECT {i} AS lvl, source, node, score, rank FROM (SELECT *, row_number() OVER (PARTITION BY source ORDER BY score DESC, node) AS rank FROM x{i}) WHERE rank <= {k})")
-        parts.append(f"pass{i} AS (SELECT source, {i} AS lvl FROM top{i} GROUP BY source HAVING (count(*) >= {k} AND min(score) >= 1.5e0 * {delta}) OR {delta} <= (SELECT 1 / n FROM par))")
-        picks.append(i)
-    every = " UNION ALL ".join(f"SELECT * FROM top{i}" for i in picks)
-    passed = " UNION ALL ".join(f"SELECT * FROM pass{i}" for i in picks)
+        parts.append(f"pass{i} AS MATERIALIZED (SELECT source, {i} AS lvl FROM top{i} GROUP BY source HAVING (count(*) >= {k} AND min(score) >= 1.5e0 * {delta}) OR {delta} <= (SELECT 1 / n FROM par))")
+        earlier = " UNION ALL ".join(f"SELECT source FROM pass{h}" for h in range(i + 1))
+        parts.append(f"low{i} AS (SELECT source, min(score) AS low FROM top{i} WHERE source NOT IN ({earlier}) GROUP BY source HAVING count(*) >= {k})")
+        parts.append(f"dl{i + 1} AS MATERIALIZED (SELECT greatest((SELECT 1 / n FROM par), coalesce(least({delta} / 4, (SELECT min(low) FROM low{i}) / 1.5e0 / 1.25e0), {delta} / 4)) AS d)")
+    every = " UNION ALL ".join(f"SELECT * FROM top{i}" for i in range(levels))
+    passed = " UNION ALL ".join(f"SELECT * FROM pass{i}" for i in range(levels))
     parts.append(f"topk AS MATERIALIZED (SELECT t.source, node, score, rank FROM ({every}) t JOIN (SELECT source, min(lvl) AS lvl FROM ({passed}) GROUP BY source) d ON d.source = t.source AND d.lvl = t.lvl)")
     return ",\n".join(parts)
 
 
+
 _R = "(1.0e0 / (SELECT omega FROM par))"
 _PATH = "array_to_string(list_transform(path, lambda v: CAST(v AS VARCHAR)), ',') AS path"
 _SCORES = "SELECT source, node, round(score, (SELECT CAST(greatest(6, ceil(log10(n)) + 3) AS INTEGER) FROM par)) AS score FROM {} WHERE score > 0"
