@@ -8,9 +8,12 @@ from pyspark.sql import functions as F
 
 from walkstream.functions.params import PprParams
 from walkstream.functions.rng import geometric, u01
-from walkstream.operators import engines, graph, metrics, push, repair, walks
+from walkstream.operators import engines, graph, metrics, push, repair, walks, workloads
+from walkstream.plans.answers import read_answers, write_answers
 from walkstream.plans.iterate import Rounds
 from walkstream.plans.store import StateStore
+from walkstream.sources import graphs
+from walkstream.streaming import updates as stream
 
 P = PprParams.for_graph(12, beta=2.0)
 
@@ -72,8 +75,8 @@ def test_stored_repair_equals_the_whole_one(spark, tmp_path):
     e = random_edges(3)
     new = [(a, b) for a in range(12) for b in range(12) if a != b and (a, b) not in e][::9][:6] + [(11, 0)]
     ups = [[(1, "+", *x) for x in new[:3]] + [(2, "-", *e[0]), (3, "-", *e[7])], [(1, "+", *x) for x in new[3:]] + [(2, "-", *new[0])] + [(3, "-", *x) for x in e if x[0] == 2]]
-    state = repair.build_state(frame(spark, e), P)
-    stores = [StateStore(spark, f"file://{tmp_path}/{parts}", parts) for parts in (2, 4000)]
+    state = repair.build_state(frame(spark, e), PprParams.for_graph(12, alpha=0.5, beta=2.0))
+    stores = [StateStore(spark, f"file://{tmp_path}/{parts}", parts) for parts in (2, 300)]
     for s in stores:
         s.save(state)
     rows = lambda w: sorted((tuple(r.walk_id), r.slot, r.hops, tuple(r.path)) for r in w.collect())
@@ -126,6 +129,46 @@ def test_staleness_bounds_the_stale_share(spark, undirected):
     assert engine.rebuilt_nodes > 0 and min(r.sigma for r in engine.staleness().collect()) == 0.0
 
 
+def test_answers_are_stored_and_read(spark, tmp_path):
+    scores = spark.createDataFrame([(1, 2, 0.5), (1, 3, 0.7), (1, 4, 0.5), (2, 2, 0.1)], "source long, node long, score double")
+    write_answers(scores, f"file://{tmp_path}/a", k=2)
+    got = {(r.source, r.rank): (r.node, r.score) for r in read_answers(spark, f"file://{tmp_path}/a").collect()}
+    assert got == {(1, 1): (3, 0.7), (1, 2): (2, 0.5), (2, 1): (2, 0.1)}
+
+
+def test_edge_lists_node_updates_and_joins(spark, tmp_path):
+    (tmp_path / "edges.txt").write_text("1 2\n2 3\n2 3\n3 3\n3 1\n")
+    e = graphs.read_edges(spark, f"file://{tmp_path}/edges.txt", "csv", sep=" ")
+    assert sorted((r.src, r.dst) for r in e.collect()) == [(1, 2), (2, 3), (3, 1)]
+    state = repair.build_state(e, P)
+    after = repair.apply_node_updates(state, spark.createDataFrame([(1, "-", 2)], "tau long, op string, node long"))
+    assert [(r.src, r.dst) for r in after.edges.collect()] == [(3, 1)] and metrics.check_paths_valid(after).count() == 0
+    ups = spark.createDataFrame([(1, "+", 3, 2, "2024-01-01 10:00:00"), (2, "-", 1, 2, "2024-01-01 10:25:00"), (3, "+", 3, 9, "2024-01-01 09:00:00")], "tau long, op string, src long, dst long, ts string").withColumn("ts", F.to_timestamp("ts"))
+    assert stream.join_current(ups.where("op = '+'"), walks.crossings_of(state.walks)).where("src = 3 and node = 3").count() > 0
+    seen = spark.createDataFrame([(3, "2024-01-01 10:05:00"), (1, "2024-01-01 10:20:00")], "node long, at string").withColumn("at", F.to_timestamp("at"))
+    assert [(r.node, r.tau) for r in stream.near_events(ups, seen, "30 MINUTES").collect()] == [(3, 1)]
+
+
+def test_streamed_counters_and_repeats(spark, tmp_path):
+    rows = [(1, "+", 1, 2), (2, "+", 1, 3), (3, "+", 1, 2), (4, "-", 1, 9), (5, "-", 1, 3), (6, "+", 4, 5)]
+    log = spark.createDataFrame([(*r, f"2024-01-01 00:0{r[0]}:00") for r in rows] + [(7, "+", 4, 5, "2024-01-01 00:06:00")], "tau long, op string, src long, dst long, ts string").withColumn("ts", F.to_timestamp("ts"))
+    log.coalesce(1).write.parquet(f"{tmp_path}/log")
+    live = stream.stream_updates(spark, f"{tmp_path}/log")
+    q = stream.degree_counters(live).writeStream.format("memory").queryName("degs").outputMode("update").option("checkpointLocation", f"{tmp_path}/c1").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert {(r.node, r.out_deg) for r in spark.table("degs").collect()} == {(1, 1), (4, 1)}
+    q = stream.deduplicate(live, "1 hour").writeStream.format("memory").queryName("once").option("checkpointLocation", f"{tmp_path}/c2").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert spark.table("once").count() == 6
+    assert stream.rate_updates(spark, 5, 10).columns == ["tau", "op", "src", "dst", "ts"]
+
+
+def test_cost_report_rolls_up(spark):
+    runs = [{"engine": "eager", "percent": p, "update_s": 2.0, "query_s": 4.0, "updates": 2, "queries": 4} for p in (10, 50)]
+    got = {(r.engine, r.percent): r[2] for r in workloads.cost_report(runs, spark).collect()}
+    assert set(got) == {("eager", 10), ("eager", 50), ("eager", None), (None, None)} and set(got.values()) == {1.0}
+
+
 def test_written_rounds_can_be_dropped(spark):
     r = Rounds(spark, "drop")
     a, n = r.keep_seen(spark.range(5), F.count("*"))

@@ -130,7 +130,7 @@ def near_events(updates: DataFrame, events: DataFrame, within: str) -> DataFrame
     """Interval join: updates at an event's node that happened at most `within` before it. events: node, at. Times are cut into
     tens of minutes, so that the join is on equal keys."""
     step = 600
-    width = F.expr(f"CAST(INTERVAL '{within}' AS INTERVAL DAY TO SECOND)")
+    width = F.expr(f"INTERVAL {within}")
     cell = lambda t: F.floor(F.unix_timestamp(t) / step)
     spread = events.select("node", "at", F.explode(F.sequence(cell(F.col("at") - width), cell(F.col("at")))).alias("_cell"))
     own = updates.withColumn("_cell", cell(F.col("ts")))
