@@ -35,6 +35,8 @@ NEVER = -(1 << 50)
 CROSSING = -2
 #: Matrices are combined by blocks of so many chunks, so that a task holds no more of a text.
 SCAN_BLOCK = 256
+#: Characters of texts that are encoded at once.
+SLICE = 1 << 19
 
 
 class Encoder:
@@ -281,7 +283,7 @@ def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None,
         enc = encoder(sent.value)
         for texts in batches:
             parts = []
-            for rows in tk.slices(texts.str.len().fillna(0)):
+            for rows in tk.slices(texts.str.len().fillna(0), SLICE):
                 own = texts.iloc[rows]
                 buf, ends = _marked(own)
                 ids, offsets = enc.encode_buffer(buf, ends)
@@ -295,19 +297,20 @@ def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None,
     small = docs.where(~giant).withColumn("_e", whole(F.col(text))).withColumn("piece_ids", F.col("_e.ids"))
     small = (small.withColumn("round_trip", F.col("_e.ok")) if verify else small).drop("_e")
     found = docs.where(giant).withColumn("_text_key", F.sha2(F.col(text), 256))
-    solved = _encode_giants(found.select("_text_key", F.col(text).alias("_text")), sent, chunk_bytes)
+    solved = _encode_giants(found.select("_text_key", F.col(text).alias("_text")), sent, chunk_bytes, max([1, *(len(p) for p, k in zip(vocab.pieces, vocab.kinds, strict=True) if k == "piece")]))
     if verify:
         solved = decode(solved, vocab, to="_back").withColumn("_back", F.sha2("_back", 256)).withColumn("round_trip", F.col("_back") == F.col("_text_key")).drop("_back")
     large = found.join(solved, "_text_key").drop("_text_key")
     return small.unionByName(large.select(*small.columns))
 
 
-def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
-    """_text_key, piece_ids of the distinct giant texts."""
+def _encode_giants(found: DataFrame, sent, chunk_bytes: int, states: int) -> DataFrame:
+    """_text_key, piece_ids of the distinct giant texts. states: overhangs that a cut can have; only the workers that solve
+    chunks load the encoder."""
     texts = found.groupBy("_text_key").agg(F.first("_text").alias("_text"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ahead = encoder(sent.value).states - 1
+        ahead = states - 1
         for batch in batches:
             for key, text in zip(batch.column(0), batch.column(1), strict=True):
                 raw = b" " + text.as_buffer().to_pybytes()
@@ -328,8 +331,7 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
             yield pd.DataFrame({"_text_key": pdf["_text_key"], "part": pdf["part"], "block": pdf["part"] // SCAN_BLOCK, "matrix": [enc.transfer(np.frombuffer(r, dtype=np.uint8), n).tobytes() for r, n in zip(pdf["raw"], pdf["size"], strict=True)]})
 
     def unpack(pdf: pd.DataFrame) -> list[np.ndarray]:
-        s = encoder(sent.value).states
-        return [np.frombuffer(m, dtype=np.int64).reshape(s, s) for m in pdf["matrix"]]
+        return [np.frombuffer(m, dtype=np.int64).reshape(states, states) for m in pdf["matrix"]]
 
     def product(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("part")
@@ -337,7 +339,7 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
 
     def heads(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("block")
-        enter = entries(unpack(pdf), first_entry(encoder(sent.value).states))
+        enter = entries(unpack(pdf), first_entry(states))
         return pd.DataFrame({"_text_key": pdf["_text_key"], "block": pdf["block"], "head": [e.tobytes() for e in enter]})
 
     def inside(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -352,15 +354,15 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
 
     def chain(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("part")
-        states = follow(list(pdf["map"]))
-        return pd.DataFrame({"_text_key": pdf["_text_key"].to_numpy(), "part": pdf["part"].to_numpy(), "enter": states[:-1], "leave": states[1:]})
+        at = follow(list(pdf["map"]))
+        return pd.DataFrame({"_text_key": pdf["_text_key"].to_numpy(), "part": pdf["part"].to_numpy(), "enter": at[:-1], "leave": at[1:]})
 
     # a task holds the matrices of SCAN_BLOCK chunks, or one for each block, or a few numbers for each chunk of a text
     mats = kept.write(chunks.mapInPandas(matrices, "_text_key string, part long, block long, matrix binary"), "matrices")
     starts = mats.groupBy("_text_key", "block").applyInPandas(product, "_text_key string, block long, matrix binary").groupBy("_text_key").applyInPandas(heads, "_text_key string, block long, head binary")
     scores = mats.join(starts, ["_text_key", "block"]).groupBy("_text_key", "block").applyInPandas(inside, "_text_key string, part long, entry binary")
     mapped = chunks.join(scores, ["_text_key", "part"]).select("_text_key", "part", maps("raw", "size", "entry").alias("map"))
-    states = mapped.groupBy("_text_key").applyInPandas(chain, "_text_key string, part long, enter long, leave long")
+    cuts = mapped.groupBy("_text_key").applyInPandas(chain, "_text_key string, part long, enter long, leave long")
 
     @F.pandas_udf("binary")
     def solve(raw: pd.Series, size: pd.Series, enter: pd.Series, leave: pd.Series) -> pd.Series:
@@ -372,7 +374,7 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int) -> DataFrame:
         tk.give_back()
         return pd.Series(out, dtype=object)
 
-    traced = chunks.join(states, ["_text_key", "part"]).select("_text_key", "part", F.hex(solve("raw", "size", "enter", "leave")).alias("ids"))
+    traced = chunks.join(cuts, ["_text_key", "part"]).select("_text_key", "part", F.hex(solve("raw", "size", "enter", "leave")).alias("ids"))
     joined = traced.groupBy("_text_key").agg(F.sort_array(F.collect_list(F.struct("part", "ids"))).alias("parts"))  # one text's pieces
     return joined.select("_text_key", F.unhex(F.array_join(F.col("parts.ids"), "")).alias("piece_ids"))
 
