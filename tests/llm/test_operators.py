@@ -497,10 +497,10 @@ def test_near_duplicate_tiles_keep_components(spark):
         rows.append((i, " ".join(words)))
     df = spark.createDataFrame(rows, "doc_id long, text string")
     ws = Workspace(spark, "n")
-    classes = near_dup.sketch(df).groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("posts").alias("posts"), F.first("sig").alias("sig"))
+    classes = near_dup.sketch(df).groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("minima").alias("minima"), F.first("sig").alias("sig"))
     links = near_dup.candidate_links(classes, ws, 85, tile_rows=16)
     members = near_dup.components(links, ws, "c").join(classes.select("rep", "n"), F.col("node") == F.col("rep")).select("rep", "n", "component")
-    found = near_dup.components(near_dup.confirm(df, members, 85, 5, "doc_id", "text", tile_sets=16), ws, "d")
+    found = near_dup.components(near_dup.confirm(df, members, ws, 85, 5, "doc_id", "text", tile_sets=16), ws, "d")
     label = {r.node: r.component for r in found.collect()}
     want = _components(rows, 85)
     reps = [r.rep for r in classes.select("rep").collect()]

@@ -1,16 +1,21 @@
 """Near-duplicates by MinHash signatures in an inverted join over coordinates, confirmed on full shingle sets.
 
 1. Each text becomes a set of 64-bit shingle hashes and a signature of COORDS minima. Texts with equal sets form a class.
-2. Each class is posted under its first PREFIX coordinate-value pairs. Postings of a pair are merged in tiles of bounded
-   size, so a pair that a third of all rows share is worked on by many tasks. A tile counts, for its members, on how many
-   of all coordinates two agree, and keeps those at or above the match threshold; postings of one member are skipped.
-   A tile returns a spanning forest of its matches, not all pairs: its components stay the same.
-3. Components of the matches are the candidates. Full sets are made anew for their members only; within a component sets
-   meet in tiles again, every pair that isn't connected yet is compared on full sets, and confirmed links leave as a forest.
-4. Components of confirmed links give the result. Both component searches run over written tables.
-
-Losses: two sets of similarity s share none of PREFIX coordinates with chance (1-s)^PREFIX (below 1e-9 at 0.85 and 5e-9 at
-0.8), and fall below the match threshold with a chance below 1e-7, by choice of the threshold. A confirmed link is exact.
+2. Coordinate-value pairs have one order for all classes: those of few classes by coordinate, then those of many by their
+   count. Two signatures that agree on `least` coordinates agree on one of the first COORDS - least + 1 of both, so each
+   class is posted under that prefix alone, and a value that boilerplate gives to a third of all rows is posted only by
+   signatures made of such values. Postings of a pair are merged in tiles of bounded size; a tile counts on how many of
+   all coordinates two members agree, skips members that are connected already, and returns a spanning forest of the
+   matches at or above the match threshold, not all pairs: its components stay the same.
+3. Components of the matches are the candidates. Full sets are made anew for their members only and compared within parts
+   of bounded size; in a component of several parts one set of each group found goes on to the next round, as long as the
+   rounds link groups. Only where several groups are left do all sets of a component meet in tiles, and there only pairs
+   of different groups are compared. Confirmed links leave as forests.
+4. Components of confirmed links give the result. All component searches run over written tables.
+
+Losses: two sets of the similarity asked for fall below the match threshold with a chance below 1e-7, by choice of the
+threshold; the prefix loses nothing. Links are confirmed on sets of 64-bit hashes, of which two shingles share one with a
+chance of about 2^-64.
 
 Defined cases: a null, empty or blank text has no shingles, is linked with nothing and is its own component; a text with
 fewer than `words` words has its whole sequence as the one shingle; repeated rows with one id share its component; a
@@ -32,10 +37,12 @@ from pyspark.sql import functions as F
 from . import textkernel as tk
 from .common import Workspace
 
-COORDS, PREFIX = 64, 12
+COORDS = 64
 #: Members of a tile come from two parts of about so many postings, or about so many bytes of full sets.
 TILE_ROWS, TILE_SETS, TILE_BYTES = 512, 128, 8 << 20
 _BLOCK = 1 << 18
+#: Frequent coordinate-value pairs up to which they are sent to the classes: 24 bytes each, 5 MB.
+BROADCAST_VALUES = 200_000
 #: Links up to which one side of a component round is broadcast: 16 bytes each, 3 MB.
 BROADCAST_LINKS = 200_000
 #: Candidate members up to which they are sent to the texts: 20 bytes each, 10 MB.
@@ -89,26 +96,26 @@ def signature(shingles: np.ndarray) -> np.ndarray:
 
 
 def sketch(docs: DataFrame, words: int = 5, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n_shingles, set_key (two hashes of the set as text, null without shingles), posts, sig."""
-    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("set_key", pa.string()), ("posts", pa.list_(pa.int64())), ("sig", pa.binary())])
+    """doc_id, n_shingles, set_key (two hashes of the set as text, null without shingles), minima, sig (16 bits of each)."""
+    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("set_key", pa.string()), ("minima", pa.list_(pa.int64())), ("sig", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
 
         for batch in batches:
-            sizes, keys, posts, sigs = [], [], [], []
+            sizes, keys, minima, sigs = [], [], [], []
             for s in shingle_sets(batch.column(1), words):
                 sizes.append(len(s))
                 if not len(s):
-                    keys.append(None), posts.append(None), sigs.append(None)
+                    keys.append(None), minima.append(None), sigs.append(None)
                     continue
                 sig = signature(s)
                 keys.append(xxhash.xxh3_128_hexdigest(s.tobytes()))
-                posts.append(sig[:PREFIX].view(np.int64))
+                minima.append(sig.view(np.int64))
                 sigs.append((sig >> np.uint64(40)).astype("<u2").tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(keys, pa.string()), pa.array(posts, pa.list_(pa.int64())), pa.array(sigs, pa.binary())], schema=schema)
+            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(keys, pa.string()), pa.array(minima, pa.list_(pa.int64())), pa.array(sigs, pa.binary())], schema=schema)
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, set_key string, posts array<long>, sig binary")
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, set_key string, minima array<long>, sig binary")
 
 
 class _Forest:
@@ -136,32 +143,36 @@ class _Forest:
 
 def matching_forest(sigs: np.ndarray, sizes: np.ndarray, least: int, percent: int) -> list[tuple[int, int]]:
     """A spanning forest of the pairs that agree on `least` coordinates and whose sizes allow the similarity."""
-    n = len(sigs)
-    forest, out = _Forest(n), []
-    open_rows = np.arange(n)
-    for i in range(n):
-        rest = open_rows[open_rows > i]
+    out, tree = [], np.arange(len(sigs))
+    for i in range(len(sigs) - 1):
+        rest = i + 1 + np.flatnonzero(tree[i + 1 :] != tree[i])
         if not len(rest):
-            break
+            continue
         small, large = np.minimum(sizes[i], sizes[rest]), np.maximum(sizes[i], sizes[rest])
         rest = rest[100 * small >= percent * large]
-        hits = rest[(sigs[rest] == sigs[i]).sum(axis=1) >= least] if len(rest) else rest
-        for j in hits.tolist():
-            if forest.join(i, j):
+        for j in rest[(sigs[rest] == sigs[i]).sum(axis=1) >= least].tolist():
+            if tree[j] != tree[i]:
                 out.append((i, j))
+                tree[tree == tree[j]] = tree[i]
     return out
 
 
-def confirmed_forest(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
-    """A spanning forest of the pairs with 100 * intersection >= percent * union, on full sets."""
+def confirmed_forest(sets: list[np.ndarray], percent: int, groups: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """A spanning forest of the pairs with 100 * intersection >= percent * union, on full sets; groups: sets that are
+    connected already, whose links may be left out."""
     n = len(sets)
+    if groups is not None and (groups == groups[0]).all():
+        return []
     sizes = np.array([len(s) for s in sets], dtype=np.int64)
     forest, out = _Forest(n), []
+    if groups is not None:
+        first: dict = {}
+        for i, g in enumerate(groups.tolist()):
+            forest.join(first.setdefault(g, i), i)
     flat, owner = np.concatenate(sets), np.repeat(np.arange(n), sizes)
     order = np.argsort(flat, kind="stable")
     flat, owner = flat[order], owner[order]
-    first = np.concatenate([[True], flat[1:] != flat[:-1]])
-    code = np.cumsum(first) - 1
+    code = np.cumsum(np.concatenate([[True], flat[1:] != flat[:-1]])) - 1
     shared = np.bincount(code) > 1
     keep = shared[code]
     owner, code = owner[keep], np.cumsum(shared)[code[keep]] - 1
@@ -187,13 +198,28 @@ def _tile_pairs(df: DataFrame, parts: str, salt_of: str) -> DataFrame:
     return other.withColumn("lo", F.least("_part", "_other")).withColumn("hi", F.greatest("_part", "_other")).drop("_part", "_other")
 
 
+def prefix_posts(classes: DataFrame, workspace: Workspace, least: int, tile_rows: int) -> DataFrame:
+    """rep, n, sig, coord, value, n_classes (0 up to tile_rows) of the postings of each class (set_key, rep, n, minima, sig)."""
+    values = classes.select("set_key", F.posexplode("minima").alias("coord", "value"))
+    frequent = workspace.write(values.groupBy("coord", "value").agg(F.count("*").alias("n_classes")).where(F.col("n_classes") > tile_rows), "frequent")
+    known = F.broadcast(frequent) if frequent.count() <= BROADCAST_VALUES else frequent
+    late = values.join(known, ["coord", "value"]).groupBy("set_key").agg(F.sort_array(F.collect_list(F.struct("n_classes", "coord", "value"))).alias("late"))
+    own = classes.join(late, "set_key", "left")
+    every = F.transform("minima", lambda v, i: F.struct(F.lit(0).cast("long").alias("n_classes"), i.alias("coord"), v.alias("value")))
+    early = F.filter(every, lambda t: ~F.array_contains(F.col("late.coord"), t["coord"]))
+    ordered = F.when(F.col("late").isNull(), every).otherwise(F.concat(early, "late"))
+    return own.select("rep", "n", "sig", F.explode(F.slice(ordered, 1, COORDS - least + 1)).alias("_t")).select("rep", "n", "sig", "_t.*")
+
+
 def candidate_links(classes: DataFrame, workspace: Workspace, percent: int, tile_rows: int = TILE_ROWS) -> DataFrame:
-    """a, b: forests of matches among classes (rep, n, posts, sig)."""
-    posts = classes.select("rep", "n", "sig", F.posexplode("posts").alias("coord", "value"))
-    hot = workspace.write(posts.groupBy("coord", "value").count().where(F.col("count") > tile_rows).select("coord", "value", F.ceil(F.col("count") / tile_rows).cast("int").alias("parts")), "hot")
-    dealt = _tile_pairs(posts.join(hot, ["coord", "value"], "left").withColumn("parts", F.coalesce("parts", F.lit(1))), "parts", "rep")
-    tiles = dealt.groupBy("coord", "value", "lo", "hi").agg(F.collect_list(F.struct("rep", "n", "sig")).alias("rows")).where(F.size("rows") > 1)
+    """a, b: forests of matches among classes (set_key, rep, n, minima, sig)."""
     least = match_threshold(percent)
+    posts = prefix_posts(classes, workspace, least, tile_rows)
+    hot = posts.where("n_classes > 0").groupBy("coord", "value").count().where(F.col("count") > tile_rows)
+    hot = workspace.write(hot.select("coord", "value", F.ceil(F.col("count") / tile_rows).cast("int").alias("parts")), "hot")
+    few = hot.count() <= BROADCAST_VALUES
+    dealt = _tile_pairs(posts.join(F.broadcast(hot) if few else hot, ["coord", "value"], "left").withColumn("parts", F.coalesce("parts", F.lit(1))), "parts", "rep")
+    tiles = dealt.groupBy("coord", "value", "lo", "hi").agg(F.collect_list(F.struct("rep", "n", "sig")).alias("rows")).where(F.size("rows") > 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -246,34 +272,65 @@ def components(links: DataFrame, workspace: Workspace, name: str, max_rounds: in
     return stars.select(F.col("b").alias("node"), F.col("a").alias("component")).unionByName(stars.select(F.col("a").alias("node"), F.col("a").alias("component"))).distinct()
 
 
-def confirm(docs: DataFrame, members: DataFrame, percent: int, words: int, doc_id: str, text: str, tile_sets: int = TILE_SETS, tile_bytes: int = TILE_BYTES) -> DataFrame:
+def _groups(members: DataFrame, links: DataFrame, workspace: Workspace, name: str) -> DataFrame:
+    """rep, n, component, grp: the smallest set that the links connect with each."""
+    found = components(links, workspace, name)
+    return members.join(found.withColumnRenamed("component", "_least"), F.col("rep") == F.col("node"), "left").select("rep", "n", members["component"], F.coalesce("_least", "rep").alias("grp"))
+
+
+def confirm(docs: DataFrame, members: DataFrame, workspace: Workspace, percent: int, words: int, doc_id: str, text: str, tile_sets: int = TILE_SETS, tile_bytes: int = TILE_BYTES) -> DataFrame:
     """a, b: forests of confirmed links within the candidate components of `members` (rep, n, component)."""
-    stats = members.groupBy("component").agg(F.count("*").alias("k"), F.sum("n").alias("total"))
+    texts = docs.select(F.col(doc_id).cast("long").alias("rep"), F.col(text).cast("string").alias("text"))
     parts = F.greatest(F.ceil(F.col("k") / tile_sets), F.ceil(F.col("total") * 8 / tile_bytes)).cast("int")
-    placed = members.join(stats.select("component", parts.alias("parts")), "component")
+
+    def parted(rows: DataFrame) -> DataFrame:
+        """rep, n, component, grp, parts: how many parts the component's sets take."""
+        return rows.join(rows.groupBy("component").agg(F.count("*").alias("k"), F.sum("n").alias("total")).select("component", parts.alias("parts")), "component")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = [s.tobytes() for s in shingle_sets(batch.column("text"), words)]
-            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("component"), batch.column("parts"), pa.array(found, pa.binary())], ["rep", "component", "parts", "shingles"])
-
-    texts = docs.select(F.col(doc_id).cast("long").alias("rep"), F.col(text).cast("string").alias("text"))
-    if members.count() <= BROADCAST_MEMBERS:  # few, as checked here: the texts needn't be dealt out anew
-        placed = F.broadcast(placed)
-    full = texts.join(placed, "rep").select("rep", "component", "parts", "text").mapInArrow(sets, "rep long, component long, parts int, shingles binary")
-    tiles = _tile_pairs(full, "parts", "rep").groupBy("component", "lo", "hi").agg(F.collect_list(F.struct("rep", "shingles")).alias("rows"))
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("rep", "component", "grp", "parts")), pa.array(found, pa.binary())], ["rep", "component", "grp", "parts", "shingles"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             a, b = [], []
             for rows in batch.column(0):
-                own = sorted(((r["rep"], r["shingles"]) for r in rows.as_py()), key=lambda r: r[0])
-                for i, j in confirmed_forest([np.frombuffer(s, dtype=np.uint64) for _, s in own], percent):
+                own = sorted(((r["rep"], r["grp"], r["shingles"]) for r in rows.as_py()), key=lambda r: r[0])
+                groups = np.array([g for _, g, _ in own], dtype=np.int64)
+                for i, j in confirmed_forest([np.frombuffer(s, dtype=np.uint64) for _, _, s in own], percent, groups):
                     a.append(own[i][0])
                     b.append(own[j][0])
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
-    return tiles.select("rows").mapInArrow(run, "a long, b long").where("a <> b").distinct()
+    def compared(rows: DataFrame, name: str, across: bool) -> DataFrame:
+        """Confirmed links of sets in one part; across: of any two parts."""
+        placed = rows.select("rep", "component", "grp", "parts")
+        if rows.count() <= BROADCAST_MEMBERS:  # few, as checked here: the texts needn't be dealt out anew
+            placed = F.broadcast(placed)
+        full = texts.join(placed, "rep").select("rep", "component", "grp", "parts", "text").mapInArrow(sets, "rep long, component long, grp long, parts int, shingles binary")
+        one = F.pmod(F.xxhash64(F.lit(5), "rep"), F.col("parts")).cast("int")
+        tiled = _tile_pairs(full, "parts", "rep") if across else full.withColumn("lo", one).withColumn("hi", F.lit(-1))
+        tiles = tiled.groupBy("component", "lo", "hi").agg(F.collect_list(F.struct("rep", "grp", "shingles")).alias("rows")).where(F.size("rows") > 1)
+        return workspace.write(tiles.select("rows").mapInArrow(run, "a long, b long").where("a <> b").distinct(), name)
+
+    rows = workspace.write(parted(members.withColumn("grp", F.col("rep"))), "parted_0")
+    links = compared(rows, "confirmed_0", False)
+    every = rows.where("parts > 1").select("rep", "n", "component")  # components that one part doesn't hold
+    left, k = every.count(), 0
+    while left:  # one set of each group goes on, for as long as that links a tenth of them
+        k += 1
+        grouped = workspace.write(_groups(every, links, workspace, f"grouped_{k}"), f"groups_{k}")
+        open_ = grouped.groupBy("component").agg(F.min("grp").alias("_lo"), F.max("grp").alias("_hi")).where("_lo < _hi").select("component")
+        grouped = grouped.join(open_, "component", "left_semi")
+        leaders = workspace.write(parted(grouped.where("rep = grp").select("rep", "n", "component", "grp").dropDuplicates(["rep"])), f"parted_{k}")
+        before, left = left, leaders.count()
+        if not left:
+            break
+        if 10 * left > 9 * before:
+            return links.unionByName(compared(workspace.write(parted(grouped), "open"), "confirmed_open", True))
+        links = workspace.write(links.unionByName(compared(leaders, f"confirmed_{k}", False)), f"links_{k}")
+    return links
 
 
 def link(docs: DataFrame, workspace: Workspace, percent: int = 80, words: int = 5, doc_id: str = "doc_id", text: str = "text", salts: int = 64) -> DataFrame:
@@ -281,10 +338,10 @@ def link(docs: DataFrame, workspace: Workspace, percent: int = 80, words: int =
     sketches = workspace.write(sketch(docs, words, doc_id, text), "sketches")
     # classes of equal sets: partial minima in every task, so a class of any size is cheap
     named = sketches.where("set_key is not null and doc_id is not null")
-    classes = workspace.write(named.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("k"), F.first("n_shingles").alias("n"), F.first("posts").alias("posts"), F.first("sig").alias("sig")), "classes")
-    matches = components(candidate_links(classes.select("rep", "n", "posts", "sig"), workspace, percent), workspace, "matches")
+    classes = workspace.write(named.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("k"), F.first("n_shingles").alias("n"), F.first("minima").alias("minima"), F.first("sig").alias("sig")), "classes")
+    matches = components(candidate_links(classes.select("set_key", "rep", "n", "minima", "sig"), workspace, percent), workspace, "matches")
     members = workspace.write(matches.join(classes.select("rep", "n"), matches["node"] == F.col("rep")).select("rep", "n", "component"), "members")
-    confirmed = components(confirm(docs, members, percent, words, doc_id, text), workspace, "links")
+    confirmed = components(confirm(docs, members, workspace, percent, words, doc_id, text), workspace, "links")
     # classes whose members need another label than their own id; those of large classes are dealt out by salt
     labels = classes.select("set_key", "rep", "k").join(confirmed, F.col("rep") == F.col("node"), "left").select("set_key", F.coalesce("component", "rep").alias("label"), "rep", "k").where("k > 1 or label <> rep")
     labels = workspace.write(labels, "labels")
