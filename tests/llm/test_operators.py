@@ -498,6 +498,13 @@ def test_near_duplicate_tiles_keep_components(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     ws = Workspace(spark, "n")
     classes = near_dup.sketch(df).groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("minima").alias("minima"), F.first("sig").alias("sig"))
+    posted = [{tuple(r) for r in near_dup.prefix_posts(classes, ws, 37, 16).collect()}]
+    limit, near_dup.BROADCAST_VALUES = near_dup.BROADCAST_VALUES, 0
+    try:
+        posted.append({tuple(r) for r in near_dup.prefix_posts(classes, ws, 37, 16).collect()})
+    finally:
+        near_dup.BROADCAST_VALUES = limit
+    assert posted[0] == posted[1] and any(p[3] for p in posted[0])
     links = near_dup.candidate_links(classes, ws, 85, tile_rows=16)
     members = near_dup.components(links, ws, "c").join(classes.select("rep", "n"), F.col("node") == F.col("rep")).select("rep", "n", "component")
     found = near_dup.components(near_dup.confirm(df, members, ws, 85, 5, "doc_id", "text", tile_sets=16), ws, "d")

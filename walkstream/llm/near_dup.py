@@ -199,26 +199,53 @@ def _tile_pairs(df: DataFrame, parts: str, salt_of: str) -> DataFrame:
 
 
 def prefix_posts(classes: DataFrame, workspace: Workspace, least: int, tile_rows: int) -> DataFrame:
-    """rep, n, sig, coord, value, n_classes (0 up to tile_rows) of the postings of each class (set_key, rep, n, minima, sig)."""
+    """rep, n, sig, late, coord, value of the postings of each class (set_key, rep, n, minima, sig); late: a value of more
+    than tile_rows classes."""
+    spark, length = classes.sparkSession, COORDS - least + 1
     values = classes.select("set_key", F.posexplode("minima").alias("coord", "value"))
     frequent = workspace.write(values.groupBy("coord", "value").agg(F.count("*").alias("n_classes")).where(F.col("n_classes") > tile_rows), "frequent")
-    known = F.broadcast(frequent) if frequent.count() <= BROADCAST_VALUES else frequent
-    late = values.join(known, ["coord", "value"]).groupBy("set_key").agg(F.sort_array(F.collect_list(F.struct("n_classes", "coord", "value"))).alias("late"))
-    own = classes.join(late, "set_key", "left")
-    every = F.transform("minima", lambda v, i: F.struct(F.lit(0).cast("long").alias("n_classes"), i.alias("coord"), v.alias("value")))
-    early = F.filter(every, lambda t: ~F.array_contains(F.col("late.coord"), t["coord"]))
-    ordered = F.when(F.col("late").isNull(), every).otherwise(F.concat(early, "late"))
-    return own.select("rep", "n", "sig", F.explode(F.slice(ordered, 1, COORDS - least + 1)).alias("_t")).select("rep", "n", "sig", "_t.*")
+    if frequent.count() > BROADCAST_VALUES:
+        late = values.join(frequent, ["coord", "value"]).groupBy("set_key").agg(F.sort_array(F.collect_list(F.struct("n_classes", "coord", "value"))).alias("late"))
+        every = F.transform("minima", lambda v, i: F.struct(F.lit(0).cast("long").alias("n_classes"), i.alias("coord"), v.alias("value")))
+        early = F.filter(every, lambda t: ~F.array_contains(F.col("late.coord"), t["coord"]))
+        ordered = F.when(F.col("late").isNull(), every).otherwise(F.concat(early, "late"))
+        posted = classes.join(late, "set_key", "left").select("rep", "n", "sig", F.explode(F.slice(ordered, 1, length)).alias("_t"))
+        return posted.select("rep", "n", "sig", (F.col("_t.n_classes") > 0).alias("late"), "_t.coord", "_t.value")
+    table = frequent.orderBy("n_classes", "coord", "value").toPandas()
+    ranked = []
+    for c in range(COORDS):
+        at = np.flatnonzero(table["coord"].to_numpy() == c)
+        own = table["value"].to_numpy(dtype=np.int64)[at]
+        order = np.argsort(own)
+        ranked.append((own[order], at[order] + 1))
+    sent = spark.sparkContext.broadcast(ranked)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            minima = batch.column("minima").flatten().to_numpy(zero_copy_only=False).reshape(-1, COORDS)
+            rank = np.zeros(minima.shape, dtype=np.int32)  # 0 of an early value
+            for c, (known, place) in enumerate(sent.value):
+                if len(known):
+                    at = np.minimum(known.searchsorted(minima[:, c]), len(known) - 1)
+                    rank[:, c] = np.where(known[at] == minima[:, c], place[at], 0)
+            first = np.argsort(rank, axis=1, kind="stable")[:, :length]
+            fields = [np.take_along_axis(rank, first, 1) > 0, first.astype(np.int32), np.take_along_axis(minima, first, 1)]
+            rows = pa.StructArray.from_arrays([pa.array(f.ravel()) for f in fields], ["late", "coord", "value"])
+            posts = pa.ListArray.from_arrays(pa.array(np.arange(len(minima) + 1, dtype=np.int32) * length), rows)
+            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("n"), batch.column("sig"), posts], ["rep", "n", "sig", "posts"])
+
+    posted = classes.select("rep", "n", "sig", "minima").mapInArrow(run, "rep long, n long, sig binary, posts array<struct<late: boolean, coord: int, value: long>>")
+    return posted.select("rep", "n", "sig", F.inline("posts"))
 
 
 def candidate_links(classes: DataFrame, workspace: Workspace, percent: int, tile_rows: int = TILE_ROWS) -> DataFrame:
     """a, b: forests of matches among classes (set_key, rep, n, minima, sig)."""
     least = match_threshold(percent)
     posts = prefix_posts(classes, workspace, least, tile_rows)
-    hot = posts.where("n_classes > 0").groupBy("coord", "value").count().where(F.col("count") > tile_rows)
+    hot = posts.where("late").groupBy("coord", "value").count().where(F.col("count") > tile_rows)
     hot = workspace.write(hot.select("coord", "value", F.ceil(F.col("count") / tile_rows).cast("int").alias("parts")), "hot")
     few = hot.count() <= BROADCAST_VALUES
-    dealt = _tile_pairs(posts.join(F.broadcast(hot) if few else hot, ["coord", "value"], "left").withColumn("parts", F.coalesce("parts", F.lit(1))), "parts", "rep")
+    dealt = _tile_pairs(posts.drop("late").join(F.broadcast(hot) if few else hot, ["coord", "value"], "left").withColumn("parts", F.coalesce("parts", F.lit(1))), "parts", "rep")
     tiles = dealt.groupBy("coord", "value", "lo", "hi").agg(F.collect_list(F.struct("rep", "n", "sig")).alias("rows")).where(F.size("rows") > 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
