@@ -5,8 +5,10 @@ further coordinate sqrt(M2 - |x|^2), a query 0, and then distance^2 = |q|^2 + M2
 blocks by a hash; each block holds an M-tree: leaf pages of at most PAGE entries below routing nodes, each with its
 centre, covering radius and its children's distances to the parent. A query searches best first by lower bounds and skips
 nodes and entries through the stored distances and the triangle inequality, without computing theirs. Scores are exact
-integers; bounds are compared with a slack above rounding error. Query rows are packed into blocks too and dealt to every
-vector block (a stated query set against all rows, in blocks); the k best of the blocks are merged by window.
+integers; bounds are compared with a slack above rounding error. Equal vectors are one entry with the ids that can win, and
+equal queries are searched once, so copies cost no distances. Query vectors are packed too and dealt to every block (a stated
+query set against all rows, in blocks); those of a pack go down a tree together, and their lists stay in the task from block
+to block, so that later blocks meet their bounds. The lists of the tasks are merged by query vector.
 
 Defined cases: vectors that are null or hold null, NaN or infinite components take no part; vectors meet only those of
 their own length; ties go to the smaller id; rows with a null id take no part; repeated candidates count each, repeated queries once (a query skips
@@ -19,11 +21,13 @@ import heapq
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .common import Workspace
+
 PAGE = 64
 FAN = 16
 
@@ -122,38 +126,181 @@ class MTree:
                     heapq.heappush(queue, (max(0.0, lower), n, dc, node["children"][c]))
         return sorted(((s, -i) for s, i in best), key=lambda x: (-x[0], x[1]))
 
+    def _leaf_scores(self, page: dict, asked: np.ndarray) -> np.ndarray:
+        name = "points32" if asked.dtype == np.float32 else "points"
+        if name not in page:
+            page[name] = page["points"].astype(np.float32)
+        return asked @ page[name].T
+
+    def search_many(self, queries: np.ndarray, best: Best, ids: np.ndarray, rows: np.ndarray) -> None:
+        """Enter this block's vectors into the lists of many queries, which go down the tree together: each node is left by the
+        queries whose bound excludes it, a page is one matrix product of the rest. ids orders ties; rows is kept with a hit."""
+        if self.root is None:
+            return
+        q = np.hstack([queries.astype(np.float64), np.zeros((len(queries), 1))])
+        q2 = (q * q).sum(axis=1)
+        longest, slack = float(q2.max(initial=0.0)) * float(self.top), self.slack + 1e-6 * float(q2.max(initial=0.0)) ** 0.5
+        if not self.exact or longest >= float(1 << 98):
+            order = np.argsort(ids, kind="stable")
+            for i, query in enumerate(queries):
+                hits = self.search(query, best.keep, order.argsort(), None)
+                if hits:
+                    best.enter(np.full(len(hits), i), np.array([s for s, _ in hits], dtype=np.int64), order[[r for _, r in hits]], ids, rows)
+            return
+        # sums of products are at most |q| |x|, so below 2^24 (2^53) every step is exact in 32 (64) bits
+        asked = queries.astype(np.float32 if longest < float(1 << 46) else np.float64)
+
+        def far(at: np.ndarray) -> np.ndarray:
+            worst = best.score[at, -1]
+            return np.where(best.full(at), np.sqrt(np.maximum(0.0, q2[at] + self.top - 2.0 * worst)) + slack, np.inf)
+
+        def visit(node: dict, at: np.ndarray, d: np.ndarray) -> None:
+            if node["rows"] is not None:
+                for lo in range(0, len(at), 1024):
+                    part = at[lo : lo + 1024]
+                    scores = self._leaf_scores(node, asked[part])
+                    least, n = np.where(best.full(part), best.score[part, -1], -np.inf), scores.shape[1]
+                    new = np.flatnonzero(~best.full(part))
+                    if len(new) and n > best.keep:
+                        least[new] = np.partition(scores[new], n - best.keep, axis=1)[:, n - best.keep]
+                    r, c = np.nonzero(scores >= least.astype(scores.dtype)[:, None])
+                    if len(r):
+                        best.enter(part[r], scores[r, c].astype(np.int64), node["rows"][c], ids, rows)
+                return
+            centres = node["child_centre"]
+            to = np.sqrt(np.maximum(0.0, q2[at][:, None] + (centres * centres).sum(axis=1)[None, :] - 2.0 * (q[at] @ centres.T)))
+            lower = np.maximum(to - node["child_radius"], np.abs(d[:, None] - node["child_parent"]) - node["child_radius"]) - slack
+            for c in np.argsort(to.mean(axis=0)).tolist():
+                some = np.flatnonzero(lower[:, c] <= far(at))
+                if len(some):
+                    visit(node["children"][c], at[some], to[some, c])
+
+        visit(self.root, np.arange(len(queries)), np.sqrt(((self.root["centre"] - q) ** 2).sum(axis=1)))
+
+
+class Best:
+    """The `keep` best (score, first id, rows) of each of n queries, in order; ties to the smaller first id."""
+
+    def __init__(self, n: int, keep: int):
+        self.keep, self.count = keep, np.zeros(n, dtype=np.int64)
+        self.score, self.first = np.full((n, keep), np.iinfo(np.int64).min), np.zeros((n, keep), dtype=np.int64)
+        self.rows = np.empty((n, keep), dtype=object)
+
+    def full(self, at: np.ndarray) -> np.ndarray:
+        return self.count[at] == self.keep
+
+    def enter(self, query: np.ndarray, score: np.ndarray, place: np.ndarray, ids: np.ndarray, rows: np.ndarray) -> None:
+        at = np.unique(query)
+        r, c = np.nonzero(np.arange(self.keep)[None, :] < self.count[at][:, None])
+        q = np.concatenate([at[r], query])
+        s, first = np.concatenate([self.score[at[r], c], score]), np.concatenate([self.first[at[r], c], ids[place]])
+        held = np.concatenate([self.rows[at[r], c], rows[place]])
+        order = np.lexsort((first, ~s, q))  # ~s falls as s grows, without overflow
+        q = q[order]
+        rank = np.arange(len(q)) - np.searchsorted(q, q)
+        stays = rank < self.keep
+        q, rank, order = q[stays], rank[stays], order[stays]
+        self.score[q, rank], self.first[q, rank], self.rows[q, rank] = s[order], first[order], held[order]
+        self.count[at] = np.bincount(np.searchsorted(at, q), minlength=len(at))
+
+
+#: Blocks hold at most so many different vectors; smaller inputs are dealt over up to SPREAD blocks of LEAST_BLOCK at least.
+BLOCK, SPREAD, LEAST_BLOCK = 1 << 16, 48, 1 << 10
+#: Lists of so many query vectors stay in a task while it goes from block to block; older ones are sent on first.
+HELD = 100_000
 
-def _packed(rows: DataFrame, per_block: int, n_rows: int, name: str) -> DataFrame:
-    """Blocks of about per_block rows: dim, block, ids and vectors as one list."""
-    n_blocks = max(1, -(-n_rows // per_block))
-    block = F.pmod(F.xxhash64("vec_id", "v"), F.lit(n_blocks)).cast("int")
-    return rows.withColumn(name, block).groupBy("dim", name).agg(F.collect_list(F.struct("vec_id", "v")).alias(f"{name}_rows"))
 
+def encode(values: DataFrame, name: str = "v") -> DataFrame:
+    """vec_id, dim and the vector as bytes: 16-bit components if all of them fit, else 64-bit ones; equal vectors, equal bytes."""
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lists = batch.column(1)
+            flat, ends = lists.flatten().to_numpy(zero_copy_only=False).astype("<i8"), np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64)
+            small = flat.astype("<i2")
+            wrong = np.concatenate([[0], np.cumsum(small != flat)])
+            out = [(small if wrong[a] == wrong[b] else flat)[a:b].tobytes() for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.diff(ends).astype(np.int32)), pa.array(out, pa.binary())], names=["vec_id", "dim", "v"])
+
+    return values.select("vec_id", F.col(name).alias("v")).mapInArrow(pack, "vec_id long, dim int, v binary")
+
+
+def decode(rows: list[bytes], dim: int) -> np.ndarray:
+    if all(len(v) == 2 * dim for v in rows):
+        return np.frombuffer(b"".join(rows), dtype="<i2").astype(np.int64).reshape(len(rows), dim)
+    return np.array([np.frombuffer(v, dtype="<i2" if len(v) == 2 * dim else "<i8") for v in rows], dtype=np.int64).reshape(len(rows), dim)
+
+
+def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, vec_id: str = "vec_id", vector: str = "v", vector_block: int | None = None, query_block: int = 4096) -> DataFrame:
+    """query_id, rank, vec_id, score: the k best rows of `vectors` for each row of `queries`; integer vectors (quantise).
+
+    Equal vectors are one entry with their k + 1 smallest ids, and equal query vectors are searched once: no more can be among
+    the k best of a query without its own id. An id may stand at several vectors, `most` at most; as many more vectors are kept.
+    """
+    spark = vectors.sparkSession
+    work = Workspace(spark, "vectors")
 
-def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, vec_id: str = "vec_id", vector: str = "v", vector_block: int = 4096, query_block: int = 1024) -> DataFrame:
-    """query_id, rank, vec_id, score: the k best rows of `vectors` for each row of `queries`; integer vectors (quantise)."""
     def clean(df: DataFrame) -> DataFrame:
-        own = df.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(vector).alias("v")).where("v is not null")
-        return own.withColumn("dim", F.size("v"))
-
-    rows, asked = clean(vectors), clean(queries).where("vec_id is not null").dropDuplicates(["vec_id", "v"])
-    n_blocks = max(1, -(-rows.count() // vector_block))
-    data = rows.withColumn("block", F.pmod(F.xxhash64("vec_id", "v"), F.lit(n_blocks)).cast("int")).groupBy("dim", "block").agg(F.collect_list(F.struct("vec_id", "v")).alias("rows"))
-    packs = _packed(asked, query_block, asked.count(), "pack")
-    dealt = packs.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
-    pairs = data.join(dealt, ["dim", "block"])
-
-    def search(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        last, tree, ids = None, None, np.zeros(0, np.int64)
-        for pdf in batches:
-            for dim, block, data_rows, pack in zip(pdf["dim"], pdf["block"], pdf["rows"], pdf["pack_rows"], strict=True):
+        own = df.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(vector).alias("v")).where("v is not null and vec_id is not null")
+        return encode(own)
+
+    by_vector = Window.partitionBy("dim", "v")
+    each = clean(vectors).groupBy("dim", "v", "vec_id").agg(F.least(F.count("*"), F.lit(k)).cast("int").alias("n"))
+    ranked = each.withColumn("r", F.row_number().over(by_vector.orderBy("vec_id"))).where(F.col("r") <= k + 1)
+    entries = work.write(ranked.groupBy("dim", "v").agg(F.array_sort(F.collect_list(F.struct("vec_id", "n"))).alias("ids")), "entries")
+    asked = work.write(clean(queries).distinct(), "asked")
+    # vectors of one id: an id that is no entry's is no candidate
+    most = entries.select(F.explode("ids.vec_id").alias("vec_id")).groupBy("vec_id").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 1
+    n, keep = entries.count(), k + most
+    n_blocks = max(1, -(-n // vector_block)) if vector_block else max(-(-n // BLOCK), min(SPREAD, -(-n // LEAST_BLOCK)), 1)
+    n_packs = max(1, -(-asked.select("dim", "v").distinct().count() // query_block))
+
+    def dealt_to(parts: int) -> Column:
+        return F.pmod(F.xxhash64("v"), F.lit(parts)).cast("int")
+
+    data = entries.withColumn("block", dealt_to(n_blocks)).repartition(max(1, min(n_blocks, 1024)), "dim", "block").groupBy("dim", "block").agg(F.collect_list(F.struct("ids", "v")).alias("rows"))
+    packs = asked.select("dim", "v").distinct().withColumn("pack", dealt_to(n_packs)).groupBy("dim", "pack").agg(F.collect_list("v").alias("pack_rows"))
+    pairs = data.join(packs.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1)))), ["dim", "block"])
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, tree, first, ids = None, None, None, None
+        held: dict[tuple[int, int], tuple[list[bytes], np.ndarray, Best]] = {}
+
+        def sent(key: tuple[int, int]) -> pa.RecordBatch:
+            rows, _, best = held.pop(key)
+            tops = [[{"score": s, "vec_id": i} for s, e in zip(best.score[q, :m].tolist(), best.rows[q, :m], strict=True) for i, c in e for _ in range(c)] for q, m in enumerate(best.count.tolist())]
+            return pa.RecordBatch.from_arrays([pa.array([key[0]] * len(rows), pa.int32()), pa.array(rows, pa.binary()), pa.array(tops, pa.list_(pa.struct([("score", pa.int64()), ("vec_id", pa.int64())])))], names=["dim", "v", "top"])
+
+        for batch in batches:
+            for at in range(batch.num_rows):
+                dim, block, pack = (batch.column(c)[at].as_py() for c in (0, 1, 3))
                 if last != (dim, block):
-                    some = [r for r in data_rows if r["vec_id"] is not None]
-                    ids = np.array([r["vec_id"] for r in some], dtype=np.int64)
-                    tree, last = MTree(np.array([r["v"] for r in some], dtype=np.int64).reshape(len(some), dim)), (dim, block)
-                out = [(r["vec_id"], i, s) for r in pack for s, i in tree.search(np.array(r["v"], dtype=np.int64), k, ids, r["vec_id"])]
-                yield pd.DataFrame(out, columns=["query_id", "vec_id", "score"]).astype("int64")
+                    some = batch.column(2)[at].values
+                    lists = some.field("ids")
+                    ends = np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64)
+                    every = lists.flatten()
+                    flat = list(zip(every.field("vec_id").to_pylist(), every.field("n").to_pylist(), strict=True))
+                    ids = np.empty(len(some), dtype=object)
+                    for j in range(len(some)):
+                        ids[j] = tuple(flat[ends[j] : ends[j + 1]])
+                    first = np.array([e[0][0] for e in ids], dtype=np.int64)
+                    tree, last = MTree(decode(some.field("v").to_pylist(), dim), 8 * PAGE), (dim, block)
+                key = (dim, pack)
+                if key not in held:
+                    while held and sum(len(x[0]) for x in held.values()) >= HELD:
+                        yield sent(next(iter(held)))
+                    rows = batch.column(4)[at].values.to_pylist()
+                    held[key] = (rows, decode(rows, dim), Best(len(rows), keep))
+                tree.search_many(held[key][1], held[key][2], first, ids)
+        for key in list(held):
+            yield sent(key)
 
-    found = pairs.sortWithinPartitions("dim", "block").select("dim", "block", "rows", "pack_rows").mapInPandas(search, "query_id long, vec_id long, score long")
+    top = "array<struct<score: bigint, vec_id: bigint>>"
+    found = pairs.sortWithinPartitions("dim", "block", "pack").select("dim", "block", "rows", "pack", "pack_rows").mapInArrow(search, f"dim int, v binary, top {top}")
+    merged = found.groupBy("dim", "v").agg(F.flatten(F.collect_list("top")).alias("top"))
+    ordered = F.transform(F.array_sort(F.transform("top", lambda x: F.struct((-x["score"]).alias("down"), x["vec_id"].alias("vec_id")))), lambda x: F.struct((-x["down"]).alias("score"), x["vec_id"].alias("vec_id")))
+    merged = merged.select("dim", "v", F.slice(ordered, 1, k + k * most).alias("top"))
+    own = asked.withColumnRenamed("vec_id", "query_id").join(merged, ["dim", "v"])
+    rows = own.select("query_id", F.explode(F.slice(F.filter("top", lambda x: x["vec_id"] != F.col("query_id")), 1, k)).alias("x")).select("query_id", "x.vec_id", "x.score")
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return rows.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
