@@ -174,3 +174,22 @@ def test_written_rounds_can_be_dropped(spark):
     a, n = r.keep_seen(spark.range(5), F.count("*"))
     assert n == 5 and a.count() == 5
     r.drop_all()
+
+
+def test_nearest_vectors_of_copies_and_odd_rows(spark, tmp_path):
+    """Copies, scaled vectors, zeros, nulls, repeated ids and two lengths, against all pairs of rows."""
+    rng = np.random.default_rng(3)
+    some = [[float(x) for x in rng.normal(size=6)] for _ in range(9)]
+    rows = [(i, some[i % 9]) for i in range(120)] + [(200 + i, [2.0 * x for x in some[i]]) for i in range(4)]
+    rows += [(5, some[1]), (5, some[5]), (30, some[3]), (300, [0.0] * 6), (301, None), (None, some[0]), (302, [1.0, 2.0]), (303, [2.0, 1.0])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(4).write.parquet(f"{tmp_path}/embeddings.parquet")
+    got = {}
+    for r in graphs.vector_knn(spark, str(tmp_path), block=2, pack=3).collect():
+        got.setdefault(r.src, []).append(r.dst)
+    fine = [(i, np.array(v)) for i, v in rows if i is not None and v is not None and any(v)]
+    unit = [(i, v / np.linalg.norm(v)) for i, v in fine]
+    want = {}
+    for i in {i for i, _ in unit}:
+        best = sorted((-round(float(a @ b), 9), j) for s, a in unit if s == i for j, b in unit if j != i and len(a) == len(b))[:10]
+        want[i] = sorted(j for _, j in best)
+    assert {i: sorted(x) for i, x in got.items()} == want
