@@ -1,8 +1,13 @@
 """Samples of the fits: copies count once, whole texts are read, rare languages stay."""
 
+import tracemalloc
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
-from walkstream.llm import langid, mixing, pii
+from walkstream.llm import langid, mixing, pii, vocab
+from walkstream.llm import textkernel as tk
 
 
 def test_copies_do_not_fill_the_personal_data_fit(spark):
@@ -46,3 +51,22 @@ def test_source_mix_meets_targets_with_repeated_rows(spark):
     for r in cp.source_mix(spark, docs, "").collect():
         got[r.source] = got.get(r.source, 0) + len(r.text.split())
     assert all(abs(got[s] - goal[s]) <= 1 for s in goal)
+
+
+def test_language_id_holds_little_of_a_large_batch():
+    pieces = vocab.load_pieces()
+    trie = langid._trie(pieces)
+    model = langid.LanguageModel(("a", "b"), pieces, np.random.default_rng(3).normal(-9, 1, (len(pieces.pieces), 2)))
+    texts = pd.Series([" ".join(f"word{k}of{d}" for k in range(2_000)) for d in range(200)])
+    some = texts.iloc[:4].reset_index(drop=True)
+    langid.predict_texts(model, some)
+    tracemalloc.start()
+    name, score = langid.predict_texts(model, texts)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 80 << 20
+    alone = langid.predict_texts(model, some)
+    assert list(name[:4]) == list(alone[0]) and np.allclose(score[:4], alone[1])
+    assert langid._trie(pieces) is trie
+    tk.forget()
+    assert langid._trie(pieces) is not trie

@@ -27,6 +27,8 @@ from . import textkernel as tk
 from .vocab import PieceVocab, load_pieces
 from .vocab import piece_trie as _trie
 
+#: Texts are taken in slices of about so many characters, words in blocks of so many bytes: what a worker holds at once.
+SLICE, BLOCK = 1 << 21, 1 << 17
 #: Probability of any single byte that no piece covers.
 BYTE_FLOOR = 1e-9
 
@@ -125,7 +127,7 @@ def word_scores(trie: tk.Trie, log_probs: np.ndarray, buf: np.ndarray, offsets:
     n_long = int((size > SHORT).sum())
     for some, short in ((order[:n_long], False), (order[n_long:], True)):
         own, ends = tk.gather_spans(buf, offsets[:-1][some], size[some])
-        for lo, hi in tk.word_blocks(ends, 1 << 19):
+        for lo, hi in tk.word_blocks(ends, BLOCK):
             b, o = own[ends[lo] : ends[hi]], ends[lo : hi + 1] - ends[lo]
             if short:
                 out[some[lo:hi]] = _short_scores(trie, probs, b, o)
@@ -141,7 +143,7 @@ def expected_counts(trie: tk.Trie, log_probs: np.ndarray, buf: np.ndarray, offse
     n_langs = log_probs.shape[1]
     probs = _with_floor(log_probs)
     total = np.zeros((len(probs), n_langs))
-    for lo, hi in tk.word_blocks(offsets, 1 << 18):
+    for lo, hi in tk.word_blocks(offsets, BLOCK // 2):
         b, o = buf[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]
         start, end, piece, rank = arcs = _lattice(trie, b, o)
         alpha, taken = _forward(arcs, probs, o, n_langs)
@@ -204,7 +206,7 @@ def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "tex
         def partial(batches: Iterator[pd.DataFrame], sent=sent) -> Iterator[pd.DataFrame]:
             trie = _trie(vocab_sent.value)
             total = np.zeros((n_pieces, len(langs)))
-            for pdf in batches:
+            for pdf in (batch.iloc[rows] for batch in batches for rows in tk.slices(batch["_text"].str.len(), SLICE)):
                 b, o, codes, doc = _batch_words(pdf["_text"])
                 which = pdf["_lang"].map(index).to_numpy(dtype=np.int64)
                 weight = np.zeros((len(o) - 1, len(langs)))
@@ -221,7 +223,7 @@ def train(labelled: DataFrame, vocab: PieceVocab | None = None, text: str = "tex
     return LanguageModel(langs, vocab, log_probs)
 
 
-def predict_texts(model: LanguageModel, text: pd.Series, temper: float = 40.0, slice_chars: int = 1 << 22) -> tuple[np.ndarray, np.ndarray]:
+def predict_texts(model: LanguageModel, text: pd.Series, temper: float = 40.0, slice_chars: int = SLICE) -> tuple[np.ndarray, np.ndarray]:
     """(language or und, score) of each text; works through slices of about `slice_chars`, which bounds working memory."""
     found = [_predict_slice(model, text.iloc[rows], temper) for rows in tk.slices(text.str.len().fillna(0), slice_chars)]
     if not found:

@@ -102,6 +102,7 @@ def sketch(docs: DataFrame, words: int = 5, doc_id: str = "doc_id", text: str =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
 
+        tk.forget()
         for batch in batches:
             sizes, keys, minima, sigs = [], [], [], []
             for s in shingle_sets(batch.column(1), words):

@@ -483,6 +483,7 @@ def find(docs: DataFrame, weights: Weights, text: str = "text") -> DataFrame:
 
     @F.pandas_udf(f"base {_SPANS}, every {_SPANS}")
     def udf(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        tk.forget()
         named = lambda spans: [dict(zip(("kind", "start", "end"), s, strict=True)) for s in spans]
         field = Field(weights) if weights else {}
         for batch in batches:
@@ -499,6 +500,7 @@ def mask(docs: DataFrame, weights: Weights, text: str = "text") -> DataFrame:
 
     @F.pandas_udf("string")
     def udf(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        tk.forget()
         field = Field(weights) if weights else {}
         for batch in batches:
             out = [_masked(t, _all_spans(t, field)[1]) if isinstance(t, str) else None for t in batch]

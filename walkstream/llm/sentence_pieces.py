@@ -246,7 +246,7 @@ def follow(maps: list[np.ndarray]) -> list[int]:
     return states[::-1]
 
 
-@functools.lru_cache(maxsize=1)
+@tk.keep_last
 def encoder(vocab: PieceVocab) -> Encoder:
     return Encoder(vocab)
 

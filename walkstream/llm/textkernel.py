@@ -7,6 +7,8 @@ ones; costly work is then done once per distinct word of the batch. All working
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
@@ -208,3 +210,20 @@ def give_back() -> None:
     trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
     if trim is not None:
         trim(0)
+
+
+_kept: list = []
+
+
+def keep_last(build):
+    """A cache of the last value made in a worker, which `forget` empties."""
+    kept = functools.lru_cache(maxsize=1)(build)
+    _kept.append(kept)
+    return kept
+
+
+def forget() -> None:
+    """Drop what earlier operators kept in a reused worker (tries, encoders), for operators that need none of it."""
+    for kept in _kept:
+        kept.cache_clear()
+    give_back()

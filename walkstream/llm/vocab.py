@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import functools
 import os
 from dataclasses import dataclass
 
@@ -53,7 +52,7 @@ def load_pieces(path: str | None = None) -> PieceVocab:
     return PieceVocab(f"{path}:{len(pieces)}", tuple(pieces), tuple(scores), tuple(kinds))
 
 
-@functools.lru_cache(maxsize=1)
+@tk.keep_last
 def piece_trie(vocab: PieceVocab) -> tk.Trie:
     """One trie for all operators of a worker."""
     known = [(p, i) for i, (p, k) in enumerate(zip(vocab.pieces, vocab.kinds, strict=True)) if k == "piece"]
