@@ -193,3 +193,30 @@ def test_nearest_vectors_of_copies_and_odd_rows(spark, tmp_path):
         best = sorted((-round(float(a @ b), 9), j) for s, a in unit if s == i for j, b in unit if j != i and len(a) == len(b))[:10]
         want[i] = sorted(j for _, j in best)
     assert {i: sorted(x) for i, x in got.items()} == want
+
+
+def test_rounds_within_reach_of_the_sources_match_joined_ones(spark, monkeypatch):
+    """Copies of a graph that the sources don't reach are left out, and the states are those of whole rounds."""
+    ring = [(c * 100 + i, c * 100 + (i + k) % 20, None) for c in range(6) for i in range(20) for k in (1, 3)] + [(7, 99, None)]
+    edges = spark.createDataFrame(ring, "src long, dst long, ts timestamp")
+    sources, p = spark.createDataFrame([(3,), (99,), (104,), (7777,)], "source long"), PprParams.for_graph(121)
+    starts = sources.select(F.col("source").alias("node"))
+    few, n = push.PushGraph(edges).near(starts, 100)
+    assert few.count() == 81 and n == 41  # two of six copies and the dead end
+    assert push.PushGraph(edges).near(starts, 80)[0] is None
+    monkeypatch.setattr(push, "NEAR_EDGES", 100)
+    monkeypatch.setattr(push, "rounds_of", None)  # no joined round is planned
+
+    def take():
+        rows = push.forward_push(edges, sources, p, 1e-3).collect()
+        first = push.forward_push(edges, sources, p, 1e-2, max_rounds=2)
+        again = push.forward_push(edges, sources, p, 1e-3, init=first).collect()
+        exact = push.power_ppr(edges, sources, p, rounds=16).collect()
+        return [{tuple(r[:2]): tuple(r[2:]) for r in x} for x in (rows, again, exact)]
+
+    near = take()
+    monkeypatch.undo()
+    monkeypatch.setattr(push, "NEAR_EDGES", 0)
+    for a, b in zip(near, take(), strict=True):
+        assert a.keys() == b.keys()
+        assert all(x == pytest.approx(b[k], abs=1e-12) for k, x in a.items())
