@@ -11,11 +11,11 @@ from pyspark.sql.window import Window
 from ..functions.params import PprParams
 from ..plans.iterate import Rounds
 from ..plans.store import StateStore
-from .graph import adjacency, apply_updates, degrees, graph_size, normalize_updates
+from .graph import apply_updates, degrees, graph_size, normalize_updates
 from .push import PushGraph, backward_push, forward_push
 from .query import query_indexed, query_online, query_topk, refine, topk_by_levels, topk_online
 from .repair import IndexState, apply_batch, build_state, touched_nodes
-from .walks import advance, build_walk_index, counted, new_walks, walk_ends
+from .walks import build_walk_index, counted, new_walks, walk_ends, walk_on
 
 UPDATE = "tau long, op string, src long, dst long"
 
@@ -87,9 +87,9 @@ class RebuildEngine(OnlineEngine):
         self._build()
 
     def _build(self) -> int:
-        walks, n = self.rounds.keep_seen(build_walk_index(self.edges, self.p, epoch=self.epoch, store="ends"), F.count("*"))
+        walks = build_walk_index(self.edges, self.p, epoch=self.epoch, store="ends", rounds=self.rounds)
         self.state = IndexState(self.edges, walks, self.p, self.epoch)
-        return n
+        return walks.count()
 
     def update(self, updates: DataFrame) -> dict:
         built = 0
@@ -159,7 +159,8 @@ class LazyEngine:
         self.rounds = Rounds(edges.sparkSession, "lazy")
         self.p, self.undirected, self.optimistic, self.skip, self.batch = p, undirected, optimistic, skip_when_safe, batch
         rounds = Rounds(edges.sparkSession, "state")
-        self.state = IndexState(rounds.keep(edges.select("src", "dst")), rounds.keep(build_walk_index(edges, p, store="ends")), p)
+        own = rounds.keep(edges.select("src", "dst"))
+        self.state = IndexState(own, build_walk_index(own, p, store="ends", rounds=rounds), p)
         self.sigma = edges.sparkSession.createDataFrame([], "node long, sigma double")
         self.floor = self.total_bound = 0.0
         self.skipped = self.rebuilt = self.rebuilt_nodes = 0
@@ -202,7 +203,7 @@ class LazyEngine:
         d = degrees(s.edges)
         want = d.join(plan, "node", "left_semi").select(F.col("node").alias("source"), p.walks_stored(F.col("out_deg")).alias("want"))
         starts = counted(want, F.lit(0), F.col("want")).select("source", "slot")
-        fresh = walk_ends(advance(new_walks(starts, p, epoch), adjacency(s.edges), d, p, epoch))
+        fresh = walk_ends(walk_on(new_walks(starts, p, epoch), s.edges, p, epoch, self.rounds))
         rest = s.walks.join(plan.select(F.col("node").alias("source")), "source", "left_anti")
         self.state = IndexState(s.edges, self.rounds.keep(rest.unionByName(fresh)), p, s.epoch)
         self.sigma = self.rounds.keep(self.sigma.join(plan, "node", "left_anti").unionByName(plan.select("node", F.lit(-float(self.floor)).alias("sigma"))))

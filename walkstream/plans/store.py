@@ -8,9 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.params import PprParams
-from ..operators.graph import adjacency, apply_updates, degrees
+from ..operators.graph import apply_updates
 from ..operators.repair import IndexState, repair
-from ..operators.walks import advance, advance_near, crossings_of
+from ..operators.walks import advance_near, crossings_of, walk_on
 from .iterate import Rounds, remove
 
 _ID = "walk_id struct<source: bigint, slot: bigint, epoch: bigint>"
@@ -162,7 +162,7 @@ class StoreView:
         walks, n = rounds.keep_seen(walks, F.count("*"))
         if n >= self.store.parts:
             edges = rounds.keep(apply_updates(self.store.table("edges", meta=self.meta), net))
-            return advance(walks, adjacency(edges), degrees(edges), p, epoch, rounds=rounds)
+            return walk_on(walks, edges, p, epoch, rounds)
         gone, come = net.where("op = '-'").select("src", "dst"), net.where("op = '+'").select("src", "dst")
 
         def edges_at(nodes: DataFrame) -> DataFrame:
