@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from walkstream.functions.draws import Texts
 from walkstream.functions.params import PprParams
-from walkstream.operators import query, task_walks, walks
+from walkstream.operators import metrics, query, repair, task_walks, walks, workloads
 from walkstream.operators.graph import adjacency, degrees
 from walkstream.plans.iterate import Rounds
 
@@ -85,3 +85,12 @@ def test_queries_make_no_supersteps(spark, monkeypatch):
     got = {(r.source, r.node): r.score for r in query.query_monte_carlo(e, s, P, walks=500).collect()}
     assert abs(sum(v for (a, _), v in got.items() if a == 0) - 1) < 1e-9 and got[99, 99] == 1
     assert query.query_online(e, s, P, mode="balanced").where("source = 0").agg(F.sum("score")).first()[0] == pytest.approx(1)
+
+
+def test_raw_bytes_need_no_index(spark, monkeypatch):
+    """The written index of x_memory passed its disk on large tables."""
+    e = frame(spark)
+    want = {r.table_name: r.n_bytes for r in metrics.size_report(repair.build_state(e, P)).collect()}
+    monkeypatch.setattr(workloads, "build_state", None)
+    assert workloads.raw_bytes(e, P) == want
+    assert set(workloads.memory_of_methods(e, P, files=False)["eager"]) == {"raw"}
