@@ -36,7 +36,7 @@ CROSSING = -2
 #: Matrices are combined by blocks of so many chunks, so that a task holds no more of a text.
 SCAN_BLOCK = 256
 #: Characters of texts that are encoded at once.
-SLICE = 1 << 19
+SLICE = 1 << 18
 
 
 class Encoder:
@@ -291,6 +291,7 @@ def encode(docs: DataFrame, text: str = "text", vocab: PieceVocab | None = None,
                 parts.append(pd.DataFrame({"ids": _binary(ids.astype("<i4"), offsets, 4, own.isna().to_numpy()), "ok": ok}))
             tk.give_back()
             yield pd.concat(parts, ignore_index=True) if parts else pd.DataFrame({"ids": pd.Series([], dtype=object), "ok": pd.Series([], dtype=bool)})
+        tk.forget()  # else every worker that waits for a task holds an encoder
 
     docs = docs.drop("piece_ids", *["round_trip"] * verify)
     giant = F.coalesce(F.octet_length(text) > chunk_bytes, F.lit(False))
@@ -329,6 +330,7 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int, states: int) -> Dat
         for pdf in batches:
             tk.give_back()
             yield pd.DataFrame({"_text_key": pdf["_text_key"], "part": pdf["part"], "block": pdf["part"] // SCAN_BLOCK, "matrix": [enc.transfer(np.frombuffer(r, dtype=np.uint8), n).tobytes() for r, n in zip(pdf["raw"], pdf["size"], strict=True)]})
+        tk.forget()
 
     def unpack(pdf: pd.DataFrame) -> list[np.ndarray]:
         return [np.frombuffer(m, dtype=np.int64).reshape(states, states) for m in pdf["matrix"]]
@@ -348,9 +350,11 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int, states: int) -> Dat
         return pd.DataFrame({"_text_key": pdf["_text_key"], "part": pdf["part"], "entry": [e.tobytes() for e in enter]})
 
     @F.pandas_udf("array<long>")
-    def maps(raw: pd.Series, size: pd.Series, entry: pd.Series) -> pd.Series:
+    def maps(batches: Iterator[tuple[pd.Series, pd.Series, pd.Series]]) -> Iterator[pd.Series]:
         enc = encoder(sent.value)
-        return pd.Series([enc.entry_of(np.frombuffer(r, dtype=np.uint8), n, np.frombuffer(e, dtype=np.int64)) for r, n, e in zip(raw, size, entry, strict=True)], dtype=object)
+        for raw, size, entry in batches:
+            yield pd.Series([enc.entry_of(np.frombuffer(r, dtype=np.uint8), n, np.frombuffer(e, dtype=np.int64)) for r, n, e in zip(raw, size, entry, strict=True)], dtype=object)
+        tk.forget()
 
     def chain(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("part")
@@ -365,14 +369,16 @@ def _encode_giants(found: DataFrame, sent, chunk_bytes: int, states: int) -> Dat
     cuts = mapped.groupBy("_text_key").applyInPandas(chain, "_text_key string, part long, enter long, leave long")
 
     @F.pandas_udf("binary")
-    def solve(raw: pd.Series, size: pd.Series, enter: pd.Series, leave: pd.Series) -> pd.Series:
+    def solve(batches: Iterator[tuple[pd.Series, pd.Series, pd.Series, pd.Series]]) -> Iterator[pd.Series]:
         enc = encoder(sent.value)
-        out = []
-        for r, n, i, j in zip(raw, size, enter, leave, strict=True):
-            own = np.frombuffer(r, dtype=np.uint8)[i : n + j]
-            out.append(enc.encode_buffer(own, np.array([0, len(own)]))[0].astype("<i4").tobytes())
-        tk.give_back()
-        return pd.Series(out, dtype=object)
+        for raw, size, enter, leave in batches:
+            out = []
+            for r, n, i, j in zip(raw, size, enter, leave, strict=True):
+                own = np.frombuffer(r, dtype=np.uint8)[i : n + j]
+                out.append(enc.encode_buffer(own, np.array([0, len(own)]))[0].astype("<i4").tobytes())
+            tk.give_back()
+            yield pd.Series(out, dtype=object)
+        tk.forget()
 
     traced = chunks.join(cuts, ["_text_key", "part"]).select("_text_key", "part", F.hex(solve("raw", "size", "enter", "leave")).alias("ids"))
     joined = traced.groupBy("_text_key").agg(F.sort_array(F.collect_list(F.struct("part", "ids"))).alias("parts"))  # one text's pieces
@@ -395,6 +401,7 @@ def decode(df: DataFrame, vocab: PieceVocab | None = None, ids: str = "piece_ids
                 own = np.frombuffer(b, dtype="<i4")
                 out.append(enc.decode_ids(own, np.array([0, len(own)]))[0].tobytes()[1:].decode("utf-8", "replace"))
             yield pd.Series(out, dtype=object)
+        tk.forget()
 
     return df.withColumn(to, udf(F.col(ids)))
 

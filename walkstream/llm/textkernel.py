@@ -18,7 +18,7 @@ from .common import SPACE_BYTES
 _U = np.uint64
 #: Multipliers of the hash; odd, so that they can be inverted modulo 2^64 (fixed values).
 _BASE = 0x9E3779B97F4A7C15
-_STEP = 1 << 20
+_STEP = 1 << 17
 
 
 def _powers(base: int, n: int) -> np.ndarray:
@@ -91,7 +91,7 @@ def split_words(buf: np.ndarray, offsets: np.ndarray, sep: np.ndarray = SPACES)
 
 
 def hash_spans(buf: np.ndarray, start: np.ndarray, length: np.ndarray, values: np.ndarray) -> np.ndarray:
-    """64-bit hash of each span; spans are in order and don't overlap. Works through about a megabyte at a time."""
+    """64-bit hash of each span; spans are in order and don't overlap. Works through about `_STEP` bytes at a time."""
     out = np.empty(len(start), dtype=_U)
     at = 0
     while at < len(start):
@@ -226,4 +226,5 @@ def forget() -> None:
     """Drop what earlier operators kept in a reused worker (tries, encoders), for operators that need none of it."""
     for kept in _kept:
         kept.cache_clear()
+    _cache.clear()
     give_back()
