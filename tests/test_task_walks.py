@@ -94,3 +94,23 @@ def test_raw_bytes_need_no_index(spark, monkeypatch):
     monkeypatch.setattr(workloads, "build_state", None)
     assert workloads.raw_bytes(e, P) == want
     assert set(workloads.memory_of_methods(e, P, files=False)["eager"]) == {"raw"}
+
+
+@pytest.mark.parametrize("beta", [0.5, 2.0])
+def test_counted_repairs_are_those_of_the_batch(spark, beta, monkeypatch):
+    monkeypatch.setattr(task_walks, "TASK_WALKS", 50)
+    monkeypatch.setattr(task_walks, "TOGETHER", 64)
+    monkeypatch.setattr(task_walks, "PIECE", 7)
+    p = PprParams.for_graph(12, beta=beta)
+    edges = frame(spark)
+    some = [(1, "+", 0, 9), (2, "-", 0, 3), (3, "-", 4, 0), (4, "-", 4, 7), (5, "+", 40, 2), (6, "+", 40, 77), (7, "-", 2, 2**61), (8, "+", 0, 8), (9, "-", 1, 500), (10, "+", 900, 1), (11, "-", 7, 0)]
+    batches = [spark.createDataFrame(rows, "tau long, op string, src long, dst long") for rows in (some, some[:1], [r for r in some if r[1] == "-"], [(1, "-", 500, 501)])]
+    base = repair.build_state(edges, p)
+    want = [repair.apply_batch(base, b).stats for b in batches]
+    assert want[0]["repaired"] and want[0]["trimmed"] and want[0]["added"]
+
+    def unbuilt(*_, **__):
+        raise AssertionError("an index was built")
+
+    monkeypatch.setattr(workloads, "build_state", unbuilt)
+    assert workloads.repair_counts(edges, batches, p) == want
