@@ -3,7 +3,7 @@
 import pytest
 
 from walkstream.functions.params import PprParams
-from walkstream.operators import push, task_push
+from walkstream.operators import push, query, repair, task_push
 
 P = PprParams.for_graph(120)
 EDGES = [(c * 100 + i, c * 100 + (i + k) % 20, None) for c in range(6) for i in range(20) for k in (1, 3)] + [(7, 99, None), (-5, 2**61, None), (3, -5, None)]
@@ -39,3 +39,13 @@ def test_rounds_on_a_held_graph_match_joined_ones(spark, monkeypatch):
     for some in held:
         for a, b in zip(some, joined, strict=True):
             close(a, b)
+
+
+def test_queries_on_a_new_index_draw_only_the_walks_they_take(spark, monkeypatch):
+    edges = spark.createDataFrame([e[:2] for e in EDGES], "src long, dst long").coalesce(2)
+    sources = spark.createDataFrame([(3,), (104,), (7777,)], "source long")
+    state = repair.build_state(edges, P, store="ends")
+    monkeypatch.setattr(query, "build_state", None)  # no index is built
+    close(by_key(query.query_new(edges, sources, P).collect()), by_key(query.query_indexed(state, sources).collect()))
+    keyed = lambda df: {(r["source"], r["rank"]): (r["score"],) for r in df.collect()}
+    close(keyed(query.query_new(edges, sources, P, 5)), keyed(query.query_topk(state, sources, 5)))

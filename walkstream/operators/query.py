@@ -13,7 +13,8 @@ from ..functions.params import PprParams
 from ..plans.iterate import Rounds
 from .graph import graph_size
 from .push import NEAR_EDGES, PushGraph, forward_push, power_push
-from .repair import IndexState
+from .repair import IndexState, build_state
+from .task_push import shares_in_tasks
 from .walks import crossings_of, end_counts, fresh_counts, fresh_ends, walk_ends
 
 
@@ -56,6 +57,39 @@ def query_indexed(state: IndexState, sources: DataFrame, p: PprParams | None = N
     return refine(push, walk_ends(state.walks), p, state.zero_hop, budget)
 
 
+def refine_drawn(g: PushGraph, push: DataFrame, q: PprParams, p: PprParams, epoch: int = 0) -> DataFrame | None:
+    """`refine` at the threshold of q by the endpoints of a new index of p, of which only the walks that it takes are drawn; None where tasks
+    can't hold the graph."""
+    left = push.where("residue > 0").select("source", F.col("node").alias("via"), "residue", F.least(q.walks_needed(F.col("residue")), p.walks_stored(F.col("out_deg"))).alias("n"))
+    mass = F.col("residue") * (1 - q.alpha)
+    shares = shares_in_tasks(g.given, g.size, left.where("n > 0").select("source", "via", "n", (mass / F.col("n")).alias("share")), p, epoch)
+    if shares is None:
+        return None
+    own = left.select("source", F.col("via").alias("node"), (F.col("residue") * q.alpha + F.when(F.col("n") > 0, 0.0).otherwise(mass)).alias("score"))
+    return total(_reserve(push), own, shares)
+
+
+def query_new(edges: DataFrame, sources: DataFrame, p: PprParams, k: int | None = None) -> DataFrame:
+    """`query_indexed`, or with k the iterative `query_topk`, on a new endpoint index of the edges, which is only built where tasks can't hold the
+    graph: else each walk is drawn when the query takes it."""
+    g, states = PushGraph(edges), []
+
+    def refined(push: DataFrame, q: PprParams) -> DataFrame:
+        drawn = refine_drawn(g, push, q, p) if not states else None
+        if drawn is not None:
+            return drawn
+        if not states:
+            states.append(build_state(edges, p, store="ends"))
+        return refine(push, walk_ends(states[0].walks), q, states[0].zero_hop)
+
+    def push(left: DataFrame, q: PprParams, before: DataFrame | None = None) -> DataFrame:
+        return forward_push(edges, left, q, q.x / q.omega, init=before, graph=g)
+
+    if k is None:
+        return refined(push(sources, p), p)
+    return topk_by_levels(sources, k, p, lambda left, delta, before: push(left, replace(p, delta=delta), before), lambda s, delta: refined(s, replace(p, delta=delta)), Rounds(edges.sparkSession, "topk"))
+
+
 def query_by_visits(state: IndexState, sources: DataFrame, p: PprParams | None = None) -> DataFrame:
     """Estimator that counts every visit of a stored path, start included: a score is alpha times expected visits."""
     p, g = p or state.params, state.push_graph

@@ -11,7 +11,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .task_walks import TASK_EDGES, Held, _held, graph_rows
+from ..functions.params import PprParams
+from ..plans.iterate import Rounds
+from .task_walks import TASK_EDGES, TASK_WALKS, TOGETHER, Held, _held, _walk, graph_rows
 
 #: Edges of a round that are taken together, copies of a graph's edges that are dealt out, and sources up to which each is dealt by its rank.
 BLOCK, COPIES, DEALT = 1 << 21, 8, 1000
@@ -75,7 +77,10 @@ def held_rounds(g: Held, reserve: np.ndarray, residue: np.ndarray, alpha: float,
 
 
 def graph_in(table: pa.Table, some: np.ndarray) -> Held:
-    return _held([tuple(r[c] for c in ("kind", "first", "second", "a", "b", "c", "base")) for r in table.to_pylist()], some)
+    """The graph of these pieces, whose bytes are read where they lie."""
+    kind, first, second, base = (table.column(c).to_pylist() for c in ("kind", "first", "second", "base"))
+    a, b, c = ([v.as_buffer() for v in table.column(x)] for x in "abc")
+    return _held(list(zip(kind, first, second, a, b, c, base, strict=True)), some)
 
 
 def with_pack(rows: DataFrame, key: str, packs: int) -> DataFrame:
@@ -119,3 +124,57 @@ def pushed_in_tasks(edges: DataFrame, m: int, state: DataFrame, alpha: float, r_
     dealt = with_pack(state.select("source", "node", "reserve", "residue", "out_deg"), "source", packs)
     copies = rows.withColumn("pack", F.explode(F.sequence(F.lit(0), F.lit(packs - 1))))
     return dealt.groupBy("pack").cogroup(copies.groupBy("pack")).applyInArrow(run, STATE)
+
+
+#: Numbers (sources times nodes) that a task sums shares in.
+SUMS = 20_000_000
+
+
+def shares_in_tasks(edges: DataFrame, size: tuple[int, int], need: DataFrame, p: PprParams, epoch: int = 0, zero_hop: bool = False) -> DataFrame | None:
+    """(source, node, score): each row of `need` (source, via, n, share) gives its share to the ends of the walks 0, ..., n - 1 of `via`,
+    which are drawn for all sources at once and aren't written. A node may come more than once. None as for `walks_in_tasks`, or for too many sources."""
+    n_nodes, m = size
+    if p.fast_hash or m > TASK_EDGES:
+        return None
+    need, walks = Rounds(edges.sparkSession, "need").keep_seen(need.select("source", "via", F.col("n").cast("long").alias("n"), "share"), F.sum("n"))
+    if need.select("source").distinct().count() * n_nodes > SUMS:
+        return None
+    rows = graph_rows(edges)
+    if rows is None:
+        return None
+    packs = packs_for(edges.sparkSession, m, walks // TASK_WALKS)
+
+    def run(own: pa.Table, graph: pa.Table) -> pa.Table:
+        source, via, n, share = (own.column(c).to_numpy() for c in ("source", "via", "n", "share"))
+        if not len(source):
+            return pa.table([source, via, share], names=["source", "node", "score"])
+        g = graph_in(graph, via)
+        nodes, which = np.unique(via, return_inverse=True)
+        births = g.find(nodes)
+        whose, row = np.unique(source, return_inverse=True)
+        use, each_gives = np.zeros((len(whose), len(nodes)), np.int64), np.zeros((len(whose), len(nodes)))
+        use[row, which], each_gives[row, which] = n, share
+        score = np.zeros((len(whose), len(g.nodes)))
+        upto = np.cumsum(use.max(axis=0))
+        lo, end = 0, int(upto[-1])
+        while lo < end:
+            hi = min(end, lo + TOGETHER)
+            first, last = np.searchsorted(upto, [lo, hi - 1], side="right")
+            some = np.arange(first, last + 1)
+            before = np.where(some > 0, upto[some - 1], 0)
+            k = np.repeat(some, np.minimum(upto[some], hi) - np.maximum(before, lo))
+            slot = np.arange(lo, hi) - np.where(k > 0, upto[k - 1], 0)
+            ends = _walk(g, births[k], slot, p, epoch, zero_hop, False)[1]
+            for s in range(len(whose)):
+                mine = slot < use[s][k]
+                np.add.at(score[s], ends[mine], each_gives[s][k[mine]])
+            lo = hi
+        out = []
+        for s, one in enumerate(whose):
+            got = np.flatnonzero(score[s])
+            out.append(pa.table([np.full(len(got), one), g.nodes[got], score[s][got]], names=["source", "node", "score"]))
+        return pa.concat_tables(out)
+
+    dealt = need.withColumn("pack", F.pmod(F.xxhash64("via"), F.lit(packs)).cast("int"))
+    copies = rows.withColumn("pack", F.explode(F.sequence(F.lit(0), F.lit(packs - 1))))
+    return dealt.groupBy("pack").cogroup(copies.groupBy("pack")).applyInArrow(run, "source long, node long, score double")
