@@ -3,7 +3,7 @@
 import pytest
 
 from walkstream.functions.params import PprParams
-from walkstream.operators import push, query, repair, task_push
+from walkstream.operators import engines, push, query, repair, task_push, workloads
 
 P = PprParams.for_graph(120)
 EDGES = [(c * 100 + i, c * 100 + (i + k) % 20, None) for c in range(6) for i in range(20) for k in (1, 3)] + [(7, 99, None), (-5, 2**61, None), (3, -5, None)]
@@ -49,3 +49,24 @@ def test_queries_on_a_new_index_draw_only_the_walks_they_take(spark, monkeypatch
     close(by_key(query.query_new(edges, sources, P).collect()), by_key(query.query_indexed(state, sources).collect()))
     keyed = lambda df: {(r["source"], r["rank"]): (r["score"],) for r in df.collect()}
     close(keyed(query.query_new(edges, sources, P, 5)), keyed(query.query_topk(state, sources, 5)))
+
+
+@pytest.mark.parametrize("undirected", [False, True])
+def test_staleness_in_tasks_is_that_of_joins(spark, monkeypatch, undirected):
+    edges = spark.createDataFrame([e[:2] for e in EDGES], "src long, dst long").coalesce(2)
+    touched = spark.createDataFrame([(3, 4, 1, 1, 4), (2**61, 0, 1, 0, 1), (99, 0, 2, 0, 2), (505, 2, 0, 1, 1), (7777, 0, 1, 0, 1)], "node long, a long, k long, gone long, b long")
+    monkeypatch.setattr(engines, "backward_push", None)
+    drawn, floor = engines.staleness_step(edges, touched, P, undirected)
+    drawn = {r.node: (r.sigma,) for r in drawn.collect()}
+    monkeypatch.undo()
+    monkeypatch.setattr(task_push, "TASK_EDGES", 0)
+    joined, other = engines.staleness_step(edges, touched, P, undirected)
+    close(drawn, {r.node: (r.sigma,) for r in joined.collect()})
+    assert floor == pytest.approx(other) and floor > 0
+
+
+def test_staleness_alone_builds_no_index(spark, monkeypatch):
+    edges = spark.createDataFrame([e[:2] for e in EDGES], "src long, dst long").coalesce(2)
+    monkeypatch.setattr(engines, "build_walk_index", None)
+    got = workloads.insert_vs_delete(edges, P, 4, ("lazy",), timed=False)
+    assert [r["op"] for r in got] == ["insert", "delete"] and all(r["staleness"] > 0 for r in got)

@@ -15,6 +15,7 @@ from .graph import apply_updates, degrees, graph_size, normalize_updates
 from .push import PushGraph, backward_push, forward_push
 from .query import query_indexed, query_online, query_topk, refine, topk_by_levels, topk_online
 from .repair import IndexState, apply_batch, build_state, touched_nodes
+from .task_push import stale_in_tasks
 from .walks import build_walk_index, counted, new_walks, walk_ends, walk_on
 
 UPDATE = "tau long, op string, src long, dst long"
@@ -117,7 +118,12 @@ def staleness_step(edges: DataFrame, touched: DataFrame, p: PprParams, undirecte
     n, m = graph_size(edges)
     stale = F.when(F.col("a") == 0, 1.0).otherwise((F.col("gone") + (F.col("a") - F.col("gone")) * F.when(F.col("b") > 0, F.col("k") / F.col("b")).otherwise(0.0)) / F.col("a"))
     rate = touched.select(F.col("node").alias("target"), (stale / p.alpha).alias("rate"))
-    back = backward_push(edges, rate.select("target"), p, p.backward_r_max(m, n, undirected), scale_by_degree=undirected).join(rate, "target")
+    r_b = p.backward_r_max(m, n, undirected)
+    drawn = stale_in_tasks(edges, m, rate, p.alpha, r_b, undirected)
+    if drawn is not None:
+        drawn = Rounds(edges.sparkSession, "stale").keep(drawn)
+        return drawn.where("node is not null").groupBy("node").agg(F.sum("sigma").alias("sigma")), drawn.agg(F.sum("floor")).first()[0] or 0.0
+    back = backward_push(edges, rate.select("target"), p, r_b, scale_by_degree=undirected).join(rate, "target")
     bound = lambda reserve: F.least(F.lit(1.0), (reserve + F.col("limit")) * F.col("rate"))
     floor = back.groupBy("target").agg(F.first(bound(F.lit(0.0))).alias("f")).agg(F.sum("f")).first()[0] or 0.0
     more = back.select("node", (bound(F.col("reserve")) - bound(F.lit(0.0))).alias("sigma"))
@@ -153,18 +159,25 @@ def lazy_plan(sigma: DataFrame, push: DataFrame, allowed: float, floor: float =
 class LazyEngine:
     """Stored endpoints; updates only trace staleness, queries rebuild the worst nodes' walks. The error is split by theta;
     optimistic: the push runs at the full error. Staleness is sigma (by node) plus a floor that all nodes share; a node whose
-    walks were rebuilt holds minus the floor of that time."""
+    walks were rebuilt holds minus the floor of that time. build: make the index now, else where it is first read."""
 
-    def __init__(self, edges: DataFrame, p: PprParams, undirected: bool = False, optimistic: bool = False, skip_when_safe: bool = True, batch: bool = True):
+    def __init__(self, edges: DataFrame, p: PprParams, undirected: bool = False, optimistic: bool = False, skip_when_safe: bool = True, batch: bool = True, build: bool = True):
         self.rounds = Rounds(edges.sparkSession, "lazy")
         self.p, self.undirected, self.optimistic, self.skip, self.batch = p, undirected, optimistic, skip_when_safe, batch
-        rounds = Rounds(edges.sparkSession, "state")
-        own = rounds.keep(edges.select("src", "dst"))
-        self.state = IndexState(own, build_walk_index(own, p, store="ends", rounds=rounds), p)
+        self.first = Rounds(edges.sparkSession, "state").keep(edges.select("src", "dst"))
+        self.state = IndexState(self.first, None, p)
+        if build:
+            self._indexed()
         self.sigma = edges.sparkSession.createDataFrame([], "node long, sigma double")
         self.floor = self.total_bound = 0.0
         self.skipped = self.rebuilt = self.rebuilt_nodes = 0
 
+    def _indexed(self) -> IndexState:
+        """The state with its index, which is that of the first edges until queries rebuild parts of it."""
+        if self.state.walks is None:
+            self.state = replace(self.state, walks=build_walk_index(self.first, self.p, store="ends"))
+        return self.state
+
     def _bound(self) -> None:
         self.total_bound = self.floor + max(0.0, self.sigma.agg(F.max("sigma")).first()[0] or 0.0)
 
@@ -199,7 +212,7 @@ class LazyEngine:
         plan, n = self.rounds.keep_seen(lazy_plan(self.sigma, push, allowed, self.floor), F.count("*"))
         if not n:
             return
-        s, p, epoch = self.state, self.p, self.state.epoch * 1000 + self.rebuilt + 1
+        s, p, epoch = self._indexed(), self.p, self.state.epoch * 1000 + self.rebuilt + 1
         d = degrees(s.edges)
         want = d.join(plan, "node", "left_semi").select(F.col("node").alias("source"), p.walks_stored(F.col("out_deg")).alias("want"))
         starts = counted(want, F.lit(0), F.col("want")).select("source", "slot")
@@ -214,7 +227,7 @@ class LazyEngine:
     def query(self, sources: DataFrame) -> DataFrame:
         push = self._push(sources, self.p.delta)
         self.fix(push, self.p.delta)
-        return refine(push, walk_ends(self.state.walks), self.p, self.state.zero_hop)
+        return refine(push, walk_ends(self._indexed().walks), self.p, self.state.zero_hop)
 
     def topk(self, sources: DataFrame, k: int) -> DataFrame:
         """The check and fix step follows each coarse push, as the baseline has it."""
@@ -222,7 +235,7 @@ class LazyEngine:
 
         def refine_at(state: DataFrame, delta: float) -> DataFrame:
             self.fix(state, delta)
-            return refine(state, walk_ends(self.state.walks), replace(self.p, delta=delta), self.state.zero_hop)
+            return refine(state, walk_ends(self._indexed().walks), replace(self.p, delta=delta), self.state.zero_hop)
 
         return topk_by_levels(sources, k, self.p, lambda left, delta, before: self._push(left, delta, before, g), refine_at, Rounds(self.state.edges.sparkSession, "topk"))
 

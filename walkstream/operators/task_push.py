@@ -178,3 +178,67 @@ def shares_in_tasks(edges: DataFrame, size: tuple[int, int], need: DataFrame, p:
     dealt = need.withColumn("pack", F.pmod(F.xxhash64("via"), F.lit(packs)).cast("int"))
     copies = rows.withColumn("pack", F.explode(F.sequence(F.lit(0), F.lit(packs - 1))))
     return dealt.groupBy("pack").cogroup(copies.groupBy("pack")).applyInArrow(run, "source long, node long, score double")
+
+
+def back_rounds(g: Held, out_deg: np.ndarray, target: int, limit: float, alpha: float) -> tuple[np.ndarray, np.ndarray]:
+    """Reserve and residue by node of `push.backward_push` for one target; g: the graph with its edges turned round."""
+    reserve, residue = np.zeros(len(g.nodes)), np.zeros(len(g.nodes))
+    residue[target] = 1.0
+    front = np.array([target] if limit <= 1.0 else [], dtype=np.int64)
+    while len(front):
+        moved = residue[front]
+        residue[front] = 0.0
+        total = np.where(out_deg[front] == 0, moved / alpha, moved)  # a self-loop's geometric series
+        reserve[front] += total * alpha
+        degree, met = g.degree[front], []
+        for lo, hi in blocks_of(degree):
+            to = edges_of(g, front[lo:hi], degree[lo:hi])
+            add = np.repeat(total[lo:hi] * (1 - alpha), degree[lo:hi]) / out_deg[to]
+            if 8 * len(to) > len(residue):
+                residue += np.bincount(to, weights=add, minlength=len(residue))
+                met.append(None)
+            else:
+                np.add.at(residue, to, add)
+                met.append(to)
+        if any(to is None for to in met):
+            front = np.flatnonzero(residue >= limit)
+        else:
+            front = np.unique(np.concatenate(met))
+            front = front[residue[front] >= limit]
+    return reserve, residue
+
+
+def stale_in_tasks(edges: DataFrame, m: int, rates: DataFrame, alpha: float, r_b: float, scale_by_degree: bool) -> DataFrame | None:
+    """What `engines.staleness_step` sums over the targets, each pushed back in one task: rows (node, sigma, floor), a node may come more than
+    once, and rows without a node that hold parts of the floor. rates: target, rate. None if the graph is too large for a task."""
+    if m > TASK_EDGES:
+        return None
+    rows = graph_rows(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+    if rows is None:
+        return None
+    rates, n = Rounds(edges.sparkSession, "rates").keep_seen(rates.select(F.col("target").cast("long").alias("target"), "rate"), F.count("*"))
+    packs = packs_for(edges.sparkSession, m, n)
+
+    def run(own: pa.Table, graph: pa.Table) -> pa.Table:
+        target, rate = (own.column(c).to_numpy() for c in ("target", "rate"))
+        if not len(target):
+            return pa.table([target, rate, rate], names=["node", "sigma", "floor"])
+        g = graph_in(graph, target)
+        at = g.find_all(target)
+        out_deg = np.zeros(len(g.nodes), dtype=np.int64)
+        if int(g.degree.sum()):
+            for lo in range(0, len(g.ends), BLOCK):
+                out_deg += np.bincount(g.ends[lo : lo + BLOCK], minlength=len(g.nodes))
+        sigma, met, floor = np.zeros(len(g.nodes)), np.zeros(len(g.nodes), dtype=bool), 0.0
+        for t, r in zip(at.tolist(), rate.tolist(), strict=True):
+            limit = r_b * max(int(out_deg[t]), 1) if scale_by_degree else r_b
+            reserve, residue = back_rounds(g, out_deg, t, limit, alpha)
+            least, some = min(1.0, limit * r), np.flatnonzero(reserve)
+            sigma[some] += np.minimum(1.0, (reserve[some] + limit) * r) - least
+            met |= (reserve > 0) | (residue > 0)
+            floor += least
+        k = np.flatnonzero(met)
+        return pa.table([pa.array([*g.nodes[k].tolist(), None], pa.int64()), np.append(sigma[k], 0.0), np.append(np.zeros(len(k)), floor)], names=["node", "sigma", "floor"])
+
+    copies = rows.withColumn("pack", F.explode(F.sequence(F.lit(0), F.lit(packs - 1))))
+    return with_pack(rates, "target", packs).groupBy("pack").cogroup(copies.groupBy("pack")).applyInArrow(run, "node long, sigma double, floor double")
