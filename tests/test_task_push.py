@@ -70,3 +70,21 @@ def test_staleness_alone_builds_no_index(spark, monkeypatch):
     monkeypatch.setattr(engines, "build_walk_index", None)
     got = workloads.insert_vs_delete(edges, P, 4, ("lazy",), timed=False)
     assert [r["op"] for r in got] == ["insert", "delete"] and all(r["staleness"] > 0 for r in got)
+
+
+def test_lazy_rebuilds_inside_tasks_and_twins_share_an_update(spark, monkeypatch):
+    edges = spark.createDataFrame([e[:2] for e in EDGES[:40]], "src long, dst long").coalesce(2)
+    ups = spark.createDataFrame([(1, "+", 0, 9), (2, "-", 3, 4)], "tau long, op string, src long, dst long")
+    sources = spark.createDataFrame([(3,)], "source long")
+    lazy = engines.LazyEngine(edges, PprParams.for_graph(120, beta=20.0))
+    lazy.update(ups)
+    twin, joined = lazy.twin(True), lazy.twin(False)
+    push_state = lazy._push(sources, P.delta)
+    rows = lambda e: sorted(tuple(r) for r in e.state.walks.select("source", "slot", "terminal").collect())
+    with monkeypatch.context() as m:
+        m.setattr(engines, "walk_on", None)  # the nodes' walks aren't joined
+        lazy.fix(push_state, 1e-9)
+    assert lazy.rebuilt == 1 and twin.rebuilt == 0 and twin.optimistic
+    monkeypatch.setattr(engines, "walks_in_tasks", lambda *a, **k: None)
+    joined.fix(push_state, 1e-9)
+    assert joined.rebuilt_nodes == lazy.rebuilt_nodes > 0 and rows(lazy) == rows(joined) != rows(twin)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from copy import copy
 from dataclasses import replace
 
 from pyspark.sql import DataFrame
@@ -16,6 +17,7 @@ from .push import PushGraph, backward_push, forward_push
 from .query import query_indexed, query_online, query_topk, refine, topk_by_levels, topk_online
 from .repair import IndexState, apply_batch, build_state, touched_nodes
 from .task_push import stale_in_tasks
+from .task_walks import walks_in_tasks
 from .walks import build_walk_index, counted, new_walks, walk_ends, walk_on
 
 UPDATE = "tau long, op string, src long, dst long"
@@ -172,6 +174,12 @@ class LazyEngine:
         self.floor = self.total_bound = 0.0
         self.skipped = self.rebuilt = self.rebuilt_nodes = 0
 
+    def twin(self, optimistic: bool) -> LazyEngine:
+        """An engine with this one's present state, which updates make alike for both; neither sees what the other does from now on."""
+        other = copy(self)
+        other.optimistic = optimistic
+        return other
+
     def _indexed(self) -> IndexState:
         """The state with its index, which is that of the first edges until queries rebuild parts of it."""
         if self.state.walks is None:
@@ -215,8 +223,10 @@ class LazyEngine:
         s, p, epoch = self._indexed(), self.p, self.state.epoch * 1000 + self.rebuilt + 1
         d = degrees(s.edges)
         want = d.join(plan, "node", "left_semi").select(F.col("node").alias("source"), p.walks_stored(F.col("out_deg")).alias("want"))
-        starts = counted(want, F.lit(0), F.col("want")).select("source", "slot")
-        fresh = walk_ends(walk_on(new_walks(starts, p, epoch), s.edges, p, epoch, self.rounds))
+        fresh = walks_in_tasks(s.edges, p, epoch, False, "ends", asked=want.select("source", F.col("want").alias("n")))
+        if fresh is None:
+            starts = counted(want, F.lit(0), F.col("want")).select("source", "slot")
+            fresh = walk_ends(walk_on(new_walks(starts, p, epoch), s.edges, p, epoch, self.rounds))
         rest = s.walks.join(plan.select(F.col("node").alias("source")), "source", "left_anti")
         self.state = IndexState(s.edges, self.rounds.keep(rest.unionByName(fresh)), p, s.epoch)
         self.sigma = self.rounds.keep(self.sigma.join(plan, "node", "left_anti").unionByName(plan.select("node", F.lit(-float(self.floor)).alias("sigma"))))
